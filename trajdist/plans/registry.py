@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import searches
+from . import searches, workloads
 
-_PARTS = (searches,)
+_PARTS = (searches, workloads)
 
 
 def queries() -> dict:
