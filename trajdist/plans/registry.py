@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import searches, workloads
+from . import measures, searches, workloads
 
-_PARTS = (searches, workloads)
+_PARTS = (searches, workloads, measures)
 
 
 def queries() -> dict:
