@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import measures, searches, workloads
+from ..streaming import streams
+from . import measures, relational, searches, workloads
 
-_PARTS = (searches, workloads, measures)
+_PARTS = (searches, workloads, measures, relational, streams)
 
 
 def queries() -> dict:
