@@ -2,8 +2,8 @@
 
 Merges never cross a pre-token, so a text's ids are those of its pre-tokens in turn.  Most
 pre-tokens of a corpus are vocabulary strings that encode alone as one token: which ones is proved
-once by encoding every vocabulary string with the library.  The rest go through the library's merges, in
-batches, with a bounded memory of recent answers.
+once by encoding every vocabulary string with the library.  The rest go through the library's merges,
+with a bounded memory of recent answers.
 
 Texts whose splitting could depend on the library's Unicode version, or that hold the strings of
 special tokens, go whole through the library.
@@ -18,16 +18,13 @@ import sys
 import unicodedata
 from array import array
 from collections.abc import Iterable, Iterator
-from itertools import chain
 
 import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 #: Pre-tokens kept beside the vocabulary; the memory is emptied when it is full.
-MEMORY = 500_000
-#: Characters of text whose pre-tokens are looked up together.
-GROUP = 1 << 20
+MEMORY = 1_000_000
 
 
 def _plain() -> list[str]:
@@ -56,6 +53,23 @@ _UNUSUAL = re.compile(f"[^{_class(_plain())}]")
 _SPLIT = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{_L}]+| ?[{_N}]+| ?[^{_S}{_L}{_N}]+|[{_S}]+(?![^{_S}])|[{_S}]+")
 
 
+class _Memory(dict):
+    """Answers for pre-tokens: those proved for the vocabulary, and recent ones, found where they are missing."""
+
+    def __init__(self, proved: dict, find):
+        super().__init__(proved)
+        self.proved, self.find = proved, find
+
+    def __missing__(self, piece: str):
+        self[piece] = found = self.find(piece)
+        return found
+
+    def bound(self) -> None:
+        if len(self) > MEMORY + len(self.proved):
+            self.clear()
+            self.update(self.proved)
+
+
 class PretokenEncoder:
     """Ids of texts, exactly as the tokenizers library gives them with add_special_tokens=False."""
 
@@ -76,7 +90,9 @@ class PretokenEncoder:
         self.merge = self.library.model.tokenize
         self.native = {2: "H", 4: "I"}[self.dtype.itemsize] if sys.byteorder == "little" else None
         self.alone = self._prove() if self.splits else {}
-        self.recent: dict[str, bytes] = {}
+        self.known = _Memory(self.alone, self._merged)
+        size = self.dtype.itemsize
+        self.sizes = _Memory(dict.fromkeys(self.alone, 1), lambda p: len(self._merged(p)) // size)
 
     def _prove(self) -> dict[str, bytes]:
         """Vocabulary strings that are one pre-token and encode alone as one token."""
@@ -100,58 +116,28 @@ class PretokenEncoder:
     def _whole(self, text: str) -> bool:
         return not self.splits or _UNUSUAL.search(text) is not None or (self.special is not None and self.special.search(text) is not None)
 
-    def _learn(self, pieces: list[str]) -> dict[str, bytes]:
-        """Answers for pre-tokens that are not in the vocabulary."""
-        if len(self.recent) + len(pieces) > MEMORY:
-            self.recent.clear()
-        got = dict(zip(pieces, map(self._merged, pieces)))
-        if len(got) <= MEMORY:
-            self.recent.update(got)
-        return got
-
-    def _groups(self, texts: Iterable[str | None]) -> Iterator[list[str]]:
-        group, size = [], 0
-        for t in texts:
-            t = t or ""
-            if group and size + len(t) > GROUP:
-                yield group
-                group, size = [], 0
-            group.append(t)
-            size += len(t)
-        if group:
-            yield group
-
     def packed(self, texts: Iterable[str | None]) -> Iterator[bytes]:
         """The ids of each text as little-endian integers of ``dtype``; a null is an empty text."""
-        for group in self._groups(texts):
-            split = [None if self._whole(t) else _SPLIT.findall(t) for t in group]
-            seen = set(chain.from_iterable(s for s in split if s is not None))
-            known = {p: b for p in seen if (b := self.alone.get(p) or self.recent.get(p)) is not None}
-            known.update(self._learn([p for p in seen if p not in known]))
-            for t, s in zip(group, split):
-                if s is None:
-                    yield self._pack(self.library.encode(t, add_special_tokens=False).ids)
-                else:
-                    yield b"".join(map(known.__getitem__, s))
+        for t in texts:
+            t = t or ""
+            if self._whole(t):
+                yield self._pack(self.library.encode(t, add_special_tokens=False).ids)
+            else:
+                yield b"".join(map(self.known.__getitem__, _SPLIT.findall(t)))
+                self.known.bound()
 
     def ids(self, text: str | None) -> np.ndarray:
         return np.frombuffer(next(self.packed([text])), self.dtype)
 
     def counts(self, texts: Iterable[str | None]) -> Iterator[int]:
         """Number of ids of each text: whole-token pre-tokens count as one each, only the rest is merged."""
-        for group in self._groups(texts):
-            split = [None if self._whole(t) else _SPLIT.findall(t) for t in group]
-            rest = set(chain.from_iterable(s for s in split if s is not None)).difference(self.alone)
-            known = {p: b for p in rest if (b := self.recent.get(p)) is not None}
-            known.update(self._learn([p for p in rest if p not in known]))
-            size = self.dtype.itemsize
-            # Answers of one token need no entry: get() gives 1 for them, as for whole tokens.
-            longer = {p: n for p, b in known.items() if (n := len(b) // size) != 1}
-            for t, s in zip(group, split):
-                if s is None:
-                    yield len(self.library.encode(t, add_special_tokens=False).ids)
-                else:
-                    yield len(s) + sum(n - 1 for p in s if (n := longer.get(p)) is not None)
+        for t in texts:
+            t = t or ""
+            if self._whole(t):
+                yield len(self.library.encode(t, add_special_tokens=False).ids)
+            else:
+                yield sum(map(self.sizes.__getitem__, _SPLIT.findall(t)))
+                self.sizes.bound()
 
 
 _encoders: dict[str, PretokenEncoder] = {}
