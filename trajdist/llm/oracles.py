@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from .license_scan import scan_sql
+
 _LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 DECONTAMINATE = rf"""
@@ -32,4 +34,4 @@ SELECT d.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, component_id, d
 FROM documents d JOIN comp ON comp.doc_id = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id
 """
 
-ORACLES = {"op3_decontaminate": DECONTAMINATE, "op6_near_dup": NEAR_DUP}
+ORACLES = {"op3_decontaminate": DECONTAMINATE, "op6_near_dup": NEAR_DUP, "op7_license_scan": scan_sql()}

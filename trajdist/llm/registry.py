@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, id_planes, kneser_ney, language_id, near_dup, page_template, pieces, quality, token_counts
+from . import decontamination, id_planes, kneser_ney, language_id, license_scan, near_dup, page_template, pieces, quality, token_counts
 from .oracles import ORACLES
 from .shared import remainder, shared_folder, table
 
@@ -50,6 +50,11 @@ def op6_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+def op7_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = license_scan.scan(table(spark, sf_dir, "documents"), license_scan.known_licenses(spark))
+    return found.withColumn("notices", F.concat_ws(",", "notices"))
+
+
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(table(spark, sf_dir, "documents"))
 
