@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import materialize
@@ -23,12 +23,9 @@ def cell_rounds(demand: DataFrame, size: int) -> DataFrame:
         capacity = size // left
         fits = F.col("demand") <= capacity
         if pending.where(fits).isEmpty():
-            # The smallest first: the demand up to which a running sum by value stays within the buffer.
-            low = pending.agg(F.min("demand")).first()[0]
-            capacity = max(low, 0)
-            same = pending.where(F.col("demand") == low)
-            most = max(1, size // low) if low else left
-            chosen = materialize(dense_ids(same, ["q_traj", "q_seg"], "_i").where(F.col("_i") < most).drop("_i"))
+            ordered = running_sum(pending, ["demand", "q_traj", "q_seg"])
+            chosen = materialize(ordered.where((F.col("_before") + F.col("demand") <= size) | (F.col("_i") == 0)).drop("_before", "_i"))
+            capacity = size
         else:
             chosen = pending.where(fits)
         done.append(chosen.withColumn("round", F.lit(k)).withColumn("capacity", F.lit(capacity).cast("long")).withColumn("chunks", F.greatest(F.lit(1).cast("long"), F.ceil(F.col("demand") / size))))
@@ -42,22 +39,21 @@ def cell_rounds(demand: DataFrame, size: int) -> DataFrame:
     return out
 
 
-def by_capacity(demand: DataFrame, capacity: int, order: list[str]) -> DataFrame:
-    """Adds ``batch_id``: queries in order, cut where the running sum of demand passes multiples of the capacity.
-
-    The running sum is made in two levels, over parts of the order and inside them."""
+def running_sum(demand: DataFrame, order: list[str]) -> DataFrame:
+    """Adds ``_i``, the place in the order, and ``_before``, the demand of all rows before: over parts of the order, then inside them."""
     rows = dense_ids(demand, order, "_i").withColumn("_part", F.expr("_i div 4096"))
     sums, begin, table = sorted(rows.groupBy("_part").agg(F.sum("demand").alias("n")).collect()), 0, []
     for r in sums:
         table.append((r["_part"], begin))
         begin += r["n"]
-    if not table:
-        return demand.withColumn("batch_id", F.lit(0).cast("long"))
     offsets = demand.sparkSession.createDataFrame(table, "_part long, _begin long")
-    from pyspark.sql import Window
+    inside = F.coalesce(F.sum("demand").over(Window.partitionBy("_part").orderBy("_i").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return rows.join(F.broadcast(offsets), "_part").withColumn("_before", F.col("_begin") + inside).drop("_part", "_begin")
 
-    before = F.coalesce(F.sum("demand").over(Window.partitionBy("_part").orderBy("_i").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    return rows.join(F.broadcast(offsets), "_part").withColumn("batch_id", ((F.col("_begin") + before) / capacity).cast("long")).drop("_i", "_part", "_begin")
+
+def by_capacity(demand: DataFrame, capacity: int, order: list[str]) -> DataFrame:
+    """Adds ``batch_id``: queries in order, cut where the running sum of demand passes multiples of the capacity."""
+    return running_sum(demand, order).withColumn("batch_id", (F.col("_before") / capacity).cast("long")).drop("_i", "_before")
 
 
 def rounds(batched: DataFrame) -> int:
@@ -67,12 +63,10 @@ def rounds(batched: DataFrame) -> int:
 
 def run_batches(q: DataFrame, batched: DataFrame, search, sink: str) -> int:
     """Runs ``search(queries)`` batch by batch and appends each result to ``sink``; returns the number of batches."""
-    spark: SparkSession = q.sparkSession
     ids = [r[0] for r in batched.select("batch_id").distinct().orderBy("batch_id").collect()]
     keyed = q.join(batched.select(F.col("q_traj").alias("traj_id"), F.col("q_seg").alias("seg_id"), "batch_id"), ["traj_id", "seg_id"])
     for i in ids:
         search(keyed.where(F.col("batch_id") == i).drop("batch_id")).write.mode("append").parquet(sink)
-    del spark
     return len(ids)
 
 
