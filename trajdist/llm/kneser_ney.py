@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .shared import filesystem, shared_folder, stored, write_file
-from .words import Words, hash_words, mix, mix_int
+from .words import Words, hash_words, mix, mix_int, slices
 
 ORDER = 2
 #: n-grams that a task gathers before it sends them on.
@@ -148,8 +148,8 @@ def _count(order: int, shards: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
         for b in batches:
-            for at in range(0, b.num_rows, 500):
-                s = sequence(hash_words(b.column(0).slice(at, 500)))
+            for part in slices(b, 0):
+                s = sequence(hash_words(part.column(0)))
                 held.append(s)
                 size += len(s.tokens)
                 if size >= GATHER:
@@ -384,9 +384,7 @@ def score(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         s = scorer(description)
         for b in batches:
-            step = max(1, b.num_rows * BATCH // max(1, b.column(1).nbytes))
-            for at in range(0, b.num_rows, step):
-                part = b.slice(at, step)
+            for part in slices(b, 1, BATCH):
                 m = s.measure(part.column(1))
                 perplexity = 10 ** np.minimum(-m["score"] / m["n_tokens"], 300)
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(x) for x in m.values()), pa.array(perplexity)], ["id", *m, "perplexity"])

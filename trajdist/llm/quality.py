@@ -17,7 +17,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .words import Words, grams, hash_words, mix
+from .words import Words, grams, hash_words, mix, slices
 
 # From so many bytes on, the lowest and highest ratio of compressed to raw bytes.
 BANDS = ((0, 0.40, 4.0), (64, 0.36, 1.8), (128, 0.30, 1.05), (256, 0.28, 0.95), (512, 0.28, 0.86), (1024, 0.27, 0.80), (2048, 0.26, 0.76), (4096, 0.25, 0.72), (8192, 0.22, 0.70), (32768, 0.20, 0.68))
@@ -117,8 +117,9 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            m = measure(b.column(1))
-            yield pa.RecordBatch.from_arrays([b.column(0), *m.flatten()], ["id", *(f.name for f in m.type)])
+            for part in slices(b, 1):
+                m = measure(part.column(1))
+                yield pa.RecordBatch.from_arrays([part.column(0), *m.flatten()], ["id", *(f.name for f in m.type)])
 
     kind = rows.schema["id"].dataType.simpleString()
     return rows.mapInArrow(run, f"id {kind}, {FIELDS}").withColumnRenamed("id", id_col)
@@ -130,6 +131,7 @@ def keep_good(docs: DataFrame, text_col: str = "text") -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield b.filter(measure(b.column(at)).field("kept"))
+            for part in slices(b, at):
+                yield part.filter(measure(part.column(at)).field("kept"))
 
     return docs.mapInArrow(run, docs.schema)

@@ -81,6 +81,16 @@ def text_buffer(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw, off - off[0]
 
 
+def slices(batch: pa.RecordBatch, column: int, most: int = 2 << 20) -> Iterator[pa.RecordBatch]:
+    """Consecutive rows of a batch with at most ``most`` bytes of text together; a longer text stands alone."""
+    _, offsets = text_buffer(batch.column(column))
+    at, n = 0, batch.num_rows
+    while at < n:
+        to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + most, "right")) - 1)
+        yield batch.slice(at, to - at)
+        at = to
+
+
 def _segments(data: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[int, int]]:
     """Byte ranges of about SEGMENT bytes that end at a row's end or before a separator."""
     at, end = 0, len(data)
