@@ -109,7 +109,8 @@ class Classifier:
 def _classifier(model: Model, margin: float) -> Classifier:
     key = (id(model), margin)
     if _cached.get("key") != key:
-        _cached.update(key=key, value=Classifier(model, margin))
+        # The model is held too, so that no other can come to have its identity.
+        _cached.update(key=key, value=Classifier(model, margin), model=model)
     return _cached["value"]
 
 
