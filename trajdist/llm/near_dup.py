@@ -5,8 +5,9 @@ MinHash values each; texts whose labels share a prefix stand together in an orde
 a prefix of two values, a region of an order that holds too many texts is split by longer
 prefixes, so depth adapts to density.  Within a region, signatures estimate every similarity, and
 the strongest links that connect its texts become candidates.  Candidates are confirmed on the full
-sets; connected components of the confirmed links are the groups.  A second look takes all remaining
-candidates between texts of one region that the first did not connect.
+sets; connected components of the confirmed links are groups.  A second look takes the full sets of
+all texts that may have a link to another group of their region, and compares each with all such
+others, without a cap; a link that joins two groups is enough of them.
 
 Texts with equal sets are one node.  Ids that are null link with nothing.  Rows that repeat
 an id are one node.
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import shared_folder, stored
-from .words import grams, hash_words, mix
+from .words import grams, hash_words, mix, slices
 
 SHINGLE = 5
 TREES = 12
@@ -36,6 +37,8 @@ AGREE = 120
 #: Texts in a region above which it is split by longer prefixes, and the lengths of prefixes.
 REGION = 2048
 LENGTHS = (2, 4, 8, 16)
+#: Ids up to which a list of ids is broadcast to the texts; beyond, the texts meet it by a shuffle.
+BROADCAST_IDS = 2_000_000
 
 
 def _multipliers(seed: int) -> np.ndarray:
@@ -68,8 +71,7 @@ def signatures(h: np.ndarray, bounds: np.ndarray) -> np.ndarray:
 
 def _describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        for at in range(0, b.num_rows, 1000):
-            part = b.slice(at, 1000)
+        for part in slices(b, 1, 4 << 20):
             h, bounds = shingle_sets(part.column(1))
             sizes = np.diff(bounds)
             full = sizes > 0
@@ -109,35 +111,40 @@ def _edges_of(ids: np.ndarray, n: np.ndarray, sig: np.ndarray) -> Iterator[tuple
             yield int(ids[at]), int(ids[via[at]])
 
 
-def _across(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, group: np.ndarray) -> Iterator[tuple[int, int]]:
-    """All likely links of a region between different groups."""
-    for i in range(len(ids) - 1):
-        agree = (sig[i + 1 :] == sig[i]).sum(1, dtype=np.int32)
-        good = (agree >= AGREE) & (group[i + 1 :] != group[i]) & (PERCENT * np.maximum(n[i + 1 :], n[i]) <= 100 * np.minimum(n[i + 1 :], n[i]))
-        for j in np.flatnonzero(good):
-            yield int(ids[i]), int(ids[i + 1 + j])
-
-
-def _scan(grouped: bool):
-    """Reads rows key, id, n, sig[, group] sorted by key; gives pairs."""
-
-    def flush(key, ids, n, sig, group, found: set) -> None:
-        begins = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-        ends = np.concatenate([begins[1:], [len(key)]])
-        sizes = ends - begins
-        two = begins[sizes == 2]
-        if len(two):
-            agree = (sig[two] == sig[two + 1]).sum(1)
-            good = (agree >= AGREE) & (ids[two] != ids[two + 1]) & (PERCENT * np.maximum(n[two], n[two + 1]) <= 100 * np.minimum(n[two], n[two + 1]))
-            if grouped:
-                good &= group[two] != group[two + 1]
-            found.update(zip(ids[two[good]].tolist(), ids[two[good] + 1].tolist()))
-        for a, z in zip(begins[sizes > 2], ends[sizes > 2]):
-            if grouped:
-                if (group[a:z] != group[a]).any():
-                    found.update(_across(ids[a:z], n[a:z], sig[a:z], group[a:z]))
-            else:
-                found.update(_edges_of(ids[a:z], n[a:z], sig[a:z]))
+def _rivals(n: np.ndarray, sig: np.ndarray, group: np.ndarray, i: int) -> np.ndarray:
+    """Places of a region's texts of other groups that may be linked with text i."""
+    agree = (sig == sig[i]).sum(1, dtype=np.int32)
+    return np.flatnonzero((agree >= AGREE) & (group != group[i]) & (PERCENT * np.maximum(n, n[i]) <= 100 * np.minimum(n, n[i])))
+
+
+def _bridges(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, group: np.ndarray, items: list[np.ndarray]) -> Iterator[tuple[int, int]]:
+    """Links on full sets between a region's groups, until no link is left that would join two of them."""
+    group = group.copy()
+    names, counts = np.unique(group, return_counts=True)
+    main = names[counts.argmax()]
+    for i in range(len(ids)):
+        if group[i] == main:
+            continue  # met from the other side
+        near = _rivals(n, sig, group, i)
+        if not len(near):
+            continue
+        parts = [items[j] for j in near]
+        all_items = np.concatenate(parts)
+        at = np.searchsorted(items[i], all_items)
+        at[at == len(items[i])] = 0
+        begins = np.cumsum([0, *map(len, parts[:-1])])
+        shared = np.add.reduceat((items[i][at] == all_items).astype(np.int64), begins)
+        for j in near[100 * shared >= PERCENT * (n[i] + n[near] - shared)]:
+            if group[j] != group[i]:
+                yield int(ids[i]), int(ids[j])
+                old, new = sorted((group[i], group[j]), key=lambda g: g == main)
+                group[group == old] = new
+
+
+def _by_region(work, schema: pa.Schema):
+    """Runs ``work(table)`` on whole regions: some at a time, from rows that are sorted by key.
+
+    ``work`` gets the rows, and where each region begins and ends; it gives tuples of the schema."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -158,34 +165,83 @@ def _scan(grouped: bool):
                 cut = int(other[-1]) + 1 if len(other) else 0
             if cut == 0:
                 continue
-            part = t.slice(0, cut).combine_chunks()
-            sig = np.frombuffer(b"".join(part["sig"].to_pylist()), np.uint8).reshape(-1, HASHES)
-            found: set[tuple[int, int]] = set()
-            flush(part["key"].to_numpy(), part["id"].to_numpy(), part["n"].to_numpy(), sig, part["group"].to_numpy() if grouped else None, found)
+            part, key = t.slice(0, cut).combine_chunks(), key[:cut]
             held = t.slice(cut).to_batches()
-            pairs = sorted({(min(p), max(p)) for p in found if p[0] != p[1]})
-            if pairs:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*pairs)], ["a", "b"])
+            begins = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+            found = sorted(set(work(part, begins, np.concatenate([begins[1:], [cut]]))))
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*found), schema)], schema.names)
 
     return run
 
 
+def _columns(t: pa.Table, *names: str) -> list[np.ndarray]:
+    sig = np.frombuffer(b"".join(t["sig"].to_pylist()), np.uint8).reshape(-1, HASHES)
+    return [sig, *(t[c].to_numpy() for c in names)]
+
+
+def _ordered(a: int, b: int) -> tuple[int, int]:
+    return (a, b) if a < b else (b, a)
+
+
+def _strongest(t: pa.Table, begins: np.ndarray, ends: np.ndarray) -> Iterator[tuple[int, int]]:
+    sig, ids, n = _columns(t, "id", "n")
+    two = begins[ends - begins == 2]
+    agree = (sig[two] == sig[two + 1]).sum(1)
+    good = two[(agree >= AGREE) & (PERCENT * np.maximum(n[two], n[two + 1]) <= 100 * np.minimum(n[two], n[two + 1]))]
+    yield from map(_ordered, ids[good].tolist(), ids[good + 1].tolist())
+    for a, z in zip(begins, ends):
+        if z - a > 2:
+            yield from (_ordered(*p) for p in _edges_of(ids[a:z], n[a:z], sig[a:z]))
+
+
+def _undecided(t: pa.Table, begins: np.ndarray, ends: np.ndarray) -> Iterator[tuple[int, int]]:
+    """key and id of the texts that may have a link to another group of their region."""
+    sig, key, ids, n, group = _columns(t, "key", "id", "n", "group")
+    for a, z in zip(begins, ends):
+        names, counts = np.unique(group[a:z], return_counts=True)
+        if len(names) > 1:
+            touched = np.zeros(z - a, bool)
+            for i in np.flatnonzero(group[a:z] != names[counts.argmax()]):
+                near = _rivals(n[a:z], sig[a:z], group[a:z], i)
+                touched[near] = True
+                touched[i] |= len(near) > 0
+            yield from ((int(key[a]), int(x)) for x in ids[a:z][touched])
+
+
+def _decided(t: pa.Table, begins: np.ndarray, ends: np.ndarray) -> Iterator[tuple[int, int]]:
+    sig, ids, n, group = _columns(t, "id", "n", "group")
+    for a, z in zip(begins, ends):
+        items = [np.frombuffer(x.as_py(), np.uint64) for x in t["items"].slice(a, z - a)]
+        yield from (_ordered(*p) for p in _bridges(ids[a:z], n[a:z], sig[a:z], group[a:z], items))
+
+
+_PAIR = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+_PLACE = pa.schema([("key", pa.int64()), ("id", pa.int64())])
+
+
+def _regionwise(rows: DataFrame, work, schema: pa.Schema) -> DataFrame:
+    """``rows`` has to be stored: a repartition straight after a join may be dropped, and the join then run by broadcast."""
+    kind = ", ".join(f"{n} long" for n in schema.names)
+    return rows.repartition("key").sortWithinPartitions("key", "id").mapInArrow(_by_region(work, schema), kind).distinct()
+
+
 def _regions(nodes: DataFrame, folder: str) -> DataFrame:
-    """key, id, n, sig of all regions with company: stored, each of at most about REGION rows.
+    """key, id of all regions with company, each of at most about REGION rows.
 
     A region that is too large is dealt by a longer prefix of its own order.  Where even the whole
     label leaves too many, they are dealt into blocks, each with the region's first text.
     """
-    rows = nodes.select("id", "n", "sig", F.posexplode("keys").alias("tree", "key"))
+    rows = nodes.select("id", F.posexplode("keys").alias("tree", "key"))
     done, more = [], rows
     for step, length in enumerate(LENGTHS):
         if step:
             start = F.col("tree") * DEPTH + 1 + LENGTHS[step - 1]
-            part = more["sig"].substr(start, F.lit(length - LENGTHS[step - 1]))
-            more = more.withColumn("key", F.xxhash64("key", part)).drop("size", "first")
+            signed = more.drop("size", "first").join(nodes.select("id", "sig"), "id")
+            more = signed.withColumn("key", F.xxhash64("key", F.col("sig").substr(start, F.lit(length - LENGTHS[step - 1])))).drop("sig")
         sizes = more.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("first")).where("size > 1")
         sized = stored(more.join(sizes, "key"), f"{folder}/{length}")
-        done.append(sized.where(F.col("size") <= REGION).select("key", "id", "n", "sig"))
+        done.append(sized.where(F.col("size") <= REGION).select("key", "id"))
         more = sized.where(F.col("size") > REGION)
         if more.isEmpty():
             break
@@ -193,7 +249,7 @@ def _regions(nodes: DataFrame, folder: str) -> DataFrame:
         blocks = F.ceil(F.col("size") / REGION).cast("int")
         leaders = more.where("id = first").withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1)))
         dealt = more.where("id != first").withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).unionByName(leaders)
-        done.append(dealt.select(F.xxhash64("key", "block").alias("key"), "id", "n", "sig"))
+        done.append(dealt.select(F.xxhash64("key", "block").alias("key"), "id"))
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
@@ -205,11 +261,11 @@ def _full_sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for at in range(0, b.num_rows, 200):
-                part = b.slice(at, 200)
+            for part in slices(b, 1):
                 h, bounds = shingle_sets(part.column(1))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([h[i:j].tobytes() for i, j in zip(bounds[:-1], bounds[1:])], pa.binary())], ["id", "items"])
 
+    wanted = F.broadcast(wanted) if wanted.count() <= BROADCAST_IDS else wanted
     return docs.join(wanted, "id", "left_semi").mapInArrow(run, "id long, items binary")
 
 
@@ -228,7 +284,7 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def confirmed(pairs: DataFrame, docs: DataFrame, folder: str) -> DataFrame:
     """The pairs a, b whose full sets reach the threshold."""
-    wanted = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
+    wanted = stored(pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct(), f"{folder}/wanted")
     sets = stored(_full_sets(docs, wanted), f"{folder}/sets")
     left = sets.select(F.col("id").alias("a"), F.col("items").alias("x"))
     right = sets.select(F.col("id").alias("b"), F.col("items").alias("y"))
@@ -239,20 +295,19 @@ def confirmed(pairs: DataFrame, docs: DataFrame, folder: str) -> DataFrame:
 def components(links: DataFrame, folder: str) -> DataFrame:
     """id, component (smallest id reachable) of every id that has a link.
 
-    Alternates two steps until nothing changes: every node points its larger neighbours at its
+    Alternates two steps until the edges are stars: every node points its larger neighbours at its
     smallest neighbour, then every node points its smaller neighbours at the smallest.  Nodes are
-    met by joins and pre-aggregated minima; each round is stored.
+    met by joins and pre-aggregated minima; each step is stored.
     """
     edges = stored(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct(), f"{folder}/0")
-    if edges.isEmpty():
-        return edges.select(F.col("u").alias("id"), F.col("v").alias("component"))
 
-    def total(e: DataFrame) -> tuple:
-        r = e.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum((F.xxhash64("u", "v") % (1 << 40))), F.lit(0)).alias("h")).first()
-        return r.n, r.h
+    def stars() -> bool:
+        """Every node has one edge, or is where edges end."""
+        ends = edges.groupBy("u").agg(F.count(F.lit(1)).alias("n"), F.lit(0).alias("end")).union(edges.select("v").distinct().select(F.col("v").alias("u"), F.lit(0).cast("long"), F.lit(1)))
+        return ends.groupBy("u").agg(F.sum("n").alias("n"), F.max("end").alias("end")).where("n > 1 OR (n > 0 AND end = 1)").isEmpty()
 
-    before, k = total(edges), 0
-    while True:
+    k = 0
+    while not stars():
         k += 1
         both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
@@ -262,12 +317,8 @@ def components(links: DataFrame, folder: str) -> DataFrame:
         met = large.join(low, "u")
         small = met.select(F.col("v").alias("u"), F.col("m").alias("v")).union(met.select("u", F.col("m").alias("v"))).where("u != v").distinct()
         edges = stored(small, f"{folder}/{k}s")
-        after = total(edges)
-        if after == before:
-            break
-        before = after
-    stars = edges.select(F.col("u").alias("id"), F.col("v").alias("component"))
-    return stars.union(stars.select("component", "component").distinct())
+    found = edges.select(F.col("u").alias("id"), F.col("v").alias("component"))
+    return found.union(found.select("component", "component").distinct())
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -285,25 +336,34 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     member = stored(named.select("id", "s1", "s2", "n").join(classes, ["s1", "s2", "n"]).select("id", "rep"), f"{folder}/member")
     reps = member.where("id = rep").select("id").distinct()
     nodes = named.join(reps, "id", "left_semi").select("id", "n", "keys", "sig").dropDuplicates(["id"])
-    regions = stored(_regions(nodes, f"{folder}/regions"), f"{folder}/regions/all")
+    regions = stored(_regions(nodes, f"{folder}/regions").join(nodes.select("id", "n", "sig"), "id"), f"{folder}/regions/all")
     known = texts.where("id is not null and text is not null")
 
-    pairs = stored(regions.repartition("key").sortWithinPartitions("key", "id").mapInArrow(_scan(False), "a long, b long").distinct(), f"{folder}/pairs1")
+    pairs = stored(_regionwise(regions, _strongest, _PAIR), f"{folder}/pairs")
     links = confirmed(pairs, known, f"{folder}/first")
     # Rows of one id that differ in text are one node: their sets' classes belong together.
     split = member.where("id != rep").select(F.col("id").alias("a"), F.col("rep").alias("b"))
     groups = stored(components(links, f"{folder}/groups1"), f"{folder}/grouped1")
     placed = regions.join(groups.select("id", "component"), "id", "left").select("key", "id", "n", "sig", F.coalesce("component", "id").alias("group"))
     mixed = placed.groupBy("key").agg(F.min("group").alias("lo"), F.max("group").alias("hi")).where("lo != hi").select("key")
-    # Stored first: a repartition straight after a join may be dropped, and the join then run by broadcast.
     again = stored(placed.join(mixed, "key", "left_semi"), f"{folder}/regions/mixed")
-    rest = again.repartition("key").sortWithinPartitions("key", "id").mapInArrow(_scan(True), "a long, b long").distinct().join(pairs, ["a", "b"], "left_anti")
-    rest = stored(rest, f"{folder}/pairs2")
-    if not rest.isEmpty():
-        links = links.union(confirmed(rest, known, f"{folder}/second"))
+    more = spark.createDataFrame([], "a long, b long")
+    open_ids = stored(_regionwise(again, _undecided, _PLACE), f"{folder}/undecided")
+    if not open_ids.isEmpty():
+        sets = stored(_full_sets(known, stored(open_ids.select("id").distinct(), f"{folder}/second/wanted")), f"{folder}/second/sets").dropDuplicates(["id"])
+        full = stored(open_ids.join(again, ["key", "id"]).join(sets, "id"), f"{folder}/regions/full")
+        more = stored(_regionwise(full, _decided, _PAIR), f"{folder}/second/links")
     repeated = named.groupBy("id").agg(F.countDistinct("s1", "s2").alias("sets")).where("sets > 1").select(F.col("id").alias("a"))
-    links = links.union(split.join(repeated, "a", "left_semi"))
-    groups = stored(components(links, f"{folder}/groups2"), f"{folder}/grouped2")
+    more = stored(more.union(split.join(repeated, "a", "left_semi")), f"{folder}/more")
+    if not more.isEmpty():
+        # Groups that the second look joins: components of the groups themselves.
+        def named_by(side: str) -> DataFrame:
+            return groups.select(F.col("id").alias(side), F.col("component").alias(f"{side}_group"))
+
+        met = more.join(named_by("a"), "a", "left").join(named_by("b"), "b", "left").select(F.coalesce("a_group", "a").alias("a"), F.coalesce("b_group", "b").alias("b"))
+        joined = stored(components(met, f"{folder}/groups2"), f"{folder}/grouped2").select(F.col("id").alias("component"), F.col("component").alias("whole"))
+        known_groups = groups.join(joined, "component", "left").select("id", F.coalesce("whole", "component").alias("component"))
+        groups = known_groups.union(joined.select("component", "whole").join(groups.select(F.col("id").alias("component")), "component", "left_anti"))
     final = member.join(groups.select(F.col("id").alias("rep"), "component"), "rep", "left").groupBy("id").agg(F.min(F.least(F.coalesce("component", "rep"), "rep")).alias("component"))
     rows = described.select("id", "n")
     return rows.join(final, "id", "left").select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id"))
