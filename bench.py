@@ -30,7 +30,8 @@ def timed(make, trials: int = TRIALS) -> tuple[float, float]:
 
 
 def searches(spark: SparkSession) -> tuple[dict[str, float], list[dict]]:
-    from trajdist.operators import cells, packed_tree, slabs, timebins
+    from trajdist.operators import batching, cells, packed_tree, slabs, timebins
+    from trajdist.operators.index import as_queries
     from trajdist.plans.scenarios import segments
     from trajdist.session import materialize
 
@@ -53,10 +54,25 @@ def searches(spark: SparkSession) -> tuple[dict[str, float], list[dict]]:
             "cell": lambda: cells.search(q, cell, dist),
             "tree": lambda: packed_tree.search(q, tree, dist),
         }
+        one = slabs.build(d, m, 1)
+        one = one._replace(time=tbin, lookup=materialize(one.lookup), directory=materialize(one.directory))
+        extra = {
+            "plan_tbin": lambda: timebins.overlaps(as_queries(q), tbin.directory, tbin.bins).groupBy("q_traj_id", "q_seg_id").agg(F.sum("n")),
+            "plan_slab": lambda: slabs.schedule(q, slab, dist),
+            "slab_one": lambda: slabs.search(q, one, dist),
+            "cell_rounds": lambda: batching.cell_rounds(cells.demand(q, cell, dist), 50_000_000),
+        }
+        side = {k: timed(make, 1)[0] for k, make in extra.items()}
         for method, make in methods.items():
             mean, sd = timed(make)
             found[f"search_{method}_{name}"] = round(mean, 3)
+            side[method] = mean
             rows.append({"scenario": name, "method": method, "d": dist, "queries": q.count(), "entries": d.count(), "results": make().count(), "mean": round(mean, 3), "sd": round(sd, 3)})
+        # Shares of planning, the indirection of slabs over bins, the cells' time with their rounds, and ratios to the tree.
+        rows.append({
+            "scenario": name, "plan_share_tbin": round(side["plan_tbin"] / side["tbin"], 3), "plan_share_slab": round(side["plan_slab"] / side["slab"], 3), "indirection_percent": round(100 * (side["slab_one"] / side["tbin"] - 1), 1),
+            "cell_optimistic": round(side["cell"], 3), "cell_with_rounds": round(side["cell"] + side["cell_rounds"], 3), **{f"{k}_over_tree": round(side[k] / side["tree"], 3) for k in ("tbin", "slab", "cell")},
+        })
     return found, rows
 
 
