@@ -102,20 +102,19 @@ def query_slabs(q: DataFrame, slabs: Slabs, dist: float) -> DataFrame:
 
 
 def schedule(q: DataFrame, index: SlabIndex, dist: float) -> DataFrame:
-    """Queries (prefixed) with selector (the axis, or FALLBACK), slab, and n_candidates.
+    """Queries (prefixed) with selector (the axis, or FALLBACK), slab, and n_candidates; those that meet no bin are left out.
 
-    The selector is the axis of fewest candidates among those with one slab; ties go to the first axis."""
-    qs = query_slabs(as_queries(q), index.slabs, dist)
-    axes = F.array(*(F.struct(F.lit(i).alias("axis"), F.when(F.col(f"{c}a") == F.col(f"{c}z"), F.col(f"{c}a")).alias("slab")) for i, c in enumerate(AXES)))
-    served = qs.select("q_traj_id", "q_seg_id", "q_t0", "q_t1", F.explode(F.filter(axes, lambda a: a["slab"].isNotNull())).alias("_s")).select("*", "_s.axis", "_s.slab").drop("_s")
-    met = timebins.overlaps(served, index.time.directory, index.time.bins).drop("n", "first", "last")
-    counted = met.join(F.broadcast(index.directory.select("axis", "slab", "bin", "n")), ["axis", "slab", "bin"], "left").groupBy("q_traj_id", "q_seg_id", "axis", "slab").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
-    best = counted.groupBy("q_traj_id", "q_seg_id").agg(F.min(F.struct("n", "axis", "slab")).alias("best")).select("q_traj_id", "q_seg_id", F.col("best.axis").alias("selector"), F.col("best.slab").alias("slab"), F.col("best.n").alias("served_n"))
-    plain = timebins.overlaps(as_queries(q).select("q_traj_id", "q_seg_id", "q_t0", "q_t1"), index.time.directory, index.time.bins)
-    plain = plain.groupBy("q_traj_id", "q_seg_id").agg(F.sum("n").alias("all_n"))
-    keys = ["q_traj_id", "q_seg_id"]
-    out = as_queries(q).join(best, keys, "left").join(plain, keys, "left")
-    return out.withColumn("selector", F.coalesce("selector", F.lit(FALLBACK))).withColumn("n_candidates", F.when(F.col("selector") >= 0, F.col("served_n")).otherwise(F.coalesce("all_n", F.lit(0)))).drop("served_n", "all_n")
+    The selector is the axis of fewest candidates among those with one slab; ties go to the first axis.
+    The directory is broadcast once for each axis, so all counts of a query come from one pass and one aggregate."""
+    keys = [f"q_{c}" for c in q.columns]
+    met = timebins.overlaps(query_slabs(as_queries(q), index.slabs, dist), index.time.directory, index.time.bins).drop("first", "last")
+    for i, c in enumerate(AXES):
+        part = index.directory.where(F.col("axis") == i).select(F.col("slab").alias(f"{c}a"), "bin", F.col("n").alias(f"n{c}"))
+        met = met.join(F.broadcast(part), [f"{c}a", "bin"], "left")
+    counted = met.groupBy(*keys, *(f"{c}{k}" for c in AXES for k in "az")).agg(F.sum("n").alias("all_n"), *(F.coalesce(F.sum(f"n{c}"), F.lit(0)).alias(f"n{c}") for c in AXES))
+    choices = [F.when(F.col(f"{c}a") == F.col(f"{c}z"), F.struct(F.col(f"n{c}").alias("n"), F.lit(i).alias("axis"), F.col(f"{c}a").alias("slab"))) for i, c in enumerate(AXES)]
+    best = counted.withColumn("_b", F.least(*choices))
+    return best.select(*keys, F.coalesce("_b.axis", F.lit(FALLBACK)).alias("selector"), F.col("_b.slab").alias("slab"), F.coalesce("_b.n", "all_n").alias("n_candidates"))
 
 
 def candidates(q: DataFrame, index: SlabIndex, dist: float) -> DataFrame:
