@@ -18,6 +18,8 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .shared import lean
+
 SAMPLES = 128
 SNIPPET = 1500
 MAX_LANGUAGES = 500
@@ -135,7 +137,7 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
 
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     kind = rows.schema["id"].dataType.simpleString()
-    return rows.mapInArrow(run, f"id {kind}, lang_pred string, score double, rejected boolean").withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), f"id {kind}, lang_pred string, score double, rejected boolean").withColumnRenamed("id", id_col)
 
 
 def keep_identified(docs: DataFrame, model: Model, text_col: str = "text", margin: float = MARGIN) -> DataFrame:
@@ -148,4 +150,4 @@ def keep_identified(docs: DataFrame, model: Model, text_col: str = "text", margi
         for b in batches:
             yield b.filter(pa.array([not classify(t.as_py())[2] for t in b.column(at)], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import shared_folder, stored
+from .shared import lean, shared_folder, stored
 from .words import grams, hash_words, mix, slices
 
 SHINGLE = 5
@@ -223,7 +223,7 @@ _PLACE = pa.schema([("key", pa.int64()), ("id", pa.int64())])
 def _regionwise(rows: DataFrame, work, schema: pa.Schema) -> DataFrame:
     """``rows`` has to be stored: a repartition straight after a join may be dropped, and the join then run by broadcast."""
     kind = ", ".join(f"{n} long" for n in schema.names)
-    return rows.repartition("key").sortWithinPartitions("key", "id").mapInArrow(_by_region(work, schema), kind).distinct()
+    return rows.repartition("key").sortWithinPartitions("key", "id").mapInArrow(lean(_by_region(work, schema)), kind).distinct()
 
 
 def _regions(nodes: DataFrame, folder: str) -> DataFrame:
@@ -266,7 +266,7 @@ def _full_sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([h[i:j].tobytes() for i, j in zip(bounds[:-1], bounds[1:])], pa.binary())], ["id", "items"])
 
     wanted = F.broadcast(wanted) if wanted.count() <= BROADCAST_IDS else wanted
-    return docs.join(wanted, "id", "left_semi").mapInArrow(run, "id long, items binary")
+    return docs.join(wanted, "id", "left_semi").mapInArrow(lean(run), "id long, items binary")
 
 
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -289,7 +289,7 @@ def confirmed(pairs: DataFrame, docs: DataFrame, folder: str) -> DataFrame:
     left = sets.select(F.col("id").alias("a"), F.col("items").alias("x"))
     right = sets.select(F.col("id").alias("b"), F.col("items").alias("y"))
     rows = pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y")
-    return stored(rows.mapInArrow(_confirm, "a long, b long").distinct(), f"{folder}/links")
+    return stored(rows.mapInArrow(lean(_confirm), "a long, b long").distinct(), f"{folder}/links")
 
 
 def components(links: DataFrame, folder: str) -> DataFrame:
@@ -330,7 +330,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     spark = docs.sparkSession
     folder = shared_folder(spark, "near")
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    described = stored(texts.mapInArrow(_describe, "id long, n long, s1 long, s2 long, keys array<bigint>, sig binary"), f"{folder}/described")
+    described = stored(texts.mapInArrow(lean(_describe), "id long, n long, s1 long, s2 long, keys array<bigint>, sig binary"), f"{folder}/described")
     named = described.where("n > 0 and id is not null")
     classes = named.groupBy("s1", "s2", "n").agg(F.min("id").alias("rep"))
     member = stored(named.select("id", "s1", "s2", "n").join(classes, ["s1", "s2", "n"]).select("id", "rep"), f"{folder}/member")

@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import lean
+
 _SPACE = "▁".encode()
 
 
@@ -215,7 +217,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
                     ["id", "ids", "begins", "ends"],
                 )
 
-    return rows.mapInArrow(run, f"id {kind}, ids array<int>, begins array<bigint>, ends array<bigint>").withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), f"id {kind}, ids array<int>, begins array<bigint>, ends array<bigint>").withColumnRenamed("id", id_col)
 
 
 def digests(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -248,4 +250,4 @@ def digests(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
                 ]
                 yield pa.RecordBatch.from_arrays(columns, ["id", "n_tokens", "ids_sha256", "decoded_sha256", "n_covered", "spans_sha256"])
 
-    return rows.mapInArrow(run, f"id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string, n_covered long, spans_sha256 string").withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), f"id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string, n_covered long, spans_sha256 string").withColumnRenamed("id", id_col)

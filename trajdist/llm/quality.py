@@ -17,6 +17,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import lean
 from .words import Words, grams, hash_words, mix, slices
 
 # From so many bytes on, the lowest and highest ratio of compressed to raw bytes.
@@ -122,7 +123,7 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
                 yield pa.RecordBatch.from_arrays([part.column(0), *m.flatten()], ["id", *(f.name for f in m.type)])
 
     kind = rows.schema["id"].dataType.simpleString()
-    return rows.mapInArrow(run, f"id {kind}, {FIELDS}").withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), f"id {kind}, {FIELDS}").withColumnRenamed("id", id_col)
 
 
 def keep_good(docs: DataFrame, text_col: str = "text") -> DataFrame:
@@ -134,4 +135,4 @@ def keep_good(docs: DataFrame, text_col: str = "text") -> DataFrame:
             for part in slices(b, at):
                 yield part.filter(measure(part.column(at)).field("kept"))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
