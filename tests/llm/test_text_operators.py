@@ -114,6 +114,18 @@ def test_dense_regions_split(spark, monkeypatch):
     assert got == groups_of(rows)
 
 
+def test_near_duplicates_of_a_large_region(spark, monkeypatch):
+    """A text whose one link is to a text of a region that is far too large: splitting the region must not lose it."""
+    monkeypatch.setattr(near_dup, "REGION", 32)
+    base = [f"w{i}" for i in range(400)]
+    copies = [(i, " ".join(w if at != i else f"c{i}" for at, w in enumerate(base))) for i in range(1, 251)]
+    far = [(1000 + k, " ".join(f"f{k}n{at}" if at % 36 == k else w for at, w in enumerate(base))) for k in range(30)]
+    rows = [(0, " ".join(base)), *copies, *far]
+    got = {r.doc_id: r.component_id for r in near_dup.near_duplicates(docs(spark, rows)).collect()}
+    want = {i: c for i, (_, c) in groups_of(rows).items()}
+    assert set(want.values()) == {0} and got == want
+
+
 def test_near_duplicate_edges(spark):
     rows = [(None, "a b c d e f"), (4, "a b c d e f"), (4, "a b c d e f"), (2, "A b c d E f"), (7, "other words")]
     got = sorted((str(r.doc_id), str(r.component_id)) for r in near_dup.near_duplicates(docs(spark, rows)).collect())

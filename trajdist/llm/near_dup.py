@@ -7,7 +7,9 @@ prefixes, so depth adapts to density.  Within a region, signatures estimate ever
 the strongest links that connect its texts become candidates.  Candidates are confirmed on the full
 sets; connected components of the confirmed links are groups.  A second look takes the full sets of
 all texts that may have a link to another group of their region, and compares each with all such
-others, without a cap; a link that joins two groups is enough of them.
+others, without a cap; a link that joins two groups is enough of them.  It reads the regions of two
+values whole: those that were split are dealt into blocks that meet in pairs, so longer prefixes
+order the work and drop no pair.
 
 Texts with equal sets are one node.  Ids that are null link with nothing.  Rows that repeat
 an id are one node.
@@ -226,12 +228,13 @@ def _regionwise(rows: DataFrame, work, schema: pa.Schema) -> DataFrame:
     return rows.repartition("key").sortWithinPartitions("key", "id").mapInArrow(lean(_by_region(work, schema)), kind).distinct()
 
 
-def _regions(nodes: DataFrame, folder: str) -> DataFrame:
-    """key, id of all regions with company, each of at most about REGION rows.
+def _regions(nodes: DataFrame, folder: str) -> tuple[DataFrame, DataFrame | None]:
+    """key, id, whole of all regions with company, each of at most about REGION rows; key, id of those that were split.
 
     A region that is too large is dealt by a longer prefix of its own order.  Where even the whole
     label leaves too many, they are dealt into blocks, each with the region's first text.
     """
+    large = None
     rows = nodes.select("id", F.posexplode("keys").alias("tree", "key"))
     done, more = [], rows
     for step, length in enumerate(LENGTHS):
@@ -241,19 +244,44 @@ def _regions(nodes: DataFrame, folder: str) -> DataFrame:
             more = signed.withColumn("key", F.xxhash64("key", F.col("sig").substr(start, F.lit(length - LENGTHS[step - 1])))).drop("sig")
         sizes = more.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("first")).where("size > 1")
         sized = stored(more.join(sizes, "key"), f"{folder}/{length}")
-        done.append(sized.where(F.col("size") <= REGION).select("key", "id"))
+        done.append(sized.where(F.col("size") <= REGION).select("key", "id", F.lit(step == 0).alias("whole")))
         more = sized.where(F.col("size") > REGION)
         if more.isEmpty():
             break
+        if step == 0:
+            large = more.select("key", "id")
     else:
         blocks = F.ceil(F.col("size") / REGION).cast("int")
         leaders = more.where("id = first").withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1)))
         dealt = more.where("id != first").withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).unionByName(leaders)
-        done.append(dealt.select(F.xxhash64("key", "block").alias("key"), "id"))
+        done.append(dealt.select(F.xxhash64("key", "block").alias("key"), "id", F.lit(False).alias("whole")))
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
-    return out
+    return out, large
+
+
+def _paired(large: DataFrame, groups: DataFrame, nodes: DataFrame, folder: str) -> DataFrame:
+    """key, id, n, sig, group of regions that are too large, dealt so that all texts of different groups meet.
+
+    Of two such texts one at least is outside the region's largest group: blocks of those outside meet
+    blocks of all texts, about REGION rows at a time.
+    """
+    placed = stored(large.join(groups.select("id", "component"), "id", "left").select("key", "id", F.coalesce("component", "id").alias("group")), f"{folder}/placed")
+    sizes = placed.groupBy("key", "group").agg(F.count(F.lit(1)).alias("size"))
+    # At most a row for REGION texts of an order.
+    mixed = sizes.groupBy("key").agg(F.max_by("group", F.struct("size", "group")).alias("main"), F.sum("size").alias("size"), F.max("size").alias("most")).where("most < size")
+    half = REGION // 2
+    rows = placed.join(F.broadcast(mixed), "key").join(nodes.select("id", "n", "sig"), "id")
+    rows = rows.withColumn("blocks", F.ceil(F.col("size") / half).cast("int")).withColumn("outside", F.ceil((F.col("size") - F.col("most")) / half).cast("int"))
+    rows = stored(rows, f"{folder}/mixed")
+
+    def dealt(own: str, own_blocks: str, other: str, other_blocks: str) -> list:
+        return [F.pmod(F.xxhash64("id", F.lit(own)), F.col(own_blocks)).cast("int").alias(own), F.explode(F.sequence(F.lit(0), F.col(other_blocks) - 1)).alias(other)]
+
+    kept = ("key", "id", "n", "sig", "group")
+    out = rows.where("group != main").select(*kept, *dealt("p", "outside", "q", "blocks")).unionByName(rows.select(*kept, *dealt("q", "blocks", "p", "outside")))
+    return out.select(F.xxhash64("key", "p", "q").alias("key"), "id", "n", "sig", "group").dropDuplicates(["key", "id"])
 
 
 def _full_sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -336,7 +364,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     member = stored(named.select("id", "s1", "s2", "n").join(classes, ["s1", "s2", "n"]).select("id", "rep"), f"{folder}/member")
     reps = member.where("id = rep").select("id").distinct()
     nodes = named.join(reps, "id", "left_semi").select("id", "n", "keys", "sig").dropDuplicates(["id"])
-    regions = stored(_regions(nodes, f"{folder}/regions").join(nodes.select("id", "n", "sig"), "id"), f"{folder}/regions/all")
+    first, large = _regions(nodes, f"{folder}/regions")
+    regions = stored(first.join(nodes.select("id", "n", "sig"), "id"), f"{folder}/regions/all")
     known = texts.where("id is not null and text is not null")
 
     pairs = stored(_regionwise(regions, _strongest, _PAIR), f"{folder}/pairs")
@@ -344,9 +373,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     # Rows of one id that differ in text are one node: their sets' classes belong together.
     split = member.where("id != rep").select(F.col("id").alias("a"), F.col("rep").alias("b"))
     groups = stored(components(links, f"{folder}/groups1"), f"{folder}/grouped1")
-    placed = regions.join(groups.select("id", "component"), "id", "left").select("key", "id", "n", "sig", F.coalesce("component", "id").alias("group"))
+    placed = regions.where("whole").join(groups.select("id", "component"), "id", "left").select("key", "id", "n", "sig", F.coalesce("component", "id").alias("group"))
     mixed = placed.groupBy("key").agg(F.min("group").alias("lo"), F.max("group").alias("hi")).where("lo != hi").select("key")
-    again = stored(placed.join(mixed, "key", "left_semi"), f"{folder}/regions/mixed")
+    again = placed.join(mixed, "key", "left_semi")
+    if large is not None:
+        again = again.unionByName(_paired(large, groups, nodes, f"{folder}/regions/large"))
+    again = stored(again, f"{folder}/regions/mixed")
     more = spark.createDataFrame([], "a long, b long")
     open_ids = stored(_regionwise(again, _undecided, _PLACE), f"{folder}/undecided")
     if not open_ids.isEmpty():
