@@ -39,6 +39,33 @@ def test_template_of_a_host(spark):
     assert page_template.extract(pages(spark, [])).count() == 0
 
 
+def prose(i, n=30):
+    return " ".join(f"word{i * 50 + k}" for k in range(n))
+
+
+def extracted(spark, bodies):
+    rows = [(i, f"http://a.example/{i}", f"<html><body>{x}</body></html>") for i, x in enumerate(bodies)]
+    return {r.page_id: r.text for r in page_template.extract(pages(spark, rows)).collect()}
+
+
+def test_template_decides_over_article_elements(spark):
+    """A teaser in an article element, the same text again and again: the slot that varies and is long is the article."""
+    body = lambda i: f"<article><p>Read this first</p></article><div class=story><h2>Title {i}</h2><p>{prose(i)}</p>{f'<p>{prose(i + 100)}</p>' * (i % 3)}</div>"
+    got = extracted(spark, [body(i) for i in range(6)])
+    assert got == {i: "\n".join([f"Title {i}", prose(i), *[prose(i + 100)] * (i % 3)]) for i in range(6)}
+
+
+def test_classes_are_ordered(spark):
+    """Tokens with equal vectors whose order changes are no template."""
+    mixed = lambda i: "".join(["<p>One of two</p>", "<p>Two of two</p>"][:: 1 if i % 2 else -1])
+    rows = [(i, f"http://a.example/{i}", f"<html><body><div><p>{prose(i)}</p></div><section>{mixed(i)}</section></body></html>") for i in range(6)]
+    (found,) = page_template.templates(pages(spark, rows)).collect()
+    assert not found.dropped and found.tags
+    rows = [(i, f"http://a.example/{i}", f"<html><body><div><p>{prose(i)}</p></div><section>{mixed(0)}</section></body></html>") for i in range(6)]
+    (found,) = page_template.templates(pages(spark, rows)).collect()
+    assert len(found.dropped) == 2
+
+
 def test_given_pages(spark, sf_dir):
     d = table(spark, sf_dir, "pages")
     got = {r.page_id: r for r in page_template.extract(d).collect()}
