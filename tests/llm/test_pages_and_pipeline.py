@@ -66,6 +66,20 @@ def test_classes_are_ordered(spark):
     assert len(found.dropped) == 2
 
 
+def test_whole_region_is_kept(spark):
+    """Short titles, and lists and quotes of few pages, belong to the article."""
+    more = lambda i: "<ul><li>item</li></ul><blockquote>quote</blockquote>" if i == 2 else ""
+    got = extracted(spark, [f"<div class=top><p>Our site</p></div><div class=story><h1>Title {i}</h1><p>{prose(i)}</p>{more(i)}<p>The end</p></div><div class=end><p>Printed daily</p></div>" for i in range(6)])
+    assert got == {i: "\n".join([f"Title {i}", prose(i), *(["item", "quote"] if i == 2 else []), "The end"]) for i in range(6)}
+
+
+def test_copies_count_once(spark):
+    """Copies of an article on half of a host's pages are not its template."""
+    body = lambda i: f"<div><p>Our site</p><p>Printed daily</p></div><p>{prose(i)}</p><p>{prose(i + 100)}</p>"
+    got = extracted(spark, [body(i if i < 4 else 9) for i in range(9)])
+    assert got == {i: f"{prose(j)}\n{prose(j + 100)}" for i in range(9) for j in [i if i < 4 else 9]}
+
+
 def test_given_pages(spark, sf_dir):
     d = table(spark, sf_dir, "pages")
     got = {r.page_id: r for r in page_template.extract(d).collect()}
