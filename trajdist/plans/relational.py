@@ -99,19 +99,34 @@ def _(spark, sf_dir):
     return pairs.groupBy(F.col("q_traj_id").alias("q_traj"), F.col("q_seg_id").alias("q_seg")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@op("o9_asof_join", "SELECT o.o_orderkey, e.event_id FROM (SELECT * FROM orders WHERE o_orderkey % 50 = 0) o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.o_custkey % 15 = e.user_id AND o.o_orderdate >= e.ts")
-def _(t, spark):
-    o = t("orders").where("o_orderkey % 50 = 0").select((F.col("o_custkey") % 15).alias("k"), F.col("o_orderdate").alias("ts"), "o_orderkey", F.lit(None).cast("long").alias("event_id"), F.lit(1).alias("side"))
+def _asof(t, orders: DataFrame) -> DataFrame:
+    """Each order with its customer's last event before it."""
+    o = orders.select((F.col("o_custkey") % 15).alias("k"), F.col("o_orderdate").alias("ts"), "o_orderkey", F.lit(None).cast("long").alias("event_id"), F.lit(1).alias("side"))
     e = t("events").groupBy(F.col("user_id").alias("k"), "ts").agg(F.max("event_id").alias("event_id")).select("k", "ts", F.lit(None).cast("long").alias("o_orderkey"), "event_id", F.lit(0).alias("side"))
     w = Window.partitionBy("k").orderBy("ts", "side").rowsBetween(Window.unboundedPreceding, 0)
     return o.unionByName(e).withColumn("event_id", F.last("event_id", ignorenulls=True).over(w)).where("side = 1").select("o_orderkey", "event_id")
 
 
+@op("o9_asof_join", "SELECT o.o_orderkey, e.event_id FROM (SELECT * FROM orders WHERE o_orderkey % 50 = 0) o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.o_custkey % 15 = e.user_id AND o.o_orderdate >= e.ts")
+def _(t, spark):
+    return _asof(t, t("orders").where("o_orderkey % 50 = 0"))
+
+
+@op("o9_asof_join_whole", "SELECT o.o_orderkey, e.event_id FROM orders o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.o_custkey % 15 = e.user_id AND o.o_orderdate >= e.ts")
+def _(t, spark):
+    return _asof(t, t("orders"))
+
+
 @op("o10_outer_join", "SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 3 = 0) FULL OUTER JOIN (SELECT * FROM orders WHERE o_orderkey % 7 = 0) ON c_custkey = o_custkey")
 def _(t, spark):
     return t("customer").where("c_custkey % 3 = 0").join(t("orders").where("o_orderkey % 7 = 0"), F.col("c_custkey") == F.col("o_custkey"), "full_outer").select("c_custkey", "o_orderkey")
 
 
+@op("o10_outer_join_whole", "SELECT c_custkey, o_orderkey FROM customer FULL OUTER JOIN orders ON c_custkey = o_custkey")
+def _(t, spark):
+    return t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "full_outer").select("c_custkey", "o_orderkey")
+
+
 @op("o11_semi_anti", "SELECT doc_id, doc_id IN (SELECT doc_id FROM labels) AS labelled FROM documents")
 def _(t, spark):
     d, l = t("documents"), t("labels").select("doc_id")

@@ -97,10 +97,15 @@ def st1_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drain(source(spark, sf_dir).select("event_id", "user_id", "event_type"))
 
 
-def st2_watermark(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Daily counts of closed days: the watermark holds back what could still change."""
+def st2_closed_days(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Daily counts of all closed days: the watermark holds back what could still change."""
     e = source(spark, sf_dir, 1).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
-    return drain(e).select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n").where(F.col("day") < F.lit("2024-01-20").cast("timestamp_ntz"))
+    return drain(e).select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n")
+
+
+def st2_watermark(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Closed days before a fixed one."""
+    return st2_closed_days(spark, sf_dir).where(F.col("day") < F.lit("2024-01-20").cast("timestamp_ntz"))
 
 
 def _windows(build: Callable[[DataFrame], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
@@ -173,6 +178,7 @@ def oracles() -> dict[str, str]:
     return {
         "stream_st1_source": "SELECT event_id, user_id, event_type FROM events",
         "stream_st2_watermark": "SELECT date_trunc('day', ts)::TIMESTAMP AS day, count(*) AS n FROM events WHERE ts < TIMESTAMP '2024-01-20' GROUP BY 1",
+        "stream_st2_closed_days": "SELECT date_trunc('day', ts)::TIMESTAMP AS day, count(*) AS n FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY 1",
         "stream_st3_tumbling": "SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') AS start, count(*) AS n FROM events GROUP BY 1",
         "stream_st3_sliding": "SELECT start, count(*) AS n FROM (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - k * INTERVAL 6 HOUR AS start FROM events, unnest(range(0, 2)) AS u(k)) GROUP BY 1",
         "stream_st3_session": """SELECT user_id, CAST(sum(fresh) AS BIGINT) AS sessions, count(*) AS n FROM (SELECT user_id, CASE WHEN epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts)) <= 14400000000 THEN 0 ELSE 1 END AS fresh FROM events) GROUP BY 1""",
