@@ -2,8 +2,14 @@
 
 from __future__ import annotations
 
+import os
+
+import pytest
+
 from trajdist.llm import license_scan
 
+COMMON = "/usr/share/common-licenses"
+
 
 def rows_of(spark, rows):
     return spark.createDataFrame([(i, t, "clash", "clash") for i, t in rows], "doc_id long, text string, license string, digest string")
@@ -37,3 +43,17 @@ def test_own_table_and_nothing(spark):
     assert got == {1: "a", 2: None}
     assert license_scan.scan(rows_of(spark, []), known).count() == 0
     assert license_scan.scan(rows_of(spark, [(1, "x")]), license_scan.known_licenses(spark, {})).first().license is None
+
+
+@pytest.mark.skipif(not os.path.isdir(COMMON), reason="licence texts are not installed")
+def test_longer_licences(spark):
+    files = {"Apache-2.0": "Apache-2.0", "GPL-2.0": "GPL-2", "GPL-3.0": "GPL-3", "LGPL-2.1": "LGPL-2.1", "LGPL-3.0": "LGPL-3", "MPL-2.0": "MPL-2.0", "CC0-1.0": "CC0-1.0"}
+    rows, want = [], {}
+    for i, (name, file) in enumerate(files.items()):
+        with open(f"{COMMON}/{file}", encoding="utf-8") as f:
+            text = f.read()
+        short = text.split("END OF TERMS AND CONDITIONS")[0]
+        rows += [(4 * i, text), (4 * i + 1, text.upper().replace("\n", "\n * ")), (4 * i + 2, short), (4 * i + 3, text + " and more")]
+        want |= {4 * i: name, 4 * i + 1: name, 4 * i + 2: name, 4 * i + 3: None}
+    got = {r.doc_id: r.license for r in license_scan.scan(rows_of(spark, rows), license_scan.known_licenses(spark)).collect()}
+    assert got == want

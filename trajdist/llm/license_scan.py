@@ -83,6 +83,48 @@ KNOWN = {
 #: Titles that copies may carry before the text.
 TITLES = {"MIT": ("MIT License", "The MIT License"), "ISC": ("ISC License",), "BSD-2-Clause": ("BSD 2-Clause License",), "BSD-3-Clause": ("BSD 3-Clause License",), "Zlib": ("zlib License",)}
 
+#: Canonical digests of longer public licences, made from /usr/share/common-licenses: the whole text, and where it has a
+#: line that ends the terms, the text up to that line and before it.
+DIGESTS = {
+    "Apache-2.0": (
+        "327c1ba82b5806f96c825efbeacb3b6bd6849edd96c5dbbc903e86a5adb3e3e4",
+        "67ab7d8d481e387cbf4447c840bc8bd4f46e520d94f86982e49a4d97317199c3",
+        "e4668562b2eadb44825f219695a37cef64ff57d40d54e793658d08887601537b",
+    ),
+    "Artistic-1.0-Perl": ("065afd054b7b3891100d80895d113a7c684cbc25122fa1c526244c852fe5a9ba",),
+    "CC0-1.0": ("b096badc0168abbd7a6496f3097d3b3e33b5d3d54dbc0990a1eb8341c549c075",),
+    "GFDL-1.2": ("d50c72f802fd65b68fefdacc125a5dc5d60d876b08089cc01d65e48fc4ddee5e",),
+    "GFDL-1.3": ("c136842c3bb94c66f9158ddea107c935e305b1f3d74c98797ad031c4abf1d065",),
+    "GPL-1.0": (
+        "21e3b11fb32f9accb80f03d21737ce50fc0069dbfe86cd50e387340fada525d6",
+        "b6f369bdd84e6de75aa454489b778914b3d31b942699818c08c8b6b8e362011e",
+        "e7f731585e9d5909ec57e449337d50f61b84236e4c90cb5a8ee4b32d9e8bb200",
+    ),
+    "GPL-2.0": (
+        "4bcb950653ff617d0bb56b6426cfaea3eb41fe0664ad811753e30d52508cafeb",
+        "80e9b42142b79bb8a9f7fa8acecad289012c8d60a8feb9af774d6da139121f08",
+        "86c6867bbd61dd0c5d135090990b167c1e0032dbec2ecec0cc6d9150461d31cf",
+    ),
+    "GPL-3.0": (
+        "4e55c75daee918cdb49fdca24c0ddb7c951b6d8ba923bab02b343d77ac45f473",
+        "b5c5cfe06f2169a1cc905202a26affb702f8d0a8bd32ce510fa866468800f29b",
+        "c72b372d31476460d5f6ea7021a0db3d15aa96bcf3f6c69ffdcd606e4ed47c5e",
+    ),
+    "LGPL-2.0": (
+        "05bd90fc63b3dc9da2fb17e13c42b5749278f3d22242ebf4c31d37922c51cd86",
+        "7db3ed4089cdd5c7277a4678137a808a11bd6da5e504efc357b6819585e29826",
+        "c34d7c67c6bed7512e8c956fcda453369c50d0f573c9910560c243db0cc6fc49",
+    ),
+    "LGPL-2.1": (
+        "a5b9a354affa859f8f4e601263c1b26857a267f46a51a8fa99b68f7eb7992bf8",
+        "e53e78749bf942e74720c742260ed6e337805f21afecde25fccb2f55065c6af5",
+        "f2986f69bfa7d4a1cbb1e853daa269e79108bc0bea13c16908369a421ae86fc1",
+    ),
+    "LGPL-3.0": ("9111884d93a72b30a3d024876dab3d755949ac2cfab230268a4169a93b86560c",),
+    "MPL-1.1": ("689ed28ba5266ba6495d500b912a16fb2d446ed229dabae10d2c2af56461bb72",),
+    "MPL-2.0": ("c5e9fad60229272dec55ca65993d68b5305368110b17c326ee36d8c54fc5edea",),
+}
+
 
 # One-line notices and what they name.  All of them hold the letters "licen".
 NOTICES = {
@@ -110,13 +152,16 @@ def known_notices(spark: SparkSession) -> dict[str, str]:
 
 
 def known_licenses(spark: SparkSession, texts: dict[str, str] | None = None) -> DataFrame:
-    """license, digest: of the given texts, or of KNOWN with and without its titles."""
+    """license, digest: of the given texts, or of KNOWN with and without its titles and DIGESTS."""
     if texts is not None:
         rows = list(texts.items())
     else:
         rows = [(k, t) for k, text in KNOWN.items() for t in (text, *(f"{title}\n{text}" for title in TITLES[k]))]
     found = spark.createDataFrame(rows, "license string, text string") if rows else spark.createDataFrame([], "license string, text string")
-    return found.groupBy(digest(F.col("text")).alias("digest")).agg(F.min("license").alias("license"))
+    digests = found.select(digest(F.col("text")).alias("digest"), "license")
+    if texts is None:
+        digests = digests.unionByName(spark.createDataFrame([(d, k) for k, ds in DIGESTS.items() for d in ds], "digest string, license string"))
+    return digests.groupBy("digest").agg(F.min("license").alias("license"))
 
 
 def scan(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
