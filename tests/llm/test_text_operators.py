@@ -332,3 +332,10 @@ def test_language_edges(spark):
     assert sorted(r.doc_id for r in language_id.keep_identified(d, model).collect()) == [1, 2]
     assert {r.lang_pred for r in language_id.predict(d, {}).collect()} == {"und"}
     assert language_id.predict(d.limit(0), model).count() == 0 and language_id.fit(d.limit(0), F.lit(True)) == {}
+
+
+def test_model_sees_two_words_back(spark):
+    """What follows "b" is told by the word before it: the query's model has to use it."""
+    rows = [(i, "a b c" if i % 2 else "d b e") for i in range(40)]
+    mean = lambda found: sum(r.score for r in found[0].collect())
+    assert mean(kneser_ney.held_out_scores(docs(spark, rows), F.lit(True))) > mean(kneser_ney.held_out_scores(docs(spark, rows), F.lit(True), order=2)) + 1

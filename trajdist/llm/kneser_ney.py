@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from .shared import filesystem, shared_folder, stored, write_file
 from .words import Words, hash_words, mix, mix_int, slices
 
-ORDER = 2
+ORDER = 3
 #: n-grams that a task gathers before it sends them on.
 GATHER = 1_500_000
 #: Bytes of text that are scored together.
