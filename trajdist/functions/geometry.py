@@ -15,6 +15,15 @@ AXES = "xyz"
 MICRO = 1e6
 
 
+def amount(d: float | str) -> Column:
+    """A distance: a number, or the name of a query column that holds it (so that one pass answers several distances)."""
+    return F.col(f"q_{d}") if isinstance(d, str) else F.lit(float(d))
+
+
+def _amount_text(d: float | str) -> str:
+    return f"q_{d}" if isinstance(d, str) else f"CAST({float(d)!r} AS DOUBLE)"
+
+
 def box(df: DataFrame, d: float = 0.0) -> DataFrame:
     """Adds xlo..zhi, the bounding box grown by d on each spatial side."""
     for c in AXES:
@@ -52,16 +61,16 @@ def splice(df: DataFrame, k: int) -> DataFrame:
     return rows.select("traj_id", "seg_id", "part", *(at(c, i).alias(f"{c}0") for c in "txyz"), *(at(c, i + 1).alias(f"{c}1") for c in "txyz"))
 
 
-def hints(d: float, query: str = "q_", entry: str = "") -> Column:
+def hints(d: float | str, query: str = "q_", entry: str = "") -> Column:
     """Early rejection: time overlap, then overlap of the entry's box with the query's grown box."""
     q, e = (lambda c: F.col(query + c)), (lambda c: F.col(entry + c))
     keep = (q("t0") < e("t1")) & (e("t0") < q("t1"))
     for c in AXES:
-        keep &= (F.greatest(e(f"{c}0"), e(f"{c}1")) >= F.least(q(f"{c}0"), q(f"{c}1")) - F.lit(float(d))) & (F.least(e(f"{c}0"), e(f"{c}1")) <= F.greatest(q(f"{c}0"), q(f"{c}1")) + F.lit(float(d)))
+        keep &= (F.greatest(e(f"{c}0"), e(f"{c}1")) >= F.least(q(f"{c}0"), q(f"{c}1")) - amount(d)) & (F.least(e(f"{c}0"), e(f"{c}1")) <= F.greatest(q(f"{c}0"), q(f"{c}1")) + amount(d))
     return keep
 
 
-def approach_text(d: float) -> list[dict[str, str]]:
+def approach_text(d: float | str) -> list[dict[str, str]]:
     """Layers of expressions for the squared distance a*s*s + 2*b*s + c - d*d after s from the start of the common time.
 
     Each layer reads the one before; the same text runs in Spark and in the SQL oracles, so both round alike.
@@ -71,7 +80,7 @@ def approach_text(d: float) -> list[dict[str, str]]:
     for c in AXES:
         second[f"w{c}"] = f"(q_{c}1 - q_{c}0) / (q_t1 - q_t0) - ({c}1 - {c}0) / (t1 - t0)"
         second[f"d{c}"] = f"(q_{c}0 + (q_{c}1 - q_{c}0) / (q_t1 - q_t0) * (b0 - q_t0)) - ({c}0 + ({c}1 - {c}0) / (t1 - t0) * (b0 - t0))"
-    third = {"qa": "wx * wx + wy * wy + wz * wz", "qb": "dx * wx + dy * wy + dz * wz", "qc": f"dx * dx + dy * dy + dz * dz - CAST({float(d)!r} AS DOUBLE) * CAST({float(d)!r} AS DOUBLE)"}
+    third = {"qa": "wx * wx + wy * wy + wz * wz", "qb": "dx * wx + dy * wy + dz * wz", "qc": f"dx * dx + dy * dy + dz * dz - {_amount_text(d)} * {_amount_text(d)}"}
     fourth = {"disc": "qb * qb - qa * qc"}
     zero = "CAST(0 AS DOUBLE)"
     fifth = {
@@ -97,7 +106,7 @@ def _quadratic(pairs: DataFrame, layers: list[dict[str, str]]) -> DataFrame:
     return out.select(*pairs.columns, F.inline(F.array(F.struct("b0", "b1", "qa", "qb", "qc"))))
 
 
-def within(pairs: DataFrame, d: float, keep: tuple[str, ...] = ("q_traj_id", "q_seg_id", "traj_id", "seg_id"), stable: bool = False) -> DataFrame:
+def within(pairs: DataFrame, d: float | str, keep: tuple[str, ...] = ("q_traj_id", "q_seg_id", "traj_id", "seg_id"), stable: bool = False) -> DataFrame:
     """The time interval [lo, hi] of each pair in which its distance is at most d; pairs without one are dropped.
 
     Squared distance is convex, so each pair has one interval at most.  ``stable`` takes the roots in the
@@ -117,9 +126,18 @@ def within(pairs: DataFrame, d: float, keep: tuple[str, ...] = ("q_traj_id", "q_
     return out.where("s0 <= s1").select(*keep, (F.col("b0") + F.col("s0")).alias("lo"), (F.col("b0") + F.col("s1")).alias("hi"))
 
 
-def matches(pairs: DataFrame, d: float) -> DataFrame:
-    """``within`` with the columns of a result."""
-    return within(pairs, d).select(F.col("q_traj_id").alias("q_traj"), F.col("q_seg_id").alias("q_seg"), "traj_id", "seg_id", "lo", "hi")
+def matches(pairs: DataFrame, d: float | str, keep: tuple[str, ...] = ()) -> DataFrame:
+    """``within`` with the columns of a result; a distance from a column stays beside them, and so does ``keep``."""
+    more = ([f"q_{d}"] if isinstance(d, str) else []) + list(keep)
+    found = within(pairs, d, ("q_traj_id", "q_seg_id", "traj_id", "seg_id", *more))
+    return found.select(F.col("q_traj_id").alias("q_traj"), F.col("q_seg_id").alias("q_seg"), "traj_id", "seg_id", "lo", "hi", *(F.col(c).alias(c.removeprefix("q_")) for c in more))
+
+
+def repeated(found: DataFrame, arises: str) -> DataFrame:
+    """Rows that arose ``arises`` times each, once: rows that were there twice to begin with stay twice."""
+    keys = [c for c in found.columns if c != arises]
+    once = found.groupBy(*keys, arises).agg(F.count(F.lit(1)).alias("_n"))
+    return once.select(*keys, F.explode(F.sequence(F.lit(1).cast("long"), F.expr(f"_n div {arises}"))).alias("_k")).drop("_k")
 
 
 def min_distance(pairs: DataFrame) -> DataFrame:

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from collections.abc import Callable
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..session import materialize
+from ..session import materialize, shared_folder
 from .index import dense_ids
 
 
@@ -14,29 +16,23 @@ def cell_rounds(demand: DataFrame, size: int) -> DataFrame:
 
     In every round the buffer is split evenly among the pending queries; those whose demand fits are done.
     If none fits, the smallest go first, as many as fit together; a query that needs more than the whole
-    buffer is served alone, in chunks of it.
+    buffer is served alone, in chunks of it.  What is pending is always the end of the queries' order by demand, so
+    a round is one small aggregate over the ordered queries; rounds are at most as many as queries.
     """
-    pending = materialize(demand.select("q_traj", "q_seg", "demand"))
-    left, done, k = pending.count(), [], 0
-    while left:
-        k += 1
-        capacity = size // left
-        fits = F.col("demand") <= capacity
-        if pending.where(fits).isEmpty():
-            ordered = running_sum(pending, ["demand", "q_traj", "q_seg"])
-            chosen = materialize(ordered.where((F.col("_before") + F.col("demand") <= size) | (F.col("_i") == 0)).drop("_before", "_i"))
-            capacity = size
-        else:
-            chosen = pending.where(fits)
-        done.append(chosen.withColumn("round", F.lit(k)).withColumn("capacity", F.lit(capacity).cast("long")).withColumn("chunks", F.greatest(F.lit(1).cast("long"), F.ceil(F.col("demand") / size))))
-        pending = materialize(pending.join(chosen.select("q_traj", "q_seg"), ["q_traj", "q_seg"], "left_anti"))
-        left = pending.count()
-    if not done:
-        return demand.select("q_traj", "q_seg", "demand").withColumns({"round": F.lit(0), "capacity": F.lit(0).cast("long"), "chunks": F.lit(1).cast("long")}).limit(0)
-    out = done[0]
-    for d in done[1:]:
-        out = out.unionByName(d)
-    return out
+    ordered = materialize(running_sum(demand.select("q_traj", "q_seg", "demand"), ["demand", "q_traj", "q_seg"]))
+    n, begin, ends = ordered.count(), 0, []
+    while begin < n:
+        capacity = size // (n - begin)
+        done = ordered.where(F.col("demand") <= capacity).count()
+        if done <= begin:
+            spent = ordered.where(F.col("_i") == begin).first()["_before"]
+            fits = (F.col("_before") + F.col("demand") - spent <= size) | (F.col("_i") == begin)
+            done, capacity = ordered.where((F.col("_i") >= begin) & fits).count() + begin, size
+        ends.append((len(ends) + 1, capacity, begin, done))
+        begin = done
+    table = demand.sparkSession.createDataFrame(ends, "round int, capacity long, _a long, _z long")
+    rows = ordered.join(F.broadcast(table), (F.col("_i") >= F.col("_a")) & (F.col("_i") < F.col("_z")))
+    return rows.select("q_traj", "q_seg", "demand", "round", "capacity", F.greatest(F.lit(1).cast("long"), F.ceil(F.col("demand") / size)).alias("chunks"))
 
 
 def running_sum(demand: DataFrame, order: list[str]) -> DataFrame:
@@ -61,15 +57,37 @@ def rounds(batched: DataFrame) -> int:
     return batched.select("batch_id").distinct().count()
 
 
-def run_batches(q: DataFrame, batched: DataFrame, search, sink: str) -> int:
-    """Runs ``search(queries)`` batch by batch and appends each result to ``sink``; returns the number of batches."""
-    ids = [r[0] for r in batched.select("batch_id").distinct().orderBy("batch_id").collect()]
-    keyed = q.join(batched.select(F.col("q_traj").alias("traj_id"), F.col("q_seg").alias("seg_id"), "batch_id"), ["traj_id", "seg_id"])
-    for i in ids:
-        search(keyed.where(F.col("batch_id") == i).drop("batch_id")).write.mode("append").parquet(sink)
-    return len(ids)
+_RESULT = "q_traj long, q_seg long, traj_id long, seg_id long, lo double, hi double"
+
+
+def run_batches(q: DataFrame, batched: DataFrame, search: Callable[[DataFrame], DataFrame], key: str = "batch_id", chunked: Callable[[DataFrame, int, int], DataFrame] | None = None) -> DataFrame:
+    """Runs ``search(queries)`` batch by batch, in the order of ``key``, and returns all results from where they were written.
+
+    Each invocation overwrites a folder of its own, so one that is run again leaves its results once.  Queries whose
+    ``chunks`` are more than one are answered by ``chunked(queries, i, chunks)``, pass by pass."""
+    spark = q.sparkSession
+    out = shared_folder(spark, "batches")
+    more = ["chunks"] if chunked else []
+    plan = materialize(batched.select(F.col("q_traj").alias("traj_id"), F.col("q_seg").alias("seg_id"), F.col(key).alias("_batch"), *more).distinct())
+    keyed = materialize(q.join(plan, ["traj_id", "seg_id"]))
+    # One row for each invocation.
+    for r in sorted(plan.select("_batch", *more).distinct().collect()):
+        mine = keyed.where(F.col("_batch") == r[0])
+        if chunked is None or r.chunks == 1:
+            search(mine.where("chunks = 1") if chunked else mine).write.mode("overwrite").parquet(f"{out}/b{r[0]}")
+        else:
+            for i in range(r.chunks):
+                chunked(mine.where(F.col("chunks") == r.chunks), i, r.chunks).write.mode("overwrite").parquet(f"{out}/b{r[0]}-{r.chunks}-{i}")
+    if plan.isEmpty():
+        return spark.createDataFrame([], _RESULT)
+    return spark.read.schema(_RESULT).option("recursiveFileLookup", "true").parquet(out)
+
+
+def demand_class(demand: str = "demand") -> Column:
+    """Queries of like demand share a class: the power of two below it, -1 for none."""
+    return F.when(F.col(demand) > 0, F.floor(F.log2(demand)).cast("int")).otherwise(-1)
 
 
-def salted(matches_key: str, parts: int):
-    """A key column with a salt, to deal a heavy group of queries over several tasks."""
-    return F.concat_ws("-", F.col(matches_key).cast("string"), F.pmod(F.xxhash64("q_traj_id", "q_seg_id"), F.lit(parts)).cast("string"))
+def grouped(demand: DataFrame) -> DataFrame:
+    """class, queries, total: queries of like demand stand together, so that a heavy one does not hold up light ones."""
+    return demand.groupBy(demand_class().alias("class")).agg(F.count(F.lit(1)).alias("queries"), F.sum("demand").cast("long").alias("total"))

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import geometry
 from ..functions.geometry import AXES
-from .index import Extents, as_queries, extents, other_trajectory
+from .index import Extents, as_queries, entries_of, extents, other_trajectory
 
 #: Lookup rows for each entry that a grid may make.
 REPLICATION = 500.0
@@ -37,11 +37,11 @@ class Grid(NamedTuple):
         return (cx * self.n[1] + cy) * self.n[2] + cz
 
 
-def corners(df: DataFrame, grid: Grid, dist: float = 0.0, prefix: str = "") -> DataFrame:
+def corners(df: DataFrame, grid: Grid, dist: float | str = 0.0, prefix: str = "") -> DataFrame:
     """Adds the lowest and highest cell of the box grown by ``dist``, by axis: xa, xz, ya, yz, za, zz (prefixed)."""
     for i, c in enumerate(AXES):
         a, b = F.col(f"{prefix}{c}0"), F.col(f"{prefix}{c}1")
-        df = df.withColumn(f"{prefix}{c}a", grid.number(i, F.least(a, b) - F.lit(float(dist)))).withColumn(f"{prefix}{c}z", grid.number(i, F.greatest(a, b) + F.lit(float(dist))))
+        df = df.withColumn(f"{prefix}{c}a", grid.number(i, F.least(a, b) - geometry.amount(dist))).withColumn(f"{prefix}{c}z", grid.number(i, F.greatest(a, b) + geometry.amount(dist)))
     return df
 
 
@@ -50,7 +50,7 @@ def cells_touched(prefix: str = "") -> Column:
     return sizes[0] * sizes[1] * sizes[2]
 
 
-def of_box(df: DataFrame, grid: Grid, dist: float = 0.0, prefix: str = "") -> DataFrame:
+def of_box(df: DataFrame, grid: Grid, dist: float | str = 0.0, prefix: str = "") -> DataFrame:
     """A row (h) for each cell of each box."""
     out = corners(df, grid, dist, prefix)
     for c in AXES:
@@ -61,12 +61,17 @@ def of_box(df: DataFrame, grid: Grid, dist: float = 0.0, prefix: str = "") -> Da
 _INNER = [f"_c{c}" for c in AXES]
 
 
-def lookup(d: DataFrame, grid: Grid, points: bool = False, limit: float = REPLICATION) -> DataFrame:
-    """Entries with every cell h they touch.  With ``points`` only their start counts: one cell each.
+def collapsed(d: DataFrame) -> DataFrame:
+    """Segments that stay at their start for their whole time: each touches one cell."""
+    for c in AXES:
+        d = d.withColumn(f"{c}1", F.col(f"{c}0"))
+    return d
+
+
+def lookup(d: DataFrame, grid: Grid, limit: float = REPLICATION) -> DataFrame:
+    """Entries with every cell h they touch.
 
     Counts the rows before making them, and refuses a grid that is too fine for the segments."""
-    if points:
-        return d.withColumn("h", grid.linear(*(grid.number(i, F.col(f"{c}0")) for i, c in enumerate(AXES))))
     r = corners(d, grid).agg(F.count(F.lit(1)).alias("n"), F.sum(cells_touched()).alias("rows")).first()
     if r["n"] and r["rows"] > limit * r["n"]:
         raise ValueError(f"{r['rows']} cell entries for {r['n']} segments: the grid is too fine")
@@ -95,40 +100,54 @@ class CellIndex(NamedTuple):
 
 
 def build(d: DataFrame, nx: int, ny: int | None = None, nz: int | None = None, points: bool = False, limit: float = REPLICATION) -> CellIndex:
+    """With ``points`` entries are taken as points that rest at their start."""
+    d = collapsed(entries_of(d)) if points else entries_of(d)
     grid = Grid.of(extents(d), nx, ny, nz)
-    look = corners(lookup(d, grid, points, limit), grid)
+    look = lookup(d, grid, limit)
     return CellIndex(look, directory(look), grid)
 
 
-def query_cells(q: DataFrame, index: CellIndex, dist: float) -> DataFrame:
+def query_cells(q: DataFrame, index: CellIndex, dist: float | str) -> DataFrame:
     """Queries (prefixed) with each cell of their grown box that is not empty."""
-    return of_box(as_queries(q), index.grid, dist, "q_").drop(*_INNER).join(index.directory.select("h"), "h", "left_semi")
+    return of_box(as_queries(q, dist), index.grid, dist, "q_").drop(*_INNER).join(index.directory.select("h"), "h", "left_semi")
 
 
-def candidates(q: DataFrame, index: CellIndex, dist: float) -> DataFrame:
-    """Pairs by shared cell: a pair arises once for each cell that both touch."""
-    return query_cells(q, index, dist).join(index.lookup, "h")
+def candidates(q: DataFrame, index: CellIndex, dist: float | str) -> DataFrame:
+    """Pairs by shared cell: a pair arises once for each cell that both touch, ``_arises`` times."""
+    pairs = query_cells(q, index, dist).join(index.lookup, "h")
+    arises = F.lit(1).cast("long")
+    for c in AXES:
+        arises = arises * (F.least(f"q_{c}z", f"{c}z") - F.greatest(f"q_{c}a", f"{c}a") + 1)
+    return pairs.withColumn("_arises", arises)
 
 
-_KEY = ["q_traj_id", "q_seg_id", "traj_id", "seg_id"]
+def owned(pairs: DataFrame, grid: Grid) -> DataFrame:
+    """A pair only in the cell of the larger of the two low corners: once."""
+    return pairs.where(F.col("h") == grid.linear(*(F.greatest(f"q_{c}a", f"{c}a") for c in AXES)))
 
 
-def search(q: DataFrame, index: CellIndex, dist: float, dedup: str = "owner", exclude_self: bool = True) -> DataFrame:
+def search(q: DataFrame, index: CellIndex, dist: float | str, dedup: str = "owner", exclude_self: bool = True) -> DataFrame:
     """``late`` compares every candidate and removes repeated results; ``early`` removes repeated candidates first;
     ``owner`` takes a pair only in the cell of the larger of the two low corners, so none repeats and nothing is shuffled for it."""
     pairs = candidates(q, index, dist).where(other_trajectory(exclude_self))
+    if dedup == "late":
+        return geometry.repeated(geometry.matches(pairs.where(geometry.hints(dist)), dist, ("_arises",)), "_arises")
     if dedup == "early":
-        pairs = pairs.dropDuplicates(_KEY)
+        pairs = geometry.repeated(pairs.drop("h"), "_arises")
     elif dedup == "owner":
-        own = index.grid.linear(*(F.greatest(f"q_{c}a", f"{c}a") for c in AXES))
-        pairs = pairs.where(F.col("h") == own)
-    elif dedup != "late":
+        pairs = owned(pairs, index.grid)
+    else:
         raise ValueError(dedup)
-    found = geometry.matches(pairs.where(geometry.hints(dist)), dist)
-    return found.dropDuplicates(["q_traj", "q_seg", "traj_id", "seg_id"]) if dedup == "late" else found
+    return geometry.matches(pairs.where(geometry.hints(dist)), dist)
+
+
+def demand(q: DataFrame, index: CellIndex, dist: float | str) -> DataFrame:
+    """q_traj, q_seg, demand: candidates of each query, from the directory alone (and the distance, where it is a column)."""
+    more = [f"q_{dist}"] if isinstance(dist, str) else []
+    met = of_box(as_queries(q, dist), index.grid, dist, "q_").select("q_traj_id", "q_seg_id", "h", *more).join(index.directory.select("h", "n"), "h", "left")
+    return met.groupBy(F.col("q_traj_id").alias("q_traj"), F.col("q_seg_id").alias("q_seg"), *(F.col(c).alias(c.removeprefix("q_")) for c in more)).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("demand"))
 
 
-def demand(q: DataFrame, index: CellIndex, dist: float) -> DataFrame:
-    """q_traj, q_seg, demand: candidates of each query, from the directory alone."""
-    met = of_box(as_queries(q), index.grid, dist, "q_").select("q_traj_id", "q_seg_id", "h").join(index.directory.select("h", "n"), "h", "left")
-    return met.groupBy(F.col("q_traj_id").alias("q_traj"), F.col("q_seg_id").alias("q_seg")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("demand"))
+def chunk(index: CellIndex, i: int, of: int) -> CellIndex:
+    """The share of the entries that pass ``i`` of a query looks at, where it needs more than the buffer holds."""
+    return index._replace(lookup=index.lookup.where(F.pmod(F.xxhash64("traj_id", "seg_id"), F.lit(of)) == i)) if of > 1 else index

@@ -1,14 +1,23 @@
-"""What all indexes need: extents, dense ids, query ids, and rows prefixed for pairs."""
+"""What all indexes need: extents, dense ids, and rows prefixed for pairs.
+
+Rules that every search follows.  Queries and entries are read as SEGMENT's columns only: what else a table
+holds, whatever its name, does not take part and is not in the answer.  A row is a segment by itself: a
+segment that is there twice, as a query or as an entry, is answered twice, as by comparing all pairs.
+"""
 
 from __future__ import annotations
 
 from typing import NamedTuple
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.geometry import AXES
 from ..session import materialize
+from ..sources.tables import COLUMNS
+
+#: Rows up to which a directory is broadcast; a larger one meets queries by a shuffle.
+BROADCAST_ROWS = 500_000
 
 
 class Extents(NamedTuple):
@@ -50,23 +59,38 @@ def dense_ids(df: DataFrame, order: list[str], name: str = "eid") -> DataFrame:
     return placed.join(F.broadcast(table), "_part").withColumn(name, F.col("_begin") + F.col("_row")).drop("_part", "_row", "_begin")
 
 
-def global_ids(df: DataFrame, order: list[str], name: str = "eid") -> DataFrame:
-    """The same numbers by one window: for small data and as a check of ``dense_ids``."""
-    return df.withColumn(name, (F.row_number().over(Window.orderBy(*order)) - 1).cast("long"))
+ENTRY_ORDER = ["t0", "traj_id", "seg_id"]
 
 
-ENTRY_ORDER = ["t0", "traj_id", "seg_id"]
+def entries_of(d: DataFrame) -> DataFrame:
+    return d.select(*COLUMNS)
+
 
+def as_queries(q: DataFrame, dist: float | str = 0.0) -> DataFrame:
+    """SEGMENT's columns with the prefix q_, and the column of the distance where that is one."""
+    return q.select(*(F.col(c).alias(f"q_{c}") for c in COLUMNS + ([dist] if isinstance(dist, str) else [])))
 
-def as_queries(q: DataFrame) -> DataFrame:
-    """Query columns with the prefix q_."""
-    return q.select(*(F.col(c).alias(f"q_{c}") for c in q.columns))
+
+def small(table: DataFrame, rows: int) -> DataFrame:
+    """Broadcast if its bound allows."""
+    return F.broadcast(table) if rows <= BROADCAST_ROWS else table
+
+
+def at_distances(q: DataFrame, dists: tuple[float, ...], name: str = "dist") -> DataFrame:
+    """Each query once for each distance, in a column that searches take as their distance."""
+    return q.select(*COLUMNS, F.explode(F.array(*(F.lit(float(x)) for x in dists))).alias(name))
 
 
 def other_trajectory(exclude_self: bool) -> Column:
     return F.col("q_traj_id") != F.col("traj_id") if exclude_self else F.lit(True)
 
 
-def by_trajectory(q: DataFrame) -> DataFrame:
-    """Queries stored by trajectory, so that neighbours in space stand together."""
-    return q.repartition("traj_id").sortWithinPartitions("traj_id", "seg_id")
+def by_trajectory(q: DataFrame, tasks: int | None = None) -> DataFrame:
+    """Queries dealt by trajectory and in order inside, so that a task holds neighbours in space."""
+    dealt = q.repartition(tasks, "traj_id") if tasks else q.repartition("traj_id")
+    return dealt.sortWithinPartitions("traj_id", "seg_id")
+
+
+def by_start(q: DataFrame) -> DataFrame:
+    """Queries in the order of their starts, in ranges."""
+    return q.repartitionByRange("t0").sortWithinPartitions(*ENTRY_ORDER)

@@ -1,7 +1,8 @@
 """TREE: a packed R-tree over boxes in space and time, the baseline.
 
 ``r`` consecutive segments of a trajectory share a leaf box.  Leaves are packed by slices of time, then of
-each spatial axis; every level has one node for ``fanout`` of the level below.
+each spatial axis; every level has one node for ``fanout`` of the level below.  Levels above the leaves are a
+fraction of them and are broadcast while that is small; queries meet larger ones by a shuffle on the parent.
 """
 
 from __future__ import annotations
@@ -15,8 +16,9 @@ from pyspark.sql import functions as F
 
 from ..functions import geometry
 from ..functions.geometry import AXES
+from ..session import materialize
 from . import timebins
-from .index import as_queries, dense_ids, extents, other_trajectory
+from .index import as_queries, by_trajectory, dense_ids, entries_of, other_trajectory, small
 
 BOX = [f"{c}{k}" for c in "txyz" for k in ("lo", "hi")]
 
@@ -32,69 +34,74 @@ def leaves(d: DataFrame, r: int) -> DataFrame:
 
 def with_leaf(d: DataFrame, r: int) -> DataFrame:
     rank = F.row_number().over(Window.partitionBy("traj_id").orderBy("seg_id")) - 1
-    return d.withColumn("leaf", F.floor(rank / r).cast("long"))
+    return entries_of(d).withColumn("leaf", F.floor(rank / r).cast("long"))
 
 
-def _sliced(df: DataFrame, c: str, slices: int) -> Column:
-    """The slice of a box's middle between approximate quantiles; at most slices - 1 bounds come to the driver."""
-    mid = f"({c}lo + {c}hi) / 2"
-    cuts = df.select(F.expr(mid).alias("m")).approxQuantile("m", [i / slices for i in range(1, slices)], 0.01) if slices > 1 else []
-    return sum((F.expr(f"CAST({mid} > {b!r}D AS INT)") for b in cuts), F.lit(0))
+def _sliced(df: DataFrame, slices: int) -> DataFrame:
+    """The slices of a box's middle, in t, x and y, between approximate quantiles: one pass, at most 3 (slices - 1) bounds."""
+    mids = {c: F.expr(f"({c}lo + {c}hi) / 2") for c in "txy"}
+    cuts = df.select(*(m.alias(c) for c, m in mids.items())).approxQuantile(list(mids), [i / slices for i in range(1, slices)], 0.01) if slices > 1 else [[]] * 3
+    return df.withColumns({f"_s{c}": sum(((m > F.lit(b)).cast("int") for b in bounds), F.lit(0)) for (c, m), bounds in zip(mids.items(), cuts)})
 
 
 class Tree(NamedTuple):
     levels: list[DataFrame]  # from the root's children down to the leaves: node, parent, box
     entries: DataFrame  # segments with leaf
     fanout: int
+    sizes: list[int]  # nodes of each level
 
 
 def build(d: DataFrame, r: int, fanout: int = 16) -> Tree:
-    entries = with_leaf(d, r)
-    boxes = leaves(d, r)
+    boxes = materialize(leaves(d, r))
     n = boxes.count()
     slices = max(1, math.ceil((n / fanout) ** 0.25))
-    for c in "txy":
-        boxes = boxes.withColumn(f"_s{c}", _sliced(boxes, c, slices))
     order = ["_st", "_sx", "_sy", "zlo", "tlo", "traj_id", "leaf"]
-    level = dense_ids(boxes, order, "node").drop("_st", "_sx", "_sy", "n")
-    levels = [level.withColumn("parent", F.expr(f"node div {fanout}"))]
+    level = dense_ids(_sliced(boxes, slices), order, "node").drop("_st", "_sx", "_sy")
+    levels, sizes = [materialize(level.withColumn("parent", F.expr(f"node div {fanout}")))], [n]
     while n > 1:
         n = math.ceil(n / fanout)
         up = levels[0].groupBy(F.col("parent").alias("node")).agg(*(F.min(b).alias(b) if b.endswith("lo") else F.max(b).alias(b) for b in BOX))
-        levels.insert(0, up.withColumn("parent", F.expr(f"node div {fanout}")))
-    return Tree(levels, entries, fanout)
+        levels.insert(0, materialize(up.withColumn("parent", F.expr(f"node div {fanout}"))))
+        sizes.insert(0, n)
+    return Tree(levels, with_leaf(d, r), fanout, sizes)
 
 
-def _meets(dist: float) -> Column:
+def store(tree: Tree) -> Tree:
+    """The tree with its entries laid out by leaf."""
+    return tree._replace(entries=timebins.in_place(tree.entries, ["traj_id", "leaf"]))
+
+
+def _meets(dist: float | str) -> Column:
     """A node's box against the query's box, which is grown in space only."""
     keep = (F.col("tlo") < F.col("q_t1")) & (F.col("q_t0") < F.col("thi"))
     for c in AXES:
-        keep &= (F.col(f"{c}lo") <= F.greatest(f"q_{c}0", f"q_{c}1") + F.lit(float(dist))) & (F.col(f"{c}hi") >= F.least(f"q_{c}0", f"q_{c}1") - F.lit(float(dist)))
+        keep &= (F.col(f"{c}lo") <= F.greatest(f"q_{c}0", f"q_{c}1") + geometry.amount(dist)) & (F.col(f"{c}hi") >= F.least(f"q_{c}0", f"q_{c}1") - geometry.amount(dist))
     return keep
 
 
-def frontiers(q: DataFrame, tree: Tree, dist: float) -> list[DataFrame]:
-    """The visited nodes of each level: queries with node."""
-    now = as_queries(q).withColumn("_at", F.lit(0).cast("long"))
+def frontiers(q: DataFrame, tree: Tree, dist: float | str) -> list[DataFrame]:
+    """The visited nodes of each level: queries with node; for leaves also traj_id, leaf and their number of members n."""
+    now = as_queries(q, dist).withColumn("_at", F.lit(0).cast("long"))
     out = []
-    for level in tree.levels:
-        met = now.join(level.withColumnRenamed("parent", "_at"), "_at").where(_meets(dist)).drop("_at", *BOX)
+    for level, size in zip(tree.levels, tree.sizes):
+        met = now.join(small(level.withColumnRenamed("parent", "_at"), size), "_at").where(_meets(dist)).drop("_at", *BOX)
         out.append(met)
-        now = met.drop("traj_id", "leaf").withColumnRenamed("node", "_at")
+        now = met.drop("traj_id", "leaf", "n").withColumnRenamed("node", "_at")
     return out
 
 
-def candidates(q: DataFrame, tree: Tree, dist: float) -> DataFrame:
+def candidates(q: DataFrame, tree: Tree, dist: float | str) -> DataFrame:
     """Pairs of queries and the members of the leaves they reach."""
-    return frontiers(q, tree, dist)[-1].drop("node").join(tree.entries, ["traj_id", "leaf"])
+    return frontiers(q, tree, dist)[-1].drop("node", "n").join(tree.entries, ["traj_id", "leaf"])
 
 
-def search(q: DataFrame, tree: Tree, dist: float, exclude_self: bool = True) -> DataFrame:
-    pairs = candidates(q, tree, dist)
+def search(q: DataFrame, tree: Tree, dist: float | str, exclude_self: bool = True, tasks: int | None = None) -> DataFrame:
+    """``tasks`` deals queries by trajectory over so many tasks, each of which goes down the tree for its own."""
+    pairs = candidates(by_trajectory(q, tasks) if tasks else q, tree, dist)
     return geometry.matches(pairs.where(other_trajectory(exclude_self) & geometry.hints(dist)), dist)
 
 
-def visited(q: DataFrame, tree: Tree, dist: float) -> DataFrame:
+def visited(q: DataFrame, tree: Tree, dist: float | str) -> DataFrame:
     """level, nodes: how many nodes queries visit."""
     parts = [f.agg(F.count(F.lit(1)).alias("nodes")).withColumn("level", F.lit(i)) for i, f in enumerate(frontiers(q, tree, dist))]
     out = parts[0]
@@ -103,31 +110,66 @@ def visited(q: DataFrame, tree: Tree, dist: float) -> DataFrame:
     return out.select("level", "nodes")
 
 
-def search_local(q: DataFrame, d: DataFrame, dist: float, parts: int = 64, exclude_self: bool = True) -> DataFrame:
-    """Two tiers: time bins route queries to parts of the entries, which are pruned there in Arrow blocks.
+#: Entries of a local leaf, and pairs that a task of the local search looks at together.
+LOCAL_LEAF, LOCAL_PAIRS = 32, 1 << 20
+
+
+def search_local(q: DataFrame, d: DataFrame, dist: float, parts: int = 64, exclude_self: bool = True, block: int = 200_000) -> DataFrame:
+    """Two tiers: time bins route queries to parts of the entries, each of which packs a tree of its own.
 
-    Entries of a part are read by blocks of queries and sorted by time, so that each query looks at a slice."""
-    index = timebins.build(d, parts)
-    routed = timebins.overlaps(as_queries(q), index.directory, index.bins).drop("first", "last", "n")
-    names = [f"q_{c}" for c in q.columns] + d.columns
-    schema = ", ".join(f"{c} {t}" for c, t in [(f"q_{c}", t) for c, t in q.dtypes] + d.dtypes)
+    A part holds at most about ``block`` entries (a fuller bin is dealt over several).  Its entries are sorted by slices of time,
+    then x, into leaves; queries meet the leaves' boxes, and the members of those they reach, in blocks of bounded size."""
+    index = timebins.build(d, parts, block=block)
+    keys = timebins.keys_of(index)
+    met = timebins.overlaps(as_queries(q), index.directory, index.bins, keep=("n",))
+    routed = timebins.every_block(met, F.col("n"), index.block).drop("n")
+    names = [c for c in routed.columns + index.entries.columns if c not in keys]
+    kinds = dict(routed.dtypes + index.entries.dtypes)
 
     def meet(_key, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         import numpy as np
 
-        right = right.sort_values("t0", ignore_index=True)
-        longest = float((right.t1 - right.t0).max()) if len(right) else 0.0
-        starts = right.t0.to_numpy()
-        lo, hi = np.searchsorted(starts, left.q_t0.to_numpy() - longest, "left"), np.searchsorted(starts, left.q_t1.to_numpy(), "left")
-        sizes = np.maximum(hi - lo, 0)
-        i = np.repeat(np.arange(len(left)), sizes)
-        j = np.arange(len(i)) - np.repeat(np.cumsum(sizes) - sizes, sizes) + np.repeat(lo, sizes)
-        keep = (left.q_t0.to_numpy()[i] < right.t1.to_numpy()[j]) & (right.t0.to_numpy()[j] < left.q_t1.to_numpy()[i])
-        for c in AXES:
-            q0, q1, e0, e1 = left[f"q_{c}0"].to_numpy()[i], left[f"q_{c}1"].to_numpy()[i], right[f"{c}0"].to_numpy()[j], right[f"{c}1"].to_numpy()[j]
-            keep &= (np.maximum(e0, e1) >= np.minimum(q0, q1) - dist) & (np.minimum(e0, e1) <= np.maximum(q0, q1) + dist)
-        a, b = left.drop(columns="bin").iloc[i[keep]].reset_index(drop=True), right.drop(columns="bin").iloc[j[keep]].reset_index(drop=True)
-        return pd.concat([a, b], axis=1)[names]
-
-    pairs = routed.groupBy("bin").cogroup(index.entries.groupBy("bin")).applyInPandas(meet, schema)
+        left, right = left.drop(columns=keys), right.drop(columns=keys)
+        empty = pd.concat([left.iloc[:0], right.iloc[:0]], axis=1)[names]
+        if not len(left) or not len(right):
+            return empty
+        n = len(right)
+        leaves_n = -(-n // LOCAL_LEAF)
+        by_time = np.argsort(right.t0.to_numpy(), kind="stable")
+        slice_of = np.empty(n, np.int64)
+        slice_of[by_time] = np.arange(n) * max(1, round(leaves_n**0.5)) // n
+        right = right.iloc[np.lexsort((right.x0.to_numpy(), slice_of))].reset_index(drop=True)
+        cuts = np.arange(0, n, LOCAL_LEAF)
+
+        def box(frame: pd.DataFrame, prefix: str, grow: float) -> list[tuple]:
+            ends = [(frame[f"{prefix}{c}0"].to_numpy(), frame[f"{prefix}{c}1"].to_numpy()) for c in "txyz"]
+            return [(np.minimum(a, b) - (grow if i else 0), np.maximum(a, b) + (grow if i else 0)) for i, (a, b) in enumerate(ends)]
+
+        def touch(a: list[tuple], b: list[tuple], i, j) -> np.ndarray:
+            keep = (a[0][0][i] < b[0][1][j]) & (b[0][0][j] < a[0][1][i])
+            for (lo, hi), (low, high) in zip(a[1:], b[1:]):
+                keep &= (lo[i] <= high[j]) & (low[j] <= hi[i])
+            return keep
+
+        asked, held = box(left, "q_", dist), box(right, "", 0.0)
+        packed = [(np.minimum.reduceat(lo, cuts), np.maximum.reduceat(hi, cuts)) for lo, hi in held]
+        found_i, found_j = [], []
+        step = max(1, LOCAL_PAIRS // leaves_n)
+        for a in range(0, len(left), step):
+            rows = np.arange(a, min(a + step, len(left)))[:, None]
+            i, leaf = np.nonzero(touch(asked, packed, rows, np.arange(leaves_n)[None, :]))
+            for b in range(0, len(i), LOCAL_PAIRS // LOCAL_LEAF):
+                at, lf = np.repeat(i[b : b + LOCAL_PAIRS // LOCAL_LEAF] + a, LOCAL_LEAF), leaf[b : b + LOCAL_PAIRS // LOCAL_LEAF]
+                member = (lf[:, None] * LOCAL_LEAF + np.arange(LOCAL_LEAF)[None, :]).ravel()
+                inside = member < n
+                at, member = at[inside], member[inside]
+                keep = touch(asked, held, at, member)
+                found_i.append(at[keep])
+                found_j.append(member[keep])
+        if not found_i:
+            return empty
+        i, j = np.concatenate(found_i), np.concatenate(found_j)
+        return pd.concat([left.iloc[i].reset_index(drop=True), right.iloc[j].reset_index(drop=True)], axis=1)[names]
+
+    pairs = routed.groupBy(*keys).cogroup(index.entries.groupBy(*keys)).applyInPandas(meet, ", ".join(f"{c} {kinds[c]}" for c in names))
     return geometry.matches(pairs.where(other_trajectory(exclude_self)), dist)

@@ -8,7 +8,6 @@ from pyspark.sql import functions as F
 from ..functions import geometry
 from ..session import materialize
 from . import brute, cells, packed_tree, slabs, timebins
-from .index import as_queries
 
 METHODS = ("brute", "cell", "tbin", "slab", "tree")
 
@@ -24,7 +23,7 @@ def run(q: DataFrame, d: DataFrame, dist: float, method: str = "tbin", exclude_s
     if method == "cell":
         return cells.search(q, cells.build(d, nx), dist, exclude_self=exclude_self, **options)
     if method == "tree":
-        return packed_tree.search(q, packed_tree.build(d, r), dist, exclude_self=exclude_self)
+        return packed_tree.search(q, packed_tree.build(d, r), dist, exclude_self=exclude_self, **options)
     raise ValueError(method)
 
 
@@ -62,24 +61,31 @@ def self_join(d: DataFrame, dist: float, ordered: bool = False, **how) -> DataFr
     return found if ordered else found.where("q_traj < traj_id")
 
 
-def nearest(q: DataFrame, d: DataFrame, k: int, start: float, limit: float = 1e9, m: int = 100) -> DataFrame:
+def nearest(q: DataFrame, d: DataFrame, k: int, start: float, m: int = 100) -> DataFrame:
     """The k trajectories that come nearest to each query trajectory: q_traj, traj_id, d_min, t_min.
 
-    The radius doubles until every query that still lacks k has met all there are; answers within the
-    radius are final.  Ties go to the smaller id."""
-    dist, index = start, timebins.build(d, m)
-    want = q.select(F.col("traj_id").alias("q_traj")).distinct()
-    n = want.count()
+    The radius doubles for the queries that still lack k; answers within it are final.  It ends at the diagonal of all
+    positions, where each query has met every trajectory that shares time with it.  Ties go to the smaller id."""
+    index, pending, dist, done = timebins.build(d, m), q, start, []
+    lo, hi = zip(*(q.unionByName(d, allowMissingColumns=True).agg(F.min(F.least(f"{c}0", f"{c}1")), F.max(F.greatest(f"{c}0", f"{c}1"))).first() for c in "xyz"))
+    limit = sum((b - a) ** 2 for a, b in zip(lo, hi)) ** 0.5 if lo[0] is not None else 0.0
     while True:
-        pairs = timebins.candidates(q, index).where((F.col("q_traj_id") != F.col("traj_id")) & geometry.hints(dist))
+        pairs = timebins.candidates(pending, index).where((F.col("q_traj_id") != F.col("traj_id")) & geometry.hints(dist))
         near = geometry.min_distance(pairs).where(F.col("d_min") <= dist)
         best = near.groupBy(F.col("q_traj_id").alias("q_traj"), "traj_id").agg(F.min(F.struct("d_min", "t_min")).alias("b")).select("q_traj", "traj_id", "b.*")
-        best = materialize(best)
-        if best.groupBy("q_traj").count().where(F.col("count") >= k).count() == n or dist > limit:
+        best = materialize(best.withColumn("rank", F.row_number().over(Window.partitionBy("q_traj").orderBy("d_min", "traj_id"))).where(F.col("rank") <= k))
+        full = best.where(F.col("rank") == k).select("q_traj")
+        done.append(best if dist > limit else best.join(full, "q_traj", "left_semi"))
+        if dist > limit:
             break
-        dist *= 2
-    w = Window.partitionBy("q_traj").orderBy("d_min", "traj_id")
-    return best.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+        pending = materialize(pending.join(full.withColumnRenamed("q_traj", "traj_id"), "traj_id", "left_anti"))
+        if pending.isEmpty():
+            break
+        dist = max(2 * dist, limit / 1024)
+    out = done[0]
+    for f in done[1:]:
+        out = out.unionByName(f)
+    return out
 
 
 def splice_search(q: DataFrame, d: DataFrame, dist: float, parts: int, r: int = 1) -> DataFrame:
@@ -94,6 +100,3 @@ def snapshot(d: DataFrame, t: float, cell: float) -> DataFrame:
     at = lambda c: F.col(f"{c}0") + (F.col(f"{c}1") - F.col(f"{c}0")) / (F.col("t1") - F.col("t0")) * (F.lit(float(t)) - F.col("t0"))
     return here.groupBy(F.floor(at("x") / cell).alias("cx"), F.floor(at("y") / cell).alias("cy")).agg(F.count(F.lit(1)).alias("n"))
 
-
-def fetch(q: DataFrame) -> DataFrame:
-    return as_queries(q)

@@ -1,7 +1,9 @@
 """TBIN: entries in bins of their start time.
 
 Every entry is in one bin.  A bin reaches from its start to the latest end of its entries, so a query
-looks into each bin that its own time overlaps, and the range condition becomes an equi-join.
+looks into each bin that its own time overlaps, and the range condition becomes an equi-join.  A bin of
+many entries is dealt over blocks, as many as the directory's count asks for: queries that meet the bin
+meet each of its blocks, so no task holds a hot bin alone.
 """
 
 from __future__ import annotations
@@ -9,11 +11,17 @@ from __future__ import annotations
 import math
 from typing import NamedTuple
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geometry
-from .index import Extents, as_queries, dense_ids, ENTRY_ORDER, extents, other_trajectory
+from ..session import materialize
+from .index import ENTRY_ORDER, Extents, as_queries, dense_ids, entries_of, extents, other_trajectory, small
+
+#: Most bins of an index: its directory passes through the driver.
+MAX_BINS = 1_000_000
+#: Entries of a bin beyond which it is dealt over blocks.
+BLOCK = 1_000_000
 
 
 class Bins(NamedTuple):
@@ -23,6 +31,8 @@ class Bins(NamedTuple):
 
     @classmethod
     def of(cls, ext: Extents, m: int) -> "Bins":
+        if not 1 <= m <= MAX_BINS:
+            raise ValueError(f"{m} bins: from 1 to {MAX_BINS}")
         return cls(m, ext.t_min, (ext.t_max - ext.t_min) / m)
 
     def number(self, t: str) -> Column:
@@ -56,16 +66,15 @@ def directory(binned: DataFrame, bins: Bins) -> DataFrame:
     return binned.sparkSession.createDataFrame(out, schema)
 
 
-def overlaps(q: DataFrame, dirs: DataFrame, bins: Bins, how: str = "bounded", tight: bool = False) -> DataFrame:
-    """Queries (prefixed) with each bin that their time overlaps: its number, first, last and n.
+def overlaps(q: DataFrame, dirs: DataFrame, bins: Bins, how: str = "bounded", tight: bool = False, keep: tuple[str, ...] = ("first", "last", "n")) -> DataFrame:
+    """Queries (prefixed) with each bin that their time overlaps, and ``keep`` of its row in the directory.
 
     ``scan`` compares every query with every bin.  ``bounded`` takes the upper bin from the query's end,
     and the lower one from a table that tells, for the bin of the query's start, the first bin whose running
-    latest end is beyond; only what lies between is looked at."""
-    lo = "reach_lo" if tight else "bin_start"
-    lo = F.least("bin_start", "reach_lo") if not tight else F.col(lo)
+    latest end is beyond; only what lies between is looked at.  With ``tight`` a bin reaches no further than its entries."""
+    lo = F.col("reach_lo") if tight else F.least("bin_start", "reach_lo")
     hi = F.col("reach_hi" if tight else "bin_end")
-    d = F.broadcast(dirs.select("bin", lo.alias("_lo"), hi.alias("_hi"), "first", "last", "n"))
+    d = small(dirs.select("bin", lo.alias("_lo"), hi.alias("_hi"), *keep), bins.m)
     meets = (F.col("q_t0") < F.col("_hi")) & (F.col("_lo") < F.col("q_t1"))
     if how == "scan":
         return q.join(d, meets).drop("_lo", "_hi")
@@ -75,22 +84,56 @@ def overlaps(q: DataFrame, dirs: DataFrame, bins: Bins, how: str = "bounded", ti
         while k < len(got) and got[k].end_cummax <= bins.t_min + b * bins.width and got[k].bin < b:
             k += 1
         table.append((b, got[k].bin if k < len(got) else b))
-    # One bin lower, as the last bit of a bin's start may lie above its own entries.
-    first = F.broadcast(q.sparkSession.createDataFrame(table, "_b int, _from int"))
-    ranged = q.withColumn("_b", bins.number("q_t0")).join(first, "_b").withColumn("bin", F.explode(F.sequence(F.greatest(F.least("_from", F.col("_b")) - 1, F.lit(0)), bins.number("q_t1"))))
-    return ranged.join(d, "bin").where(meets).drop("_lo", "_hi", "_b", "_from")
+    # Most bins begin with themselves: only the others need the table.  One bin lower, as the last bit of a bin's start may lie above its own entries.
+    start, table = bins.number("q_t0"), [(b, f) for b, f in table if f < b]
+    if table:
+        first = small(q.sparkSession.createDataFrame(table, "_b int, _from int"), bins.m)
+        q = q.withColumn("_b", start).join(first, "_b", "left").withColumn("_from", F.coalesce("_from", "_b")).drop("_b")
+    else:
+        q = q.withColumn("_from", start)
+    ranged = q.withColumn("bin", F.explode(F.sequence(F.greatest(F.col("_from") - 1, F.lit(0)), bins.number("q_t1")))).drop("_from")
+    return ranged.join(d, "bin").where(meets).drop("_lo", "_hi")
 
 
 class TimeBinIndex(NamedTuple):
-    entries: DataFrame  # segments with bin (and eid)
+    entries: DataFrame  # segments with bin (and eid; and block, where a bin has several)
     directory: DataFrame
     bins: Bins
+    block: int = 0  # entries of a block; 0 where every bin is one
+
+
+def block_of(blocks: Column) -> Column:
+    return F.pmod(F.xxhash64("traj_id", "seg_id"), blocks).cast("int")
+
 
+def every_block(rows: DataFrame, n: Column, block: int) -> DataFrame:
+    """Query rows once for each block of a list of ``n`` entries."""
+    return rows.withColumn("block", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.ceil(n / block).cast("int") - 1)))) if block else rows
 
-def build(d: DataFrame, m: int, ids: bool = False) -> TimeBinIndex:
+
+def build(d: DataFrame, m: int, ids: bool = False, block: int = BLOCK) -> TimeBinIndex:
     bins = Bins.of(extents(d), m)
-    entries = assign(dense_ids(d, ENTRY_ORDER) if ids else d, bins)
-    return TimeBinIndex(entries, directory(entries, bins), bins)
+    entries = assign(dense_ids(entries_of(d), ENTRY_ORDER) if ids else entries_of(d), bins)
+    dirs = directory(entries, bins)
+    hot = dirs.where(F.col("n") > block).select("bin", F.ceil(F.col("n") / block).cast("int").alias("_blocks"))
+    if hot.isEmpty():
+        return TimeBinIndex(entries, dirs, bins)
+    dealt = entries.join(small(hot, m), "bin", "left").withColumn("block", block_of(F.coalesce("_blocks", F.lit(1)))).drop("_blocks")
+    return TimeBinIndex(dealt, dirs, bins, block)
+
+
+def in_place(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """Stored by the keys of its join and sorted in each part: searches then move queries only."""
+    return materialize(rows.repartition(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys).sortWithinPartitions(*keys))
+
+
+def keys_of(index: TimeBinIndex) -> list[str]:
+    return ["bin", "block"] if index.block else ["bin"]
+
+
+def store(index: TimeBinIndex) -> TimeBinIndex:
+    """The index with its entries laid out for searches."""
+    return index._replace(entries=in_place(index.entries, keys_of(index)))
 
 
 def schedule(q: DataFrame, index: TimeBinIndex) -> DataFrame:
@@ -101,18 +144,22 @@ def schedule(q: DataFrame, index: TimeBinIndex) -> DataFrame:
     )
 
 
-def candidates(q: DataFrame, index: TimeBinIndex, mode: str = "bins", how: str = "bounded", tight: bool = False, block: int = 256) -> DataFrame:
+def candidates(q: DataFrame, index: TimeBinIndex, mode: str = "bins", how: str = "bounded", tight: bool = False, block: int = 256, dist: float | str = 0.0) -> DataFrame:
     """Pairs before the time test.  ``bins`` joins the overlapped bins only; ``range`` all ids of the schedule's range, by blocks of ids."""
-    qs = as_queries(q)
+    qs = as_queries(q, dist)
     if mode == "range":
-        plan = schedule(q, index).select(F.col("q_traj").alias("q_traj_id"), F.col("q_seg").alias("q_seg_id"), "entry_min", "entry_max")
-        rows = qs.join(plan, ["q_traj_id", "q_seg_id"]).withColumn("_k", F.explode(F.sequence(F.expr(f"entry_min div {block}"), F.expr(f"entry_max div {block}"))))
+        # Equal segments have equal ranges, so they are one row here and are repeated again.
+        met = overlaps(qs.groupBy(*qs.columns).agg(F.count(F.lit(1)).alias("_times")), index.directory, index.bins)
+        rows = met.groupBy(*qs.columns, "_times").agg(F.min("first").alias("entry_min"), F.max("last").alias("entry_max"))
+        rows = rows.withColumn("_k", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_times")))).drop("_times")
+        rows = rows.withColumn("_k", F.explode(F.sequence(F.expr(f"entry_min div {block}"), F.expr(f"entry_max div {block}"))))
         return rows.join(index.entries.withColumn("_k", F.expr(f"eid div {block}")), "_k").where(F.col("eid").between(F.col("entry_min"), F.col("entry_max"))).drop("_k", "entry_min", "entry_max")
-    return overlaps(qs, index.directory, index.bins, how, tight).drop("first", "last", "n").join(index.entries, "bin")
+    met = every_block(overlaps(qs, index.directory, index.bins, how, tight, keep=("n",)), F.col("n"), index.block)
+    return met.drop("n").join(index.entries, keys_of(index))
 
 
-def search(q: DataFrame, index: TimeBinIndex, dist: float, mode: str = "bins", how: str = "bounded", tight: bool = False, exclude_self: bool = True) -> DataFrame:
-    pairs = candidates(q, index, mode, how, tight)
+def search(q: DataFrame, index: TimeBinIndex, dist: float | str, mode: str = "bins", how: str = "bounded", tight: bool = False, exclude_self: bool = True) -> DataFrame:
+    pairs = candidates(q, index, mode, how, tight, dist=dist)
     return geometry.matches(pairs.where(other_trajectory(exclude_self) & geometry.hints(dist)), dist)
 
 
@@ -123,23 +170,16 @@ def build_classes(d: DataFrame, m: int) -> DataFrame:
     bins = Bins.of(extents(d), m)
     width = bins.width or 1.0
     cls = F.greatest(F.lit(0), F.ceil(F.log2((F.col("t1") - F.col("t0")) / F.lit(width)))).cast("int")
-    out = d.withColumn("cls", cls)
+    out = entries_of(d).withColumn("cls", cls)
     return out.withColumn("bin", F.floor((F.col("t0") - F.lit(bins.t_min)) / (F.lit(width) * F.pow(F.lit(2.0), F.col("cls")))).cast("long")).withColumn("_width", F.lit(width)).withColumn("_t_min", F.lit(bins.t_min))
 
 
-def search_classes(q: DataFrame, classed: DataFrame, dist: float, exclude_self: bool = True) -> DataFrame:
+def search_classes(q: DataFrame, classed: DataFrame, dist: float | str, exclude_self: bool = True) -> DataFrame:
     """A query meets, in each class, the bins of its own time and the one before: no entry reaches further."""
     r = classed.agg(F.max("_width"), F.max("_t_min"), F.collect_set("cls")).first()
-    if r[0] is None:
-        return geometry.matches(as_queries(q).crossJoin(classed.drop("_width", "_t_min", "cls", "bin").limit(0)), dist)
-    width, t_min, classes = r
-    qs = as_queries(q).withColumn("cls", F.explode(F.array(*(F.lit(c) for c in sorted(classes)))))
+    width, t_min, classes = (1.0, 0.0, [0]) if r[0] is None else r
+    qs = as_queries(q, dist).withColumn("cls", F.explode(F.array(*(F.lit(c) for c in sorted(classes)))))
     at = lambda c: F.floor((F.col(c) - F.lit(t_min)) / (F.lit(width) * F.pow(F.lit(2.0), F.col("cls")))).cast("long")
     qs = qs.withColumn("bin", F.explode(F.sequence(at("q_t0") - 1, at("q_t1"))))
     pairs = qs.join(classed.drop("_width", "_t_min"), ["cls", "bin"])
     return geometry.matches(pairs.where(other_trajectory(exclude_self) & geometry.hints(dist)), dist)
-
-
-def running_end(dirs: DataFrame) -> DataFrame:
-    """The running latest end by a window, as a check of the directory."""
-    return dirs.withColumn("end_cummax", F.max("bin_end").over(Window.orderBy("bin")))

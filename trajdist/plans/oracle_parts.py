@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from ..functions.geometry import approach_text
-from .scenarios import DENSE_STEPS, DENSITY, EVENT_EPOCH, EVENT_Z, ORDER, WALK_STEPS
+from .scenarios import DENSE_STEPS, DENSITY, EVENT_EPOCH, EVENT_Z, ORDER, QUERIES, WALK_STEPS
 
 _ORD = ", ".join(ORDER)
 _SEG = "traj_id, step AS seg_id, " + ", ".join(f"{c} AS {c}0" for c in "txyz") + ", " + ", ".join(f"lead({c}) OVER (PARTITION BY traj_id ORDER BY step) AS {c}1" for c in "txyz")
@@ -43,9 +43,7 @@ def points(name: str) -> str:
 
 def ctes(name: str) -> str:
     """d (all segments) and q (the query slice)."""
-    n = "(SELECT count(DISTINCT traj_id) FROM d)"
-    modulus = f"greatest(1, {n} // 8)" if name == "dense" else f"greatest(5, {n} // 10)"
-    return f"p AS ({points(name)}), d AS MATERIALIZED (SELECT {_COLS} FROM (SELECT {_SEG} FROM p) WHERE t1 > t0), q AS MATERIALIZED (SELECT * FROM d WHERE traj_id % ({modulus}) = 0)"
+    return f"p AS ({points(name)}), d AS MATERIALIZED (SELECT {_COLS} FROM (SELECT {_SEG} FROM p) WHERE t1 > t0), q AS MATERIALIZED (SELECT * FROM d WHERE traj_id % {QUERIES[name]} = 0)"
 
 
 def pairs(q: str = "q", d: str = "d", condition: str = "qs.traj_id <> es.traj_id") -> str:

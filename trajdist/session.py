@@ -13,9 +13,11 @@ _own: list[str] = []
 
 
 def shared_base(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; where it is unset (as in tests), a folder of our own."""
+    """spark.checkpoint.dir; where it is unset, on this machine alone (as in tests), a folder of our own."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
         if not _own:
             _own.append(tempfile.mkdtemp(prefix="trajdist-"))
             atexit.register(lambda: shutil.rmtree(_own[0], ignore_errors=True))
