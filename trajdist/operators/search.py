@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import geometry
 from ..session import materialize
 from . import brute, cells, packed_tree, slabs, timebins
+from .index import as_queries, other_trajectory
 
 METHODS = ("brute", "cell", "tbin", "slab", "tree")
 
@@ -100,3 +101,14 @@ def snapshot(d: DataFrame, t: float, cell: float) -> DataFrame:
     at = lambda c: F.col(f"{c}0") + (F.col(f"{c}1") - F.col(f"{c}0")) / (F.col("t1") - F.col("t0")) * (F.lit(float(t)) - F.col("t0"))
     return here.groupBy(F.floor(at("x") / cell).alias("cx"), F.floor(at("y") / cell).alias("cy")).agg(F.count(F.lit(1)).alias("n"))
 
+
+def partitioned(q: DataFrame, path: str, width: float, dist: float, exclude_self: bool = True) -> DataFrame:
+    """A search over entries that ``save_by_time`` wrote: queries meet the folders that their time reaches, and no other is read.
+
+    Folders are of start times, so a query also looks back by the longest entry's duration."""
+    d = q.sparkSession.read.parquet(path)
+    longest = d.agg(F.max(F.col("t1") - F.col("t0"))).first()[0] or 0.0
+    reach = F.sequence(F.floor((F.col("q_t0") - F.lit(longest)) / width), F.floor(F.col("q_t1") / width))
+    rows = as_queries(q).withColumn("coarse", F.explode(reach))
+    pairs = d.withColumn("coarse", F.col("coarse").cast("long")).join(rows, "coarse")
+    return geometry.matches(pairs.where(other_trajectory(exclude_self) & geometry.hints(dist)), dist)

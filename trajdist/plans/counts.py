@@ -6,11 +6,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.geometry import AXES
-from ..operators import cells, packed_tree, slabs, timebins
-from ..operators.index import as_queries, extents
+from ..operators import batching, cells, packed_tree, slabs, timebins
+from ..operators.index import as_queries, at_distances, extents
 from ..session import materialize
 from . import oracle_parts as sql
-from .searches import _EXT, bins_cte, both, cells_of, slab_schedule_cte
+from .searches import _EXT, bins_cte, both, cells_of, slab_expr, slab_schedule_cte, slabs_cte
 
 OTHERS = "q_traj_id <> traj_id"
 
@@ -38,7 +38,29 @@ def _n(df: DataFrame, name: str, expr=None) -> DataFrame:
     return df.agg(F.coalesce(F.sum(expr) if expr is not None else F.count(F.lit(1)), F.lit(0)).cast("long").alias(name))
 
 
-# In each pair below, the first counts in Spark, the second is a SQL subquery over the tables d and q.
+#: Candidates that the buffer holds for each entry: 2 GiB of four-byte ids over 997,500 entries.
+BUFFER_SHARE = 538
+
+
+def per_distance(df: DataFrame, dists: tuple[float, ...], *names: str) -> DataFrame:
+    """d and the named counts, a row for each distance; 0 where nothing was counted."""
+    spark = df.sparkSession
+    every = spark.createDataFrame([(float(x),) for x in dists], "d double")
+    return every.join(df.withColumnRenamed("q_dist", "d"), "d", "left").select("d", *(F.coalesce(n, F.lit(0)).cast("long").alias(n) for n in names))
+
+
+def asked_sql(dists: tuple[float, ...]) -> str:
+    """ds (the distances) and qx (each query at each distance)."""
+    values = ", ".join(f"(CAST({float(x)!r} AS DOUBLE))" for x in dists)
+    return f"ds AS (SELECT * FROM (VALUES {values}) v(dist)), qx AS MATERIALIZED (SELECT q.*, dist FROM q, ds)"
+
+
+def per_distance_sql(source: str, *names: str) -> str:
+    """SELECT of d and the named counts from a source that has dist and may lack some."""
+    return f"SELECT dist AS d, {', '.join(f'CAST(coalesce({n}, 0) AS BIGINT) AS {n}' for n in names)} FROM ds LEFT JOIN ({source}) USING (dist)"
+
+
+# In each pair below, the first counts in Spark, the second is SQL over the tables d, q, ds and qx.
 
 
 def tbin(q: DataFrame, d: DataFrame, m: int, tight: bool = False) -> DataFrame:
@@ -58,54 +80,110 @@ def tbin_range_sql(m: int) -> str:
     return f"(WITH {bins_cte(m)} SELECT CAST(sum(c) AS BIGINT) FROM (SELECT max(last) - min(first) + 1 AS c FROM q JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 GROUP BY q.traj_id, q.seg_id))"
 
 
-def slab(q: DataFrame, d: DataFrame, m: int, v: int, dist: float) -> DataFrame:
-    """candidates, and how many queries a slab serves."""
-    plan = slabs.schedule(q, slabs.build(d, m, v), dist)
-    return plan.agg(F.coalesce(F.sum("n_candidates"), F.lit(0)).cast("long").alias("candidates"), F.count_if(F.col("selector") >= 0).alias("served"))
+def slab(q: DataFrame, d: DataFrame, m: int, v: int, dists: tuple[float, ...]) -> DataFrame:
+    """d, candidates, and how many queries a slab serves."""
+    plan = slabs.schedule(at_distances(q, dists), slabs.build(d, m, v), "dist")
+    return per_distance(plan.groupBy("q_dist").agg(F.sum("n_candidates").alias("candidates"), F.count_if(F.col("selector") >= 0).alias("served")), dists, "candidates", "served")
+
+
+def slab_sql(m: int, v: int) -> str:
+    plan = f"WITH {slab_schedule_cte(m, v)} SELECT dist, sum(n_candidates) AS candidates, count(*) FILTER (WHERE selector >= 0) AS served FROM plan GROUP BY dist"
+    return per_distance_sql(plan, "candidates", "served")
+
+
+def cell(q: DataFrame, d: DataFrame, k: int, dists: tuple[float, ...], limit: float = cells.REPLICATION) -> DataFrame:
+    """d, candidates, once for each shared cell, from the directory."""
+    need = cells.demand(at_distances(q, dists), cells.build(d, k, limit=limit), "dist")
+    return per_distance(need.groupBy("dist").agg(F.sum("demand").alias("candidates")).withColumnRenamed("dist", "q_dist"), dists, "candidates")
+
+
+def cell_demand_sql(k: int) -> str:
+    """Demand of each query at each distance."""
+    return f"""SELECT qx.traj_id, qx.seg_id, qx.dist, coalesce(sum(n), 0) AS demand FROM qx LEFT JOIN (WITH {_EXT}, a AS ({cells_of(k, 'd')}), g AS (SELECT h, count(*) AS n FROM a GROUP BY h), c AS ({cells_of(k, 'qx', d='dist', keep='traj_id, seg_id, dist')})
+        SELECT traj_id, seg_id, dist, n FROM c JOIN g USING (h)) USING (traj_id, seg_id, dist) GROUP BY 1, 2, 3"""
 
 
-def slab_sql(m: int, v: int, dist: float) -> tuple[str, str]:
-    cte = slab_schedule_cte(m, v, dist)
-    return f"(WITH {cte} SELECT CAST(coalesce(sum(n_candidates), 0) AS BIGINT) FROM plan)", f"(WITH {cte} SELECT count(*) FILTER (WHERE selector >= 0) FROM plan)"
+def cell_sql(k: int) -> str:
+    return per_distance_sql(f"SELECT dist, sum(demand) AS candidates FROM ({cell_demand_sql(k)}) GROUP BY dist", "candidates")
 
 
-def cell(q: DataFrame, d: DataFrame, k: int, dist: float, limit: float = cells.REPLICATION) -> DataFrame:
-    """Candidates, once for each shared cell, from the directory."""
-    return _n(cells.demand(q, cells.build(d, k, limit=limit), dist), "candidates", F.col("demand"))
+def cell_rounds(q: DataFrame, d: DataFrame, k: int, dists: tuple[float, ...]) -> DataFrame:
+    """d, candidates, rounds: how often queries are launched with a buffer of BUFFER_SHARE candidates for an entry."""
+    need = materialize(cells.demand(at_distances(q, dists), cells.build(d, k), "dist"))
+    size = BUFFER_SHARE * total_entries(d)
+    out = []
+    for x in dists:
+        mine = need.where(F.col("dist") == x)
+        done = batching.cell_rounds(mine, size).agg(F.coalesce(F.max("round"), F.lit(0)).cast("long").alias("rounds"))
+        out.append(with_all([mine.agg(F.lit(x).alias("d"), F.coalesce(F.sum("demand"), F.lit(0)).cast("long").alias("candidates")), done]))
+    return rows(out)
 
 
-def cell_sql(k: int, dist: float) -> str:
-    return f"""(WITH {_EXT}, a AS ({cells_of(k, 'd')}), g AS (SELECT h, count(*) AS n FROM a GROUP BY h), c AS ({cells_of(k, 'q', d=dist)})
-        SELECT CAST(coalesce(sum(n), 0) AS BIGINT) FROM c JOIN g USING (h))"""
+def rounds_sql(need: str, size: str) -> str:
+    """SELECT of dist and rounds: the redo rounds once more, as a recursion over how many queries are done."""
+    return f"""SELECT dist, max(round) AS rounds FROM (WITH RECURSIVE s AS MATERIALIZED (SELECT dist, demand, row_number() OVER w - 1 AS i, sum(demand) OVER w - demand AS before, count(*) OVER (PARTITION BY dist) AS n FROM ({need}) WINDOW w AS (PARTITION BY dist ORDER BY demand, traj_id, seg_id)),
+        r AS (SELECT DISTINCT dist, 0 AS round, CAST(0 AS BIGINT) AS p FROM s UNION ALL
+        SELECT r.dist, r.round + 1, CASE WHEN count(*) FILTER (s.demand <= {size} // (s.n - r.p)) > r.p THEN count(*) FILTER (s.demand <= {size} // (s.n - r.p))
+            ELSE r.p + greatest(1, count(*) FILTER (s.i >= r.p AND s.before + s.demand - f.before <= {size})) END
+        FROM r JOIN s ON s.dist = r.dist JOIN s f ON f.dist = r.dist AND f.i = r.p GROUP BY r.dist, r.round, r.p) SELECT dist, round FROM r) GROUP BY dist"""
 
 
-def cell_distinct(q: DataFrame, d: DataFrame, k: int, dist: float) -> DataFrame:
+BUFFER_SQL = f"(SELECT {BUFFER_SHARE} * count(*) FROM d)"
+
+
+def cell_rounds_sql(k: int) -> str:
+    need = cell_demand_sql(k)
+    return per_distance_sql(f"SELECT * FROM (SELECT dist, sum(demand) AS candidates FROM ({need}) GROUP BY dist) JOIN ({rounds_sql(need, BUFFER_SQL)}) USING (dist)", "candidates", "rounds")
+
+
+def cell_distinct(q: DataFrame, d: DataFrame, k: int, dists: tuple[float, ...]) -> DataFrame:
     i = cells.build(d, k)
-    pairs = cells.candidates(q, i, dist)
-    return _n(pairs.where(F.col("h") == i.grid.linear(*(F.greatest(f"q_{c}a", f"{c}a") for c in AXES))), "distinct_candidates")
+    pairs = cells.owned(cells.candidates(at_distances(q, dists), i, "dist"), i.grid)
+    return per_distance(pairs.groupBy("q_dist").agg(F.count(F.lit(1)).alias("candidates")), dists, "candidates")
+
+
+def cell_distinct_sql(k: int) -> str:
+    pairs = f"WITH {_EXT}, a AS ({cells_of(k, 'd')}), c AS ({cells_of(k, 'qx', d='dist', keep='traj_id, seg_id, dist')}) SELECT DISTINCT c.dist, c.traj_id, c.seg_id, a.traj_id AS t, a.seg_id AS s FROM c JOIN a USING (h)"
+    return per_distance_sql(f"SELECT dist, count(*) AS candidates FROM ({pairs}) GROUP BY dist", "candidates")
+
 
+def slab_pairs(q: DataFrame, d: DataFrame, m: int, v: int, dists: tuple[float, ...], mode: str) -> DataFrame:
+    """d, candidates that stand in the lists of all axes (``intersect``), or in some slab of the axis with the fewest
+    (``multi``; with repeats, ``multi repeats``)."""
+    pairs = slabs.every_pair(at_distances(q, dists), slabs.build(d, m, v), "dist", mode.split()[0])
+    # A pair arises so often: its rows weigh one together.  Summed as whole numbers of rows for each weight.
+    weighed = pairs.where("_arises IS NOT NULL").groupBy("q_dist", "_arises").agg(F.count(F.lit(1)).alias("n"))
+    n = F.sum("n") if mode.endswith("repeats") else F.sum(F.expr("n div _arises"))
+    return per_distance(weighed.groupBy("q_dist").agg(n.alias("candidates")), dists, "candidates")
 
-def cell_distinct_sql(k: int, dist: float) -> str:
-    return f"""(WITH {_EXT}, a AS ({cells_of(k, 'd')}), c AS ({cells_of(k, 'q', d=dist)})
-        SELECT count(*) FROM (SELECT DISTINCT c.traj_id, c.seg_id, a.traj_id, a.seg_id FROM c JOIN a USING (h)))"""
 
+def slab_pairs_sql(m: int, v: int, mode: str) -> str:
+    spans = " UNION ALL ".join(
+        f"SELECT qx.traj_id, qx.seg_id, qx.dist, qx.t0, qx.t1, {i} AS axis, {slab_expr(v, f'least({c}0, {c}1) - dist', c)} AS a, {slab_expr(v, f'greatest({c}0, {c}1) + dist', c)} AS z FROM qx, e" for i, c in enumerate(AXES)
+    )
+    met = "SELECT s.dist, s.traj_id, s.seg_id, l.traj_id AS t, l.seg_id AS u, l.axis FROM {} s JOIN dir ON s.t0 < bin_end AND bin_start < s.t1 JOIN look l ON l.axis = s.axis AND l.bin = dir.bin AND l.slab BETWEEN s.a AND s.z"
+    if mode == "intersect":
+        pairs = f"SELECT dist FROM ({met.format('spans')}) GROUP BY dist, traj_id, seg_id, t, u HAVING count(DISTINCT axis) = 3"
+    else:
+        one = "(SELECT * FROM spans QUALIFY row_number() OVER (PARTITION BY traj_id, seg_id, dist ORDER BY z - a, axis) = 1)"
+        pairs = f"SELECT {'' if mode.endswith('repeats') else 'DISTINCT'} * FROM ({met.format(one)})"
+    return per_distance_sql(f"WITH {slabs_cte(m, v)}, spans AS ({spans}) SELECT dist, count(*) AS candidates FROM ({pairs}) GROUP BY dist", "candidates")
 
-def tree(q: DataFrame, d: DataFrame, r: int, dist: float) -> DataFrame:
-    """Members of the leaves that queries reach."""
-    t = packed_tree.build(d, r)
-    sizes = t.entries.groupBy("traj_id", "leaf").agg(F.count(F.lit(1)).alias("n"))
-    return _n(packed_tree.frontiers(q, t, dist)[-1].join(sizes, ["traj_id", "leaf"]), "candidates", F.col("n"))
 
+def tree(q: DataFrame, d: DataFrame, r: int, dists: tuple[float, ...]) -> DataFrame:
+    """d, and members of the leaves that queries reach."""
+    met = packed_tree.frontiers(at_distances(q, dists), packed_tree.build(d, r), "dist")[-1]
+    return per_distance(met.groupBy("q_dist").agg(F.sum("n").alias("candidates")), dists, "candidates")
 
-def leaves_cte(r: int) -> str:
+
+def leaves_cte(r: int, source: str = "d") -> str:
     boxes = ", ".join(f"min(least({c}0, {c}1)) AS {c}lo, max(greatest({c}0, {c}1)) AS {c}hi" for c in AXES)
-    return f"leaf AS MATERIALIZED (SELECT traj_id, k, min(t0) AS tlo, max(t1) AS thi, {boxes}, count(*) AS n FROM (SELECT *, (row_number() OVER (PARTITION BY traj_id ORDER BY seg_id) - 1) // {r} AS k FROM d) GROUP BY 1, 2)"
+    return f"leaf AS MATERIALIZED (SELECT traj_id, k, min(t0) AS tlo, max(t1) AS thi, {boxes}, count(*) AS n FROM (SELECT *, (row_number() OVER (PARTITION BY traj_id ORDER BY seg_id) - 1) // {r} AS k FROM {source}) GROUP BY 1, 2)"
 
 
-def tree_sql(r: int, dist: float) -> str:
-    x = f"CAST({dist} AS DOUBLE)"
-    space = " AND ".join(f"{c}lo <= greatest(q.{c}0, q.{c}1) + {x} AND {c}hi >= least(q.{c}0, q.{c}1) - {x}" for c in AXES)
-    return f"(WITH {leaves_cte(r)} SELECT CAST(coalesce(sum(n), 0) AS BIGINT) FROM q JOIN leaf ON tlo < q.t1 AND q.t0 < thi AND {space})"
+def tree_sql(r: int, source: str = "d") -> str:
+    space = " AND ".join(f"{c}lo <= greatest(qx.{c}0, qx.{c}1) + dist AND {c}hi >= least(qx.{c}0, qx.{c}1) - dist" for c in AXES)
+    return per_distance_sql(f"WITH {leaves_cte(r, source)} SELECT dist, sum(n) AS candidates FROM qx JOIN leaf ON tlo < qx.t1 AND qx.t0 < thi AND {space} GROUP BY dist", "candidates")
 
 
 def overlapping(q: DataFrame, d: DataFrame, m: int) -> DataFrame:
@@ -117,8 +195,13 @@ def overlapping(q: DataFrame, d: DataFrame, m: int) -> DataFrame:
 OVERLAPPING_SQL = "(SELECT count(*) FROM q JOIN d ON q.t0 < d.t1 AND d.t0 < q.t1 AND q.traj_id <> d.traj_id)"
 
 
-def found(q: DataFrame, d: DataFrame, m: int, dist: float) -> DataFrame:
-    return _n(timebins.search(q, timebins.build(d, m), dist), "results")
+def found(q: DataFrame, d: DataFrame, m: int, dists: tuple[float, ...]) -> DataFrame:
+    """d, results, and entries that some query comes near."""
+    hits = timebins.search(at_distances(q, dists), timebins.build(d, m), "dist")
+    return per_distance(hits.groupBy(F.col("dist").alias("q_dist")).agg(F.count(F.lit(1)).alias("results"), F.countDistinct("traj_id", "seg_id").alias("entries")), dists, "results", "entries")
+
+
+FOUND_SQL = per_distance_sql(f"SELECT dist, count(*) AS results, count(DISTINCT (traj_id, seg_id)) AS entries FROM ({sql.match('dist')}) GROUP BY dist", "results", "entries")
 
 
 def found_sql(dist: float) -> str:
@@ -144,5 +227,12 @@ def select(labels: dict, values: dict[str, str]) -> str:
     return "SELECT " + ", ".join(head + [f"{v} AS {k}" for k, v in values.items()])
 
 
-def sweep_sql(name: str, parts: list[str]) -> str:
-    return f"WITH {sql.ctes(name)} " + " UNION ALL ".join(parts)
+def label_sql(labels: dict, select_: str) -> str:
+    """Parameters as literals before the columns of a SELECT."""
+    kinds = {int: "BIGINT", float: "DOUBLE", str: "VARCHAR"}
+    return "SELECT " + ", ".join(f"CAST({v!r} AS {kinds[type(v)]}) AS {k}" for k, v in labels.items()) + f", * FROM ({select_})"
+
+
+def sweep_sql(name: str, parts: list[str], dists: tuple[float, ...] = ()) -> str:
+    more = f", {asked_sql(dists)}" if dists else ""
+    return f"WITH {sql.ctes(name)}{more} " + " UNION ALL ".join(parts)

@@ -6,13 +6,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import geometry
-from ..operators import batching, cells, packed_tree, planner, search, slabs, timebins
-from ..operators.index import as_queries
+from ..operators import batching, brute, cells, packed_tree, planner, search, slabs, timebins
+from ..operators.index import as_queries, at_distances
 from ..session import materialize
 from . import counts as c
 from . import oracle_parts as sql
 from .scenarios import BINS, CELLS, DISTANCE, LEAF, SCENARIOS, SLABS, segments
-from .searches import _EXT, Query, bins_cte, both, cells_of, shown, slab_schedule_cte, slabs_cte
+from .searches import _EXT, Query, bins_cte, both, cell_expr, cells_of, shown, slab_expr, slab_schedule_cte, slabs_cte
 
 
 def _interactions(n: str):
@@ -21,12 +21,13 @@ def _interactions(n: str):
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, d = c.prepared(spark, sf_dir, n)
-        got = {"tbin": c.tbin(q, d, BINS[n]), "tight": c.tbin(q, d, BINS[n], True), "slab": c.slab(q, d, BINS[n], SLABS[n], x).drop("served"), "cell": c.cell(q, d, CELLS[n], x), "tree": c.tree(q, d, LEAF[n], x)}
-        return c.rows([c.row(f, method=k) for k, f in got.items()])
+        got = {"tbin": c.tbin(q, d, BINS[n]), "tight": c.tbin(q, d, BINS[n], True), "slab": c.slab(q, d, BINS[n], SLABS[n], (x,)), "cell": c.cell(q, d, CELLS[n], (x,)), "tree": c.tree(q, d, LEAF[n], (x,))}
+        return c.rows([c.row(f.select("candidates"), method=k) for k, f in got.items()])
 
     tight = f"(WITH {bins_cte(BINS[n])}, r AS (SELECT bin, min(t0) AS lo, max(t1) AS hi, count(*) AS n FROM b GROUP BY bin) SELECT CAST(coalesce(sum(n), 0) AS BIGINT) FROM q JOIN r ON q.t0 < hi AND lo < q.t1)"
-    got = {"tbin": c.tbin_sql(BINS[n]), "tight": tight, "slab": c.slab_sql(BINS[n], SLABS[n], x)[0], "cell": c.cell_sql(CELLS[n], x), "tree": c.tree_sql(LEAF[n], x)}
-    return run, c.sweep_sql(n, [c.select({"method": k}, {"candidates": s}) for k, s in got.items()])
+    one = lambda s: f"(SELECT candidates FROM ({s}))"
+    got = {"tbin": c.tbin_sql(BINS[n]), "tight": tight, "slab": one(c.slab_sql(BINS[n], SLABS[n])), "cell": one(c.cell_sql(CELLS[n])), "tree": one(c.tree_sql(LEAF[n]))}
+    return run, c.sweep_sql(n, [c.select({"method": k}, {"candidates": s}) for k, s in got.items()], (x,))
 
 
 def _hit_ratio(n: str):
@@ -35,7 +36,7 @@ def _hit_ratio(n: str):
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, d = c.prepared(spark, sf_dir, n)
-        one = c.with_all([c.tbin(q, d, BINS[n]), c.overlapping(q, d, BINS[n]), c.found(q, d, BINS[n], x), q.agg(F.count(F.lit(1)).alias("k")), d.agg(F.count(F.lit(1)).alias("n"))])
+        one = c.with_all([c.tbin(q, d, BINS[n]), c.overlapping(q, d, BINS[n]), c.found(q, d, BINS[n], (x,)).select("results"), q.agg(F.count(F.lit(1)).alias("k")), d.agg(F.count(F.lit(1)).alias("n"))])
         return one.select("candidates", "pairs", "results", (F.col("results") / F.col("candidates")).alias("hit_ratio"), (F.col("results") / F.col("pairs")).alias("pair_fraction"), (F.col("candidates") / (F.col("k") * F.col("n"))).alias("selectivity"))
 
     return run, f"""WITH {sql.ctes(n)}, o AS (SELECT {c.tbin_sql(BINS[n])} AS candidates, {c.OVERLAPPING_SQL} AS pairs, {c.found_sql(x)} AS results)
@@ -48,57 +49,94 @@ def _served(n: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, d = c.prepared(spark, sf_dir, n)
         total = q.count()
-        return c.rows([c.row(c.slab(q, d, BINS[n], v, x).select((F.col("served") / F.lit(total)).alias("served_fraction")), v=v) for v in (1, 2, 4)])
+        return c.rows([c.row(c.slab(q, d, BINS[n], v, (x,)).select((F.col("served") / F.lit(total)).alias("served_fraction")), v=v) for v in (1, 2, 4)])
 
-    return run, c.sweep_sql(n, [c.select({"v": v}, {"served_fraction": f"{c.slab_sql(BINS[n], v, x)[1]} / (SELECT count(*) FROM q)"}) for v in (1, 2, 4)])
+    return run, c.sweep_sql(n, [c.select({"v": v}, {"served_fraction": f"(SELECT served FROM ({c.slab_sql(BINS[n], v)})) / (SELECT count(*) FROM q)"}) for v in (1, 2, 4)], (x,))
+
+
+#: The range of distances of each scenario.
+RANGE = {"walk": (5.0, 20.0, 50.0), "event": (1.0, 10.0, 50.0), "dense": (0.31, 3.1, 9.4, 15.6, 28.1)}
 
 
 def _fraction_within(n: str):
-    """Entries that some query comes near, over all entries; queries that find something."""
-    x = DISTANCE[n]
+    """At each distance: entries that some query comes near, over all entries; queries that find something."""
+    dists = RANGE[n]
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, d = c.prepared(spark, sf_dir, n)
-        hits = timebins.search(q, timebins.build(d, BINS[n]), x)
-        got = hits.agg(F.countDistinct("traj_id", "seg_id").alias("entry_hits"), F.countDistinct("q_traj", "q_seg").alias("query_hits"), F.count(F.lit(1)).alias("results"))
-        return got.withColumn("entry_fraction", F.col("entry_hits") / F.lit(d.count()))
+        hits = timebins.search(at_distances(q, dists), timebins.build(d, BINS[n]), "dist")
+        got = hits.groupBy(F.col("dist").alias("q_dist")).agg(F.countDistinct("traj_id", "seg_id").alias("entry_hits"), F.countDistinct("q_traj", "q_seg").alias("query_hits"), F.count(F.lit(1)).alias("results"))
+        return c.per_distance(got, dists, "entry_hits", "query_hits", "results").withColumn("entry_fraction", F.col("entry_hits") / F.lit(d.count()))
 
-    return run, f"""WITH {sql.ctes(n)}, m AS ({sql.match(x)}) SELECT count(DISTINCT (traj_id, seg_id)) AS entry_hits, count(DISTINCT (q_traj, q_seg)) AS query_hits, count(*) AS results,
-        count(DISTINCT (traj_id, seg_id)) / (SELECT count(*) FROM d) AS entry_fraction FROM m"""
+    got = f"SELECT dist, count(DISTINCT (traj_id, seg_id)) AS entry_hits, count(DISTINCT (q_traj, q_seg)) AS query_hits, count(*) AS results FROM ({sql.match('dist')}) GROUP BY 1"
+    return run, f"WITH {sql.ctes(n)}, {c.asked_sql(dists)} SELECT *, entry_hits / (SELECT count(*) FROM d) AS entry_fraction FROM ({c.per_distance_sql(got, 'entry_hits', 'query_hits', 'results')})"
 
 
-_BOX_MISS = " OR ".join(f"greatest({a}0, {a}1) < least(q_{a}0, q_{a}1) - {{x}} OR least({a}0, {a}1) > greatest(q_{a}0, q_{a}1) + {{x}}" for a in "xyz")
+_AXIS_MISS = {a: f"(greatest({a}0, {a}1) < least(q_{a}0, q_{a}1) - {{x}} OR least({a}0, {a}1) > greatest(q_{a}0, q_{a}1) + {{x}})" for a in "xyz"}
 _TIME_MISS = "NOT (q_t0 < t1 AND t0 < q_t1)"
 
 
 def _wasted(n: str):
-    """Candidates that the time test or the box test throws away."""
+    """Candidates that the time test, or the box test in space, throws away; and of the latter those that are inside on one
+    axis at least, the one that a slab could have looked at."""
     x = DISTANCE[n]
-    miss = _BOX_MISS.format(x=f"CAST({x} AS DOUBLE)")
+    misses = [m.format(x=f"CAST({x} AS DOUBLE)") for m in _AXIS_MISS.values()]
+    space = f"NOT ({_TIME_MISS}) AND ({' OR '.join(misses)})"
+    counted = {"time_misses": _TIME_MISS, "space_misses": space, "off_axis_misses": f"{space} AND NOT ({' AND '.join(misses)})"}
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, d = c.prepared(spark, sf_dir, n)
-        pairs = {"tbin": timebins.candidates(q, timebins.build(d, BINS[n])), "slab": slabs.candidates(q, slabs.build(d, BINS[n], SLABS[n]), x)}
-        return c.rows([c.row(p.agg(F.count_if(F.expr(_TIME_MISS)).alias("time_misses"), F.count_if(F.expr(f"NOT ({_TIME_MISS}) AND ({miss})")).alias("space_misses")), method=k) for k, p in pairs.items()])
-
-    mine = ", ".join(f"q.{a} AS q_{a}" for a in "traj_id seg_id t0 x0 y0 z0 t1 x1 y1 z1".split())
-    tbin = f"SELECT {mine}, b.* FROM q JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 JOIN b ON b.bin = dir.bin"
-    slab = f"""SELECT {mine}, look.* EXCLUDE (axis, slab) FROM q JOIN chosen p ON p.traj_id = q.traj_id AND p.seg_id = q.seg_id JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 JOIN look ON look.axis = p.axis AND look.slab = p.slab AND look.bin = dir.bin
-        UNION ALL SELECT {mine}, b.* FROM q JOIN plan p ON p.q_traj = q.traj_id AND p.q_seg = q.seg_id AND p.selector = -1 JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 JOIN b ON b.bin = dir.bin"""
+        grid = cells.build(d, CELLS[n])
+        pairs = {"tbin": timebins.candidates(q, timebins.build(d, BINS[n])), "slab": slabs.candidates(q, slabs.build(d, BINS[n], SLABS[n]), x), "cell": cells.owned(cells.candidates(q, grid, x), grid.grid)}
+        return c.rows([c.row(p.agg(*(F.count_if(F.expr(e)).alias(k) for k, e in counted.items())), method=k) for k, p in pairs.items()])
+
+    names = "traj_id seg_id t0 x0 y0 z0 t1 x1 y1 z1".split()
+    mine, its = ", ".join(f"q.{a} AS q_{a}" for a in names), lambda t: ", ".join(f"{t}.{a}" for a in names)
+    tbin = f"SELECT {mine}, {its('b')} FROM q JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 JOIN b ON b.bin = dir.bin"
+    slab = f"""SELECT {mine}, {its('look')} FROM q JOIN chosen p ON p.traj_id = q.traj_id AND p.seg_id = q.seg_id JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 JOIN look ON look.axis = p.axis AND look.slab = p.slab AND look.bin = dir.bin
+        UNION ALL SELECT {mine}, {its('b')} FROM q JOIN plan p ON p.q_traj = q.traj_id AND p.q_seg = q.seg_id AND p.selector = -1 JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 JOIN b ON b.bin = dir.bin"""
+    met = f"SELECT DISTINCT c.traj_id AS q1, c.seg_id AS q2, a.traj_id AS e1, a.seg_id AS e2 FROM ({cells_of(CELLS[n], 'q', d=x)}) c JOIN ({cells_of(CELLS[n], 'd')}) a USING (h)"
+    cell = f"SELECT {mine}, {its('d')} FROM ({met}) JOIN q ON q.traj_id = q1 AND q.seg_id = q2 JOIN d ON d.traj_id = e1 AND d.seg_id = e2"
     chosen = "chosen AS (SELECT elig.* FROM elig JOIN plan ON plan.q_traj = elig.traj_id AND plan.q_seg = elig.seg_id AND plan.selector = elig.axis)"
-    count = f"count(*) FILTER (WHERE {_TIME_MISS}) AS time_misses, count(*) FILTER (WHERE NOT ({_TIME_MISS}) AND ({miss})) AS space_misses"
-    return run, f"WITH {sql.ctes(n)}, {slab_schedule_cte(BINS[n], SLABS[n], x)}, {chosen} SELECT 'tbin' AS method, {count} FROM ({tbin}) UNION ALL SELECT 'slab' AS method, {count} FROM ({slab})"
+    count = ", ".join(f"count(*) FILTER (WHERE {e}) AS {k}" for k, e in counted.items())
+    body = " UNION ALL ".join(f"SELECT '{k}' AS method, {count} FROM ({s})" for k, s in (("tbin", tbin), ("slab", slab), ("cell", cell)))
+    return run, f"WITH {sql.ctes(n)}, {slab_schedule_cte(BINS[n], SLABS[n], x)}, {chosen} {body}"
 
 
 def _duplicates(n: str):
-    """Candidates of the cells before and after repeats are removed."""
+    """Candidates and results, before and after repeats are removed, of the cells and of several slabs of one axis."""
     x, k = (3.1, 10) if n == "dense" else (DISTANCE[n] / 4, CELLS[n])
+    m, v = BINS[n], 4
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, d = c.prepared(spark, sf_dir, n)
-        return c.with_all([c.cell(q, d, k, x), c.cell_distinct(q, d, k, x)]).withColumn("duplicates", F.col("candidates") - F.col("distinct_candidates"))
-
-    return run, f"WITH {sql.ctes(n)}, o AS (SELECT {c.cell_sql(k, x)} AS candidates, {c.cell_distinct_sql(k, x)} AS distinct_candidates) SELECT *, candidates - distinct_candidates AS duplicates FROM o"
+        grid, index = cells.build(d, k), slabs.build(d, m, v)
+        results = lambda pairs: geometry.matches(pairs.where(c.OTHERS).where(geometry.hints(x)), x, ("_arises",))
+        every = {
+            "cell": (c.cell(q, d, k, (x,)), c.cell_distinct(q, d, k, (x,)), results(cells.candidates(q, grid, x))),
+            "slabs": (c.slab_pairs(q, d, m, v, (x,), "multi repeats"), c.slab_pairs(q, d, m, v, (x,), "multi"), results(slabs.every_pair(q, index, x, "multi"))),
+        }
+        out = []
+        for method, (all_, one, hits) in every.items():
+            hits = hits.groupBy("_arises").agg(F.count(F.lit(1)).alias("n"))
+            found = hits.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("results"), F.coalesce(F.sum(F.expr("n div _arises")), F.lit(0)).alias("distinct_results"))
+            out.append(c.row(c.with_all([all_.select("candidates"), one.select(F.col("candidates").alias("distinct_candidates")), found]), method=method))
+        return c.rows(out).withColumn("duplicates", F.col("candidates") - F.col("distinct_candidates"))
+
+    shared = lambda c_: f"least(least({n_slab(f'greatest(q_{c_}0, q_{c_}1) + {x}', c_)}, {n_slab(f'greatest({c_}0, {c_}1)', c_)}) - greatest({n_slab(f'least(q_{c_}0, q_{c_}1) - {x}', c_)}, {n_slab(f'least({c_}0, {c_}1)', c_)}) + 1, 1000000)"
+    n_slab = lambda e, c_: slab_expr(v, e, c_)
+    n_cell = lambda e, c_: cell_expr(k, e, c_)
+    cells_shared = " * ".join(f"(least({n_cell(f'greatest(q_{a}0, q_{a}1) + {x}', a)}, {n_cell(f'greatest({a}0, {a}1)', a)}) - greatest({n_cell(f'least(q_{a}0, q_{a}1) - {x}', a)}, {n_cell(f'least({a}0, {a}1)', a)}) + 1)" for a in "xyz")
+    width = lambda a: f"{n_slab(f'greatest(q_{a}0, q_{a}1) + {x}', a)} - {n_slab(f'least(q_{a}0, q_{a}1) - {x}', a)}"
+    axis = f"CASE WHEN {width('x')} <= {width('y')} AND {width('x')} <= {width('z')} THEN {shared('x')} WHEN {width('y')} <= {width('z')} THEN {shared('y')} ELSE {shared('z')} END"
+    hit = f"SELECT * FROM {sql.approached(sql.pairs(), x)}, e WHERE s0 <= s1"
+    one = lambda s: f"(SELECT candidates FROM ({s}))"
+    rows = [
+        ("cell", one(c.cell_sql(k)), one(c.cell_distinct_sql(k)), f"(SELECT CAST(sum({cells_shared}) AS BIGINT) FROM hit)"),
+        ("slabs", one(c.slab_pairs_sql(m, v, "multi repeats")), one(c.slab_pairs_sql(m, v, "multi")), f"(SELECT CAST(sum({axis}) AS BIGINT) FROM hit)"),
+    ]
+    body = " UNION ALL ".join(f"SELECT '{name}' AS method, {a} AS candidates, {b} AS distinct_candidates, {r} AS results, (SELECT count(*) FROM hit) AS distinct_results" for name, a, b, r in rows)
+    return run, f"WITH {sql.ctes(n)}, {c.asked_sql((x,))}, {_EXT}, hit AS MATERIALIZED ({hit}) SELECT *, candidates - distinct_candidates AS duplicates FROM ({body})"
 
 
 def _index_size(n: str):
@@ -117,16 +155,26 @@ def _index_size(n: str):
 
 
 def _balance(n: str):
-    """Largest and mean number of candidates of a query."""
+    """Largest and mean number of candidates of a query, by method."""
+    x = DISTANCE[n]
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        q, d = both(spark, sf_dir, n)
-        i = timebins.build(d, BINS[n])
-        per = timebins.overlaps(as_queries(q), i.directory, i.bins).groupBy("q_traj_id", "q_seg_id").agg(F.sum("n").alias("n"))
-        return per.agg(F.max("n").alias("most"), F.sum("n").alias("total"), F.count(F.lit(1)).alias("queries")).withColumn("imbalance", F.col("most") * F.col("queries") / F.col("total"))
-
-    return run, f"""WITH {sql.ctes(n)}, {bins_cte(BINS[n])}, per AS (SELECT sum(n) AS n FROM q JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 GROUP BY q.traj_id, q.seg_id)
-        SELECT CAST(max(n) AS BIGINT) AS most, CAST(sum(n) AS BIGINT) AS total, count(*) AS queries, CAST(max(n) * count(*) AS DOUBLE) / CAST(sum(n) AS DOUBLE) AS imbalance FROM per"""
+        q, d = c.prepared(spark, sf_dir, n)
+        i, key = timebins.build(d, BINS[n]), ["q_traj_id", "q_seg_id"]
+        per = {
+            "tbin": timebins.overlaps(as_queries(q), i.directory, i.bins).groupBy(*key).agg(F.sum("n").alias("n")), "slab": slabs.schedule(q, slabs.build(d, BINS[n], SLABS[n]), x).select(F.col("n_candidates").alias("n")),
+            "cell": cells.demand(q, cells.build(d, CELLS[n]), x).select(F.col("demand").alias("n")), "tree": packed_tree.frontiers(q, packed_tree.build(d, LEAF[n]), x)[-1].groupBy(*key).agg(F.sum("n").alias("n")),
+        }
+        out = c.rows([c.row(f.where("n > 0").agg(F.max("n").cast("long").alias("most"), F.sum("n").cast("long").alias("total"), F.count(F.lit(1)).alias("queries")), method=k) for k, f in per.items()])
+        return out.withColumn("imbalance", F.col("most") * F.col("queries") / F.col("total"))
+
+    space = " AND ".join(f"{a}lo <= greatest(qx.{a}0, qx.{a}1) + dist AND {a}hi >= least(qx.{a}0, qx.{a}1) - dist" for a in "xyz")
+    per = {
+        "tbin": "SELECT n FROM allb", "slab": "SELECT n_candidates AS n FROM plan", "cell": f"SELECT demand AS n FROM ({c.cell_demand_sql(CELLS[n])})",
+        "tree": f"SELECT sum(n) AS n FROM qx JOIN leaf ON tlo < qx.t1 AND qx.t0 < thi AND {space} GROUP BY qx.traj_id, qx.seg_id",
+    }
+    body = " UNION ALL ".join(f"SELECT '{k}' AS method, CAST(max(n) AS BIGINT) AS most, CAST(sum(n) AS BIGINT) AS total, count(*) AS queries, CAST(max(n) * count(*) AS DOUBLE) / CAST(sum(n) AS DOUBLE) AS imbalance FROM ({s}) WHERE n > 0" for k, s in per.items())
+    return run, f"WITH {sql.ctes(n)}, {slab_schedule_cte(BINS[n], SLABS[n], x)}, ds AS (SELECT CAST({x} AS DOUBLE) AS dist), {c.leaves_cte(LEAF[n])} {body}"
 
 
 def _occupancy(n: str):
@@ -143,11 +191,50 @@ def _occupancy(n: str):
 
 
 def _rounds_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rounds of the candidate buffer: every query is served once."""
+    """Rounds of the candidate buffer: queries, demand and capacity of each."""
+    q, d = both(spark, sf_dir, "dense")
+    done = batching.cell_rounds(cells.demand(q, cells.build(d, 10), 3.1), 300 * c.total_entries(d))
+    return done.groupBy(F.col("round").cast("long").alias("round")).agg(F.count(F.lit(1)).alias("queries"), F.sum("demand").cast("long").alias("demand"))
+
+
+def _rounds_sql() -> str:
+    """The same rounds: sets of queries in the order of their demand, cut where the recursion says."""
+    need = c.cell_demand_sql(10)
+    cut = c.rounds_sql(need, "(SELECT 300 * count(*) FROM d)").replace("SELECT dist, max(round) AS rounds FROM (", "SELECT dist, round, p AS z FROM (").replace("SELECT dist, round FROM r) GROUP BY dist", "SELECT dist, round, p FROM r)")
+    return f"""WITH {sql.ctes('dense')}, {c.asked_sql((3.1,))}, cut AS MATERIALIZED ({cut}), o AS (SELECT dist, demand, row_number() OVER (ORDER BY demand, traj_id, seg_id) - 1 AS i FROM ({need}))
+        SELECT CAST(round AS BIGINT) AS round, count(*) AS queries, CAST(sum(demand) AS BIGINT) AS demand FROM (SELECT demand, (SELECT min(round) FROM cut WHERE z > i) AS round FROM o) GROUP BY 1"""
+
+
+def _groups_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Queries by the size of their demand."""
     q, d = both(spark, sf_dir, "dense")
-    need = materialize(cells.demand(q, cells.build(d, 10), 0.31))
-    done = batching.cell_rounds(need, 1_000_000)
-    return done.agg(F.countDistinct("q_traj", "q_seg").alias("queries"), F.sum("demand").cast("long").alias("demand"))
+    return batching.grouped(cells.demand(q, cells.build(d, 10), 3.1)).withColumn("class", F.col("class").cast("long"))
+
+
+_GROUPS_SQL = f"""WITH {sql.ctes('dense')}, {c.asked_sql((3.1,))} SELECT CAST(CASE WHEN demand > 0 THEN floor(log2(CAST(demand AS DOUBLE))) ELSE -1 END AS BIGINT) AS class, count(*) AS queries, CAST(sum(demand) AS BIGINT) AS total
+    FROM ({c.cell_demand_sql(10)}) GROUP BY 1"""
+
+
+def _all_pairs_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All pairs without a look at time, and those that overlap in it."""
+    q, d = c.prepared(spark, sf_dir, "dense")
+    n = lambda time: brute.candidates(q, d, time).agg(F.count(F.lit(1)).alias("pairs"))
+    return c.rows([c.row(n("none"), time="none"), c.row(n("overlap"), time="overlap")])
+
+
+_ALL_PAIRS_SQL = f"WITH {sql.ctes('dense')} SELECT 'none' AS time, count(*) AS pairs FROM q, d UNION ALL SELECT 'overlap', count(*) FROM q JOIN d ON q.t0 < d.t1 AND d.t0 < q.t1"
+
+
+def _choose_v_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Candidates of each number of slabs; the first of the smallest is the choice."""
+    q, d = c.prepared(spark, sf_dir, "dense")
+    got = materialize(slabs.totals(q, d, 3.1, 48))
+    best = slabs.choose_v(q, d, 3.1, 48)
+    return got.select(F.col("v").cast("long").alias("v"), "candidates", (F.col("v") == best).alias("chosen"))
+
+
+_CHOOSE_PARTS = " UNION ALL ".join(c.label_sql({"v": v}, f"SELECT candidates FROM ({c.slab_sql(48, v)})") for v in (1, 2, 4, 8, 16))
+_CHOOSE_SQL = f"WITH {sql.ctes('dense')}, {c.asked_sql((3.1,))}, t AS MATERIALIZED ({_CHOOSE_PARTS}) SELECT v, candidates, v = (SELECT arg_min(v, (candidates, v)) FROM t) AS chosen FROM t"
 
 
 def _tree_visits(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -157,7 +244,13 @@ def _tree_visits(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _plan(spark: SparkSession, sf_dir: str) -> DataFrame:
     q, d = both(spark, sf_dir, "dense")
-    return planner.estimates(q, d, 9.4, m=48, v=2, k=10, r=4)
+    return planner.estimates(q, planner.prepare(d, m=48, v=2, k=10, r=4), 9.4)
+
+
+def _plan_sql() -> str:
+    one = lambda s: f"(SELECT candidates FROM ({s}))"
+    got = {"tbin": c.tbin_sql(48), "slab": one(c.slab_sql(48, 2)), "tree": one(c.tree_sql(4)), "cell": one(c.cell_sql(10))}
+    return c.sweep_sql("dense", [c.select({"method": k}, {"candidates": s}) for k, s in got.items()], (9.4,))
 
 
 def _hybrid(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -245,9 +338,12 @@ _SINGLE = {
     "traj_predator_prey": (_predator_prey, _PREY_SQL),
     "traj_knn": (_knn, _KNN_SQL),
     "search_hybrid_dense": (_hybrid, sql.search("dense", 9.4)),
-    "batch_rounds_dense": (_rounds_dense, f"WITH {sql.ctes('dense')} SELECT (SELECT count(*) FROM q) AS queries, {c.cell_sql(10, 0.31)} AS demand"),
+    "batch_rounds_dense": (_rounds_dense, _rounds_sql()),
+    "batch_groups_dense": (_groups_dense, _GROUPS_SQL),
+    "measure_all_pairs_dense": (_all_pairs_dense, _ALL_PAIRS_SQL),
+    "measure_choose_v_dense": (_choose_v_dense, _CHOOSE_SQL),
     "measure_tree_visits_dense": (_tree_visits, None),
-    "measure_plan_dense": (_plan, None),
+    "measure_plan_dense": (_plan, _plan_sql()),
 }
 _EACH = {"interactions": _interactions, "hit_ratio": _hit_ratio, "served": _served, "within": _fraction_within, "wasted": _wasted, "index_size": _index_size, "balance": _balance, "occupancy": _occupancy}
 
@@ -256,7 +352,7 @@ def _all() -> dict:
     out = dict(_SINGLE)
     for n in SCENARIOS:
         out |= {f"measure_{k}_{n}": f(n) for k, f in _EACH.items()}
-    return out | {"measure_duplicates_dense": _duplicates("dense"), "measure_duplicates_walk": _duplicates("walk")}
+    return out | {"measure_duplicates_dense": _duplicates("dense"), "measure_duplicates_walk": _duplicates("walk"), "measure_duplicates_event": _duplicates("event")}
 
 
 _FOUND = _all()

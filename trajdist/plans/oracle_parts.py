@@ -48,11 +48,11 @@ def ctes(name: str) -> str:
 
 def pairs(q: str = "q", d: str = "d", condition: str = "qs.traj_id <> es.traj_id") -> str:
     """Pairs whose times overlap, the query's columns with q_ before them."""
-    mine = ", ".join(f"qs.{c} AS q_{c}" for c in _COLS.split(", "))
+    mine = ", ".join(f"qs.{c} AS q_{c}" for c in _COLS.split(", ") + (["dist"] if q == "qx" else []))
     return f"SELECT {mine}, es.* FROM {q} qs JOIN {d} es ON qs.t0 < es.t1 AND es.t0 < qs.t1 AND {condition}"
 
 
-def approached(source: str, d: float, layers: int = 5) -> str:
+def approached(source: str, d: float | str, layers: int = 5) -> str:
     out = f"({source})"
     for layer in approach_text(d)[:layers]:
         out = f"(SELECT *, {', '.join(f'{v} AS {k}' for k, v in layer.items())} FROM {out})"
@@ -63,9 +63,10 @@ def rounded(e: str) -> str:
     return f"floor(({e}) * CAST(1000000 AS DOUBLE) + CAST(0.5 AS DOUBLE)) / CAST(1000000 AS DOUBLE)"
 
 
-def match(d: float, source: str | None = None) -> str:
-    """SELECT of all matches, not rounded."""
-    return f"SELECT q_traj_id AS q_traj, q_seg_id AS q_seg, traj_id, seg_id, b0 + s0 AS lo, b0 + s1 AS hi FROM {approached(source or pairs(), d)} WHERE s0 <= s1"
+def match(d: float | str, source: str | None = None) -> str:
+    """SELECT of all matches, not rounded; at every distance of qx where ``d`` names its column."""
+    more = "q_dist AS dist, " if isinstance(d, str) else ""
+    return f"SELECT {more}q_traj_id AS q_traj, q_seg_id AS q_seg, traj_id, seg_id, b0 + s0 AS lo, b0 + s1 AS hi FROM {approached(source or pairs('qx' if more else 'q'), d)} WHERE s0 <= s1"
 
 
 def search(name: str, d: float) -> str:

@@ -4,12 +4,14 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.geometry import AXES, rounded
-from ..operators import brute, cells, packed_tree, search, slabs, timebins
-from ..operators.index import extents
+from ..operators import batching, brute, cells, packed_tree, search, slabs, timebins
+from ..operators.index import by_start, by_trajectory, extents
+from ..session import shared_folder
+from ..sources.tables import save_by_time
 from . import oracle_parts as sql
 from .scenarios import BINS, CELLS, DISTANCE, LEAF, SCENARIOS, SLABS, queries_of, segments
 
@@ -60,6 +62,8 @@ def searches() -> dict[str, Query]:
         "search_tbin_tight_dense": lambda q, d, x: timebins.search(q, timebins.build(d, m), x, tight=True),
         "search_tbin_scan_dense": lambda q, d, x: timebins.search(q, timebins.build(d, m), x, how="scan"),
         "search_tbin_classes_dense": lambda q, d, x: timebins.search_classes(q, timebins.build_classes(d, m), x),
+        "search_cell_points_dense": lambda q, d, x: cells.search(q, cells.build(d, c, points=True), x),
+        "search_tree_tasks_dense": lambda q, d, x: packed_tree.search(q, packed_tree.build(d, LEAF["dense"]), x, tasks=16),
         "search_tree_local_dense": lambda q, d, x: packed_tree.search_local(q, d, x, 16),
     }
     out |= {k: _search("dense", f) for k, f in variants.items()}
@@ -69,11 +73,36 @@ def searches() -> dict[str, Query]:
         q, d = both(spark, sf_dir, "dense")
         return search.splice_search(q, d, DISTANCE["dense"], 2).select("q_traj", "traj_id").distinct()
 
-    return out | {"search_tree_splice_dense": spliced}
+    def batched(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """SLAB with a result buffer: invocation by invocation, in the order of starts."""
+        q, d = both(spark, sf_dir, "dense")
+        x, index = DISTANCE["dense"], slabs.build(d, m, v)
+        need = slabs.schedule(q, index, x).select(F.col("q_traj_id").alias("q_traj"), F.col("q_seg_id").alias("q_seg"), F.col("q_t0").alias("t0"), F.col("n_candidates").alias("demand"))
+        plan = batching.by_capacity(need, 4 * index.time.entries.count(), ["t0", "q_traj", "q_seg"])
+        return shown(batching.run_batches(q, plan, lambda part: slabs.search(part, index, x)))
+
+    def by_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """CELL with a candidate buffer for each query: those whose buffer is too small go again, with fewer beside them."""
+        q, d = both(spark, sf_dir, "dense")
+        x, index = DISTANCE["dense"], cells.build(d, c)
+        plan = batching.cell_rounds(cells.demand(q, index, x), 300 * extents(d).n)
+        return shown(batching.run_batches(q, plan, lambda part: cells.search(part, index, x), "round", lambda part, i, k: cells.search(part, cells.chunk(index, i, k), x)))
+
+    def partitioned(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Entries in folders of coarse time: only those that queries reach are read."""
+        q, d = both(spark, sf_dir, "dense")
+        path = shared_folder(spark, "by_time")
+        save_by_time(d, path, 4.0)
+        return shown(search.partitioned(q, path, 4.0, DISTANCE["dense"]))
+
+    return out | {"search_tree_splice_dense": spliced, "search_slab_batched_dense": batched, "search_cell_rounds_dense": by_rounds, "search_partitioned_dense": partitioned}
 
 
 def search_sql() -> dict[str, str]:
     out = {k: sql.search(k.rsplit("_", 1)[1], DISTANCE[k.rsplit("_", 1)[1]]) for k in searches()}
+    still = ", ".join(f"{a}0 AS {a}1" for a in AXES)
+    points = f"ps AS (SELECT traj_id, seg_id, t0, x0, y0, z0, t1, {still} FROM d)"
+    out["search_cell_points_dense"] = f"WITH {sql.ctes('dense')}, {points} SELECT q_traj, q_seg, traj_id, seg_id, {sql.rounded('lo')} AS lo, {sql.rounded('hi')} AS hi FROM ({sql.match(DISTANCE['dense'], sql.pairs('q', 'ps'))})"
     out["search_tree_splice_dense"] = f"WITH {sql.ctes('dense')} SELECT DISTINCT q_traj, traj_id FROM ({sql.match(DISTANCE['dense'])})"
     return out
 
@@ -145,7 +174,7 @@ def cell_expr(k: int, x: str, c: str) -> str:
     return f"CAST(CASE WHEN {c}_hi <= {c}_lo THEN 0 ELSE least({k - 1}, greatest(0, floor((({x}) - {c}_lo) / (({c}_hi - {c}_lo) / {k})))) END AS BIGINT)"
 
 
-def cells_of(k: int, source: str, prefix: str = "", d: float = 0.0, keep: str = "traj_id, seg_id") -> str:
+def cells_of(k: int, source: str, prefix: str = "", d: float | str = 0.0, keep: str = "traj_id, seg_id") -> str:
     """SELECT of each cell of each box."""
     names = {c: (f"{prefix}{c}0", f"{prefix}{c}1") for c in AXES}
     ranges = ", ".join(f"{cell_expr(k, f'least({a}, {b}) - CAST({d} AS DOUBLE)', c)} AS {c}a, {cell_expr(k, f'greatest({a}, {b}) + CAST({d} AS DOUBLE)', c)} AS {c}z" for c, (a, b) in names.items())
@@ -204,18 +233,18 @@ def _tbin_schedule_sql(n: str) -> str:
         FROM q JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 GROUP BY 1, 2"""
 
 
-def slab_schedule_cte(m: int, v: int, dist: float) -> str:
-    """plan: q_traj, q_seg, selector, n_candidates."""
-    d = f"CAST({dist} AS DOUBLE)"
+def slab_schedule_cte(m: int, v: int, dist: float | None = None) -> str:
+    """plan: q_traj, q_seg, dist, selector, n_candidates; for the one distance, or for those of qx."""
+    asked = "" if dist is None else f"qx AS (SELECT q.*, CAST({dist} AS DOUBLE) AS dist FROM q), "
     axes = " UNION ALL ".join(
-        f"SELECT q.traj_id, q.seg_id, q.t0, q.t1, {i} AS axis, {slab_expr(v, f'least({c}0, {c}1) - {d}', c)} AS slab, {slab_expr(v, f'greatest({c}0, {c}1) + {d}', c)} AS last_slab FROM q, e" for i, c in enumerate(AXES)
+        f"SELECT qx.traj_id, qx.seg_id, qx.dist, qx.t0, qx.t1, {i} AS axis, {slab_expr(v, f'least({c}0, {c}1) - dist', c)} AS slab, {slab_expr(v, f'greatest({c}0, {c}1) + dist', c)} AS last_slab FROM qx, e" for i, c in enumerate(AXES)
     )
-    return f"""{slabs_cte(m, v)}, elig AS (SELECT * FROM ({axes}) WHERE slab = last_slab),
-    cnt AS (SELECT l.traj_id, l.seg_id, l.axis, coalesce(sum(s.n), 0) AS n FROM elig l JOIN dir ON l.t0 < bin_end AND bin_start < l.t1 LEFT JOIN sdir s ON s.axis = l.axis AND s.slab = l.slab AND s.bin = dir.bin GROUP BY 1, 2, 3),
-    best AS (SELECT traj_id, seg_id, min(struct_pack(n := n, axis := axis)) AS b FROM cnt GROUP BY 1, 2),
+    return f"""{asked}{slabs_cte(m, v)}, elig AS (SELECT * FROM ({axes}) WHERE slab = last_slab),
+    cnt AS (SELECT l.traj_id, l.seg_id, l.dist, l.axis, coalesce(sum(s.n), 0) AS n FROM elig l JOIN dir ON l.t0 < bin_end AND bin_start < l.t1 LEFT JOIN sdir s ON s.axis = l.axis AND s.slab = l.slab AND s.bin = dir.bin GROUP BY 1, 2, 3, 4),
+    best AS (SELECT traj_id, seg_id, dist, min(struct_pack(n := n, axis := axis)) AS b FROM cnt GROUP BY 1, 2, 3),
     allb AS (SELECT q.traj_id, q.seg_id, sum(n) AS n FROM q JOIN dir ON q.t0 < bin_end AND bin_start < q.t1 GROUP BY 1, 2),
-    plan AS (SELECT q.traj_id AS q_traj, q.seg_id AS q_seg, CAST(coalesce(b.axis, -1) AS INTEGER) AS selector, CAST(CASE WHEN b IS NULL THEN coalesce(allb.n, 0) ELSE b.n END AS BIGINT) AS n_candidates
-        FROM q LEFT JOIN best USING (traj_id, seg_id) LEFT JOIN allb USING (traj_id, seg_id))"""
+    plan AS (SELECT qx.traj_id AS q_traj, qx.seg_id AS q_seg, qx.dist, CAST(coalesce(b.axis, -1) AS INTEGER) AS selector, CAST(CASE WHEN b IS NULL THEN coalesce(allb.n, 0) ELSE b.n END AS BIGINT) AS n_candidates
+        FROM qx LEFT JOIN best USING (traj_id, seg_id, dist) LEFT JOIN allb USING (traj_id, seg_id))"""
 
 
 def _slab_schedule(n: str) -> Query:
@@ -228,11 +257,23 @@ def _slab_schedule(n: str) -> Query:
 
 
 def _slab_schedule_sql(n: str) -> str:
-    return f"WITH {sql.ctes(n)}, {slab_schedule_cte(BINS[n], SLABS[n], DISTANCE[n])} SELECT * FROM plan"
+    return f"WITH {sql.ctes(n)}, {slab_schedule_cte(BINS[n], SLABS[n], DISTANCE[n])} SELECT * EXCLUDE (dist) FROM plan"
+
+
+def _ordered(how: Callable[[DataFrame], DataFrame], order: list[str]) -> Query:
+    """Queries as they are laid out for a search: each row's place in its part."""
+
+    def f(spark: SparkSession, sf_dir: str) -> DataFrame:
+        q, _ = both(spark, sf_dir, "dense")
+        laid = how(q).select(*order, F.spark_partition_id().alias("_part"), F.monotonically_increasing_id().alias("_at"))
+        before = F.lag(F.struct(*order)).over(Window.partitionBy("_part").orderBy("_at"))
+        return laid.withColumn("in_order", F.coalesce(before <= F.struct(*order), F.lit(True))).select(*order, "in_order")
+
+    return f
 
 
 def queries() -> dict[str, Query]:
-    out = searches()
+    out = searches() | {"layout_by_start_dense": _ordered(by_start, ["t0", "traj_id", "seg_id"]), "layout_by_trajectory_dense": _ordered(by_trajectory, ["traj_id", "seg_id"])}
     for n in SCENARIOS:
         out |= {f"segments_{n}": _segments(n), f"index_extents_{n}": _extents(n), f"index_bins_{n}": _bins(n), f"index_slabs_{n}": _slabs(n), f"index_cells_{n}": _cells(n), f"index_tree_leaves_{n}": _leaves(n)}
         out |= {f"schedule_tbin_{n}": _tbin_schedule(n), f"schedule_slab_{n}": _slab_schedule(n)}
@@ -240,7 +281,7 @@ def queries() -> dict[str, Query]:
 
 
 def oracles() -> dict[str, str]:
-    out = search_sql()
+    out = search_sql() | {"layout_by_start_dense": f"WITH {sql.ctes('dense')} SELECT t0, traj_id, seg_id, true AS in_order FROM q", "layout_by_trajectory_dense": f"WITH {sql.ctes('dense')} SELECT traj_id, seg_id, true AS in_order FROM q"}
     for n in SCENARIOS:
         out |= {
             f"segments_{n}": f"WITH {sql.ctes(n)} SELECT * FROM d", f"index_extents_{n}": _extents_sql(n), f"index_bins_{n}": _bins_sql(n), f"index_slabs_{n}": _slabs_sql(n),

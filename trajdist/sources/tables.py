@@ -39,4 +39,4 @@ def load_index(spark: SparkSession, name: str) -> tuple[DataFrame, dict]:
 
 def save_by_time(df: DataFrame, path: str, width: float) -> None:
     """Parquet folders by coarse time, each sorted by start, so that time predicates prune files and row groups."""
-    df.withColumn("coarse", F.floor(F.col("t0") / width)).repartition("coarse").sortWithinPartitions("t0").write.mode("overwrite").partitionBy("coarse").parquet(path)
+    df.select(*COLUMNS).withColumn("coarse", F.floor(F.col("t0") / width)).repartition("coarse").sortWithinPartitions("t0").write.mode("overwrite").partitionBy("coarse").parquet(path)
