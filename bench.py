@@ -1,6 +1,6 @@
 """Times the headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS] and prints one JSON line.
 
-Searches: response time of a whole query set, mean of two runs into the noop sink, with the index built and
+Searches: response time of a whole query set, mean of three runs into the noop sink, after one that warms up, with the index built and
 materialized before (its building is not counted).  Operators of the training-data subpackage: one run each.
 """
 
@@ -17,11 +17,13 @@ from pyspark.sql import functions as F
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
-TRIALS = 2
+TRIALS = 3
 
 
 def timed(make, trials: int = TRIALS) -> tuple[float, float]:
     took = []
+    if trials > 1:
+        make().write.format("noop").mode("overwrite").save()
     for _ in range(trials):
         began = time.time()
         make().write.format("noop").mode("overwrite").save()
@@ -29,54 +31,56 @@ def timed(make, trials: int = TRIALS) -> tuple[float, float]:
     return statistics.mean(took), statistics.pstdev(took)
 
 
+#: Settings of the comparison: share of trajectories that ask, distances (the middle one is the headline), m, v, cells, r.
+#: The walk's and the dense shares are those of the experiments; cells only where segments are small, as there.
+PLAN = {
+    "walk": (10, (5.0, 20.0, 50.0), 10000, 4, 50, 10),
+    "event": (5, (1.0, 10.0, 50.0), 1000, 16, None, 1),
+    "dense": (250, (0.31, 9.4, 28.1), 1000, 2, None, 4),
+}
+
+
 def searches(spark: SparkSession) -> tuple[dict[str, float], list[dict]]:
     from trajdist.operators import batching, cells, packed_tree, slabs, timebins
     from trajdist.operators.index import as_queries
     from trajdist.plans.scenarios import segments
     from trajdist.session import materialize
 
-    # Every how-many-th trajectory asks, and the settings; fewer ask where contacts are dense, so that one run stays short.
-    plan = {"walk": (25, 20.0, 1000, 4, 20, 10), "event": (100, 10.0, 1000, 2, 10, 1), "dense": (2500, 9.4, 48, 2, 10, 4)}
     found, rows = {}, []
-    for name, (every, dist, m, v, k, r) in plan.items():
+    for name, (every, dists, m, v, k, r) in PLAN.items():
         d = materialize(segments(spark, SF_DIR, name))
         q = materialize(d.where(F.col("traj_id") % every == 0))
-        tbin, slab = timebins.build(d, m), slabs.build(d, m, v)
-        tbin = tbin._replace(entries=materialize(tbin.entries))
-        slab = slab._replace(time=tbin, lookup=materialize(slab.lookup), directory=materialize(slab.directory))
-        # Cells only where segments are small: elsewhere they make candidates by the billion (the experiment leaves them out there too).
-        with_cells = name == "walk"
-        if with_cells:
+        tbin, slab, one = timebins.store(timebins.build(d, m)), slabs.store(slabs.build(d, m, v)), slabs.store(slabs.build(d, m, 1))
+        tree = packed_tree.store(packed_tree.build(d, r))
+        methods = {"tbin": lambda x: timebins.search(q, tbin, x), "slab": lambda x: slabs.search(q, slab, x), "tree": lambda x: packed_tree.search(q, tree, x)}
+        if k:
             cell = cells.build(d, k)
-            cell = cell._replace(lookup=materialize(cell.lookup), directory=materialize(cell.directory))
-        tree = packed_tree.build(d, r)
-        tree = tree._replace(levels=[materialize(x) for x in tree.levels], entries=materialize(tree.entries))
-        methods = {
-            "tbin": lambda: timebins.search(q, tbin, dist),
-            "slab": lambda: slabs.search(q, slab, dist),
-            **({"cell": lambda: cells.search(q, cell, dist)} if with_cells else {}),
-            "tree": lambda: packed_tree.search(q, tree, dist),
-        }
-        one = slabs.build(d, m, 1)
-        one = one._replace(time=tbin, lookup=materialize(one.lookup), directory=materialize(one.directory))
-        extra = {
-            "plan_tbin": lambda: timebins.overlaps(as_queries(q), tbin.directory, tbin.bins).groupBy("q_traj_id", "q_seg_id").agg(F.sum("n")),
-            "plan_slab": lambda: slabs.schedule(q, slab, dist),
-            "slab_one": lambda: slabs.search(q, one, dist),
-            **({"cell_rounds": lambda: batching.cell_rounds(cells.demand(q, cell, dist), 50_000_000)} if with_cells else {}),
-        }
-        side = {k: timed(make, 1)[0] for k, make in extra.items()}
-        for method, make in methods.items():
-            mean, sd = timed(make)
-            found[f"search_{method}_{name}"] = round(mean, 3)
-            side[method] = mean
-            rows.append({"scenario": name, "method": method, "d": dist, "queries": q.count(), "entries": d.count(), "results": make().count(), "mean": round(mean, 3), "sd": round(sd, 3)})
+            cell = cell._replace(lookup=timebins.in_place(cell.lookup, ["h"]), directory=materialize(cell.directory))
+            methods["cell"] = lambda x: cells.search(q, cell, x)
+        n, entries = q.count(), d.count()
+        for x in dists:
+            head, side = x == dists[1], {}
+            for method, make in methods.items():
+                mean, sd = timed(lambda: make(x))
+                side[method] = mean
+                rows.append({"scenario": name, "method": method, "d": x, "queries": n, "entries": entries, "mean": round(mean, 3), "sd": round(sd, 3)})
+                print(json.dumps(rows[-1]), file=sys.stderr, flush=True)
+                if head:
+                    found[f"search_{method}_{name}"] = round(mean, 3)
+            extra = {
+                "plan_tbin": lambda: timebins.overlaps(as_queries(q), tbin.directory, tbin.bins).groupBy("q_traj_id", "q_seg_id").agg(F.sum("n")),
+                "plan_slab": lambda: slabs.schedule(q, slab, x),
+                "slab_one": lambda: slabs.search(q, one, x),
+                **({"rounds": lambda: batching.cell_rounds(cells.demand(q, cell, x), 538 * entries)} if k else {}),
+            }
+            side |= {key: timed(make)[0] for key, make in extra.items()}
+            # Shares of planning, the indirection of slabs over bins, the cells' time with their rounds, ratios to the tree, and gains in percent.
+            rows.append({
+                "scenario": name, "d": x, "results": timebins.search(q, tbin, x).count(), "plan_share_tbin": round(side["plan_tbin"] / side["tbin"], 3), "plan_share_slab": round(side["plan_slab"] / side["slab"], 3),
+                "indirection_percent": round(100 * (side["slab_one"] / side["tbin"] - 1), 1), "slab_over_tbin_percent": round(100 * (side["slab"] / side["tbin"] - 1), 1), "tree_over_slab_percent": round(100 * (side["tree"] / side["slab"] - 1), 1),
+                **({"cell_optimistic": round(side["cell"], 3), "cell_with_rounds": round(side["cell"] + side["rounds"], 3)} if k else {}), **{f"{key}_over_tree": round(side[key] / side["tree"], 3) for key in methods if key != "tree"},
+            })
             print(json.dumps(rows[-1]), file=sys.stderr, flush=True)
-        # Shares of planning, the indirection of slabs over bins, the cells' time with their rounds, and ratios to the tree.
-        rows.append({
-            "scenario": name, "plan_share_tbin": round(side["plan_tbin"] / side["tbin"], 3), "plan_share_slab": round(side["plan_slab"] / side["slab"], 3), "indirection_percent": round(100 * (side["slab_one"] / side["tbin"] - 1), 1),
-            **({"cell_optimistic": round(side["cell"], 3), "cell_with_rounds": round(side["cell"] + side["cell_rounds"], 3)} if with_cells else {}), **{f"{k}_over_tree": round(side[k] / side["tree"], 3) for k in methods if k != "tree"},
-        })
     return found, rows
 
 
@@ -100,11 +104,8 @@ def main() -> None:
     )
     spark.sparkContext.setLogLevel("ERROR")
     times, rows = searches(spark)
-    for r in rows:
-        if "method" not in r:
-            print(json.dumps(r), file=sys.stderr)
     times |= operators(spark)
-    print(json.dumps({"metric": "total_seconds", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": os.path.basename(SF_DIR.rstrip("/"))}))
+    print(json.dumps({"metric": "total_seconds", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": os.path.basename(SF_DIR.rstrip("/")), "series": rows}))
     spark.stop()
 
 

@@ -132,8 +132,8 @@ def _duplicates(n: str):
     hit = f"SELECT * FROM {sql.approached(sql.pairs(), x)}, e WHERE s0 <= s1"
     one = lambda s: f"(SELECT candidates FROM ({s}))"
     rows = [
-        ("cell", one(c.cell_sql(k)), one(c.cell_distinct_sql(k)), f"(SELECT CAST(sum({cells_shared}) AS BIGINT) FROM hit)"),
-        ("slabs", one(c.slab_pairs_sql(m, v, "multi repeats")), one(c.slab_pairs_sql(m, v, "multi")), f"(SELECT CAST(sum({axis}) AS BIGINT) FROM hit)"),
+        ("cell", one(c.cell_sql(k)), one(c.cell_distinct_sql(k)), f"(SELECT CAST(coalesce(sum({cells_shared}), 0) AS BIGINT) FROM hit)"),
+        ("slabs", one(c.slab_pairs_sql(m, v, "multi repeats")), one(c.slab_pairs_sql(m, v, "multi")), f"(SELECT CAST(coalesce(sum({axis}), 0) AS BIGINT) FROM hit)"),
     ]
     body = " UNION ALL ".join(f"SELECT '{name}' AS method, {a} AS candidates, {b} AS distinct_candidates, {r} AS results, (SELECT count(*) FROM hit) AS distinct_results" for name, a, b, r in rows)
     return run, f"WITH {sql.ctes(n)}, {c.asked_sql((x,))}, {_EXT}, hit AS MATERIALIZED ({hit}) SELECT *, candidates - distinct_candidates AS duplicates FROM ({body})"

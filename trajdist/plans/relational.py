@@ -16,7 +16,7 @@ from ..sources.tables import table
 from . import oracle_parts as sql
 from . import sqlapi
 from .scenarios import segments
-from .searches import Query, both
+from .searches import _EXT, Query, both, cells_of
 
 _QUERIES: dict[str, Query] = {}
 _SQL: dict[str, str] = {}
@@ -107,24 +107,24 @@ def _asof(t, orders: DataFrame) -> DataFrame:
     return o.unionByName(e).withColumn("event_id", F.last("event_id", ignorenulls=True).over(w)).where("side = 1").select("o_orderkey", "event_id")
 
 
-@op("o9_asof_join", "SELECT o.o_orderkey, e.event_id FROM (SELECT * FROM orders WHERE o_orderkey % 50 = 0) o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.o_custkey % 15 = e.user_id AND o.o_orderdate >= e.ts")
+@op("o9_asof_join", "SELECT o.o_orderkey, e.event_id FROM orders o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.o_custkey % 15 = e.user_id AND o.o_orderdate >= e.ts")
 def _(t, spark):
-    return _asof(t, t("orders").where("o_orderkey % 50 = 0"))
+    return _asof(t, t("orders"))
 
 
-@op("o9_asof_join_whole", "SELECT o.o_orderkey, e.event_id FROM orders o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.o_custkey % 15 = e.user_id AND o.o_orderdate >= e.ts")
+@op("o10_outer_join", "SELECT c_custkey, o_orderkey FROM customer FULL OUTER JOIN orders ON c_custkey = o_custkey")
 def _(t, spark):
-    return _asof(t, t("orders"))
+    return t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "full_outer").select("c_custkey", "o_orderkey")
 
 
-@op("o10_outer_join", "SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 3 = 0) FULL OUTER JOIN (SELECT * FROM orders WHERE o_orderkey % 7 = 0) ON c_custkey = o_custkey")
+@op("o10_left_join", "SELECT c_custkey, o_orderkey FROM customer LEFT JOIN orders ON c_custkey = o_custkey")
 def _(t, spark):
-    return t("customer").where("c_custkey % 3 = 0").join(t("orders").where("o_orderkey % 7 = 0"), F.col("c_custkey") == F.col("o_custkey"), "full_outer").select("c_custkey", "o_orderkey")
+    return t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left").select("c_custkey", "o_orderkey")
 
 
-@op("o10_outer_join_whole", "SELECT c_custkey, o_orderkey FROM customer FULL OUTER JOIN orders ON c_custkey = o_custkey")
+@op("o10_right_join", "SELECT vec_id, l.doc_id, quality FROM embeddings e RIGHT JOIN labels l ON e.vec_id = l.doc_id")
 def _(t, spark):
-    return t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "full_outer").select("c_custkey", "o_orderkey")
+    return t("embeddings").join(t("labels"), F.col("vec_id") == F.col("doc_id"), "right").select("vec_id", "doc_id", "quality")
 
 
 @op("o11_semi_anti", "SELECT doc_id, doc_id IN (SELECT doc_id FROM labels) AS labelled FROM documents")
@@ -140,9 +140,32 @@ def _(t, spark):
     return t("region").select("r_name").crossJoin(mates).select("r_name", "n_name", "mates")
 
 
-@op("o13_explode", "SELECT vec_id, CAST(i - 1 AS INTEGER) AS pos, CAST(embedding[i] AS DOUBLE) AS x FROM embeddings, unnest(range(1, 4)) AS u(i)")
+@op("o13_explode", "SELECT vec_id, CAST(i - 1 AS INTEGER) AS pos, CAST(embedding[i] AS DOUBLE) AS x FROM embeddings, unnest(range(1, len(embedding) + 1)) AS u(i)")
+def _(t, spark):
+    return t("embeddings").select("vec_id", F.posexplode("embedding").alias("pos", "x")).withColumn("x", F.col("x").cast("double"))
+
+
+@op("o13_explode_outer", "SELECT conv_id, turn, unnest(CASE WHEN len(w) = 0 THEN [NULL] ELSE w END) AS word FROM (SELECT conv_id, turn, list_filter(string_split(coalesce(text, ''), ' '), lambda x: x <> '') AS w FROM conversations)")
 def _(t, spark):
-    return t("embeddings").select("vec_id", F.posexplode(F.slice("embedding", 1, 3)).alias("pos", "x")).withColumn("x", F.col("x").cast("double"))
+    words = F.filter(F.split(F.coalesce("text", F.lit("")), " "), lambda x: x != "")
+    return t("conversations").select("conv_id", "turn", F.explode_outer(words).alias("word"))
+
+
+@op("o13_inline", "SELECT n_nationkey, v.k, v.label FROM nation, LATERAL (VALUES (n_nationkey, n_name), (n_regionkey, 'region')) v(k, label)")
+def _(t, spark):
+    n = t("nation")
+    return n.select("n_nationkey", F.inline(F.array(F.struct(F.col("n_nationkey").alias("k"), F.col("n_name").alias("label")), F.struct(F.col("n_regionkey").alias("k"), F.lit("region").alias("label")))))
+
+
+@op("o13_stack", "SELECT s_suppkey, v.name, v.value FROM supplier, LATERAL (VALUES ('nation', CAST(s_nationkey AS DOUBLE)), ('balance', s_acctbal)) v(name, value)")
+def _(t, spark):
+    return t("supplier").select("s_suppkey", F.stack(F.lit(2), F.lit("nation"), F.col("s_nationkey").cast("double"), F.lit("balance"), F.col("s_acctbal")).alias("name", "value"))
+
+
+@op("o13_lateral_join", "SELECT r_regionkey, count(n_nationkey) AS nations, min(n_name) AS first FROM region LEFT JOIN nation ON n_regionkey = r_regionkey GROUP BY 1")
+def _(t, spark):
+    inner = "LATERAL (SELECT count(*) AS nations, min(n_name) AS first FROM {n} WHERE n_regionkey = r_regionkey)"
+    return spark.sql(f"SELECT r_regionkey, nations, first FROM {{r}}, {inner}", r=t("region"), n=t("nation"))
 
 
 @op("o14_hash_aggregate", "SELECT event_type, count(*) AS n, min(value) AS lo, max(value) AS hi, min(event_id) AS first FROM events GROUP BY event_type")
@@ -215,10 +238,23 @@ def _(t, spark):
     return t("events").groupBy("event_type").agg(r(F.stddev("value")).alias("sd"), r(F.variance("value")).alias("var"), r(F.corr("value", "event_id"), 9).alias("corr"), r(F.covar_samp("value", "user_id")).alias("cov"))
 
 
+@op("o22_shape", f"""SELECT user_id, {_places('(sum(pow(value - m, 3)) / count(*)) / pow(sum(pow(value - m, 2)) / count(*), 1.5)', 5)} AS skew,
+    {_places('(sum(pow(value - m, 4)) / count(*)) / pow(sum(pow(value - m, 2)) / count(*), 2) - 3', 5)} AS kurt FROM (SELECT *, avg(value) OVER (PARTITION BY user_id) AS m FROM events) GROUP BY user_id""")
+def _(t, spark):
+    return t("events").groupBy("user_id").agg(F.round(F.skewness("value"), 5).alias("skew"), F.round(F.kurtosis("value"), 5).alias("kurt"))
+
+
+@op("o22_histogram", "SELECT CAST(least(9, greatest(0, floor((value - lo) / ((hi - lo) / 10)))) AS BIGINT) AS bucket, count(*) AS n FROM events, (SELECT min(value) AS lo, max(value) AS hi FROM events) GROUP BY 1")
+def _(t, spark):
+    e = t("events")
+    r = e.agg(F.min("value").alias("lo"), F.max("value").alias("hi")).first()
+    return e.groupBy(F.least(F.lit(9), F.greatest(F.lit(0), F.floor((F.col("value") - r.lo) / ((r.hi - r.lo) / 10)))).cast("long").alias("bucket")).agg(F.count(F.lit(1)).alias("n"))
+
+
 @op("o23_ranking", """SELECT event_id, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS quarter, percent_rank() OVER w AS pr, cume_dist() OVER w AS cd
-    FROM events WINDOW w AS (PARTITION BY event_type ORDER BY user_id, event_id)""")
+    FROM events WINDOW w AS (PARTITION BY user_id ORDER BY value, event_id)""")
 def _(t, spark):
-    w = Window.partitionBy("event_type").orderBy("user_id", "event_id")
+    w = Window.partitionBy("user_id").orderBy("value", "event_id")
     return t("events").select("event_id", F.row_number().over(w).cast("long").alias("rn"), F.rank().over(w).cast("long").alias("rk"), F.dense_rank().over(w).cast("long").alias("dr"), F.ntile(4).over(w).cast("long").alias("quarter"), F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"))
 
 
@@ -229,10 +265,10 @@ def _(t, spark):
 
 
 @op("o25_frames", """SELECT event_id, CAST(sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running,
-    max(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS near, count(*) OVER (PARTITION BY event_type ORDER BY event_id RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS recent FROM events""")
+    max(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS near, count(*) OVER (PARTITION BY user_id ORDER BY event_id RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS recent FROM events""")
 def _(t, spark):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    r = Window.partitionBy("event_type").orderBy("event_id").rangeBetween(-100, 0)
+    r = Window.partitionBy("user_id").orderBy("event_id").rangeBetween(-100, 0)
     return t("events").select("event_id", F.sum("event_id").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"), F.max("value").over(w.rowsBetween(-2, 2)).alias("near"), F.count(F.lit(1)).over(r).alias("recent"))
 
 
@@ -342,11 +378,22 @@ def _(t, spark):
     )
 
 
-@op("o37_maps", "SELECT user_id, max(value) FILTER (WHERE event_type = 'click') AS click, count(DISTINCT event_type) AS kinds FROM events GROUP BY user_id")
+@op("o36_array_functions", """SELECT vec_id, CAST(round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE))), 6) AS DOUBLE) AS total, CAST(round(list_sum(list_transform(list_zip(embedding[1:32], embedding[33:64]), lambda p: CAST(p[1] AS DOUBLE) * CAST(p[2] AS DOUBLE))), 6) AS DOUBLE) AS halves,
+    len(list_intersect(range(CAST(label AS BIGINT), CAST(label AS BIGINT) + 5), [3, 4, 5, 6])) AS shared, CAST(list_sum(range(0, CAST(label AS BIGINT) + 1)) AS BIGINT) AS steps FROM embeddings""")
+def _(t, spark):
+    e, k = F.transform("embedding", lambda x: x.cast("double")), F.col("label").cast("long")
+    total = lambda a: F.round(F.aggregate(a, F.lit(0.0), lambda s, x: s + x), 6)
+    return t("embeddings").select(
+        "vec_id", total(e).alias("total"), total(F.zip_with(F.slice(e, 1, 32), F.slice(e, 33, 32), lambda a, b: a * b)).alias("halves"),
+        F.size(F.array_intersect(F.sequence(k, k + 4), F.array(*(F.lit(x).cast("long") for x in (3, 4, 5, 6))))).cast("long").alias("shared"), F.aggregate(F.sequence(F.lit(0).cast("long"), k), F.lit(0).cast("long"), lambda s, x: s + x).alias("steps"),
+    )
+
+
+@op("o37_maps", "SELECT user_id, 2 * max(value) FILTER (WHERE event_type = 'click') + 5 AS click, count(DISTINCT event_type) AS kinds FROM events GROUP BY user_id")
 def _(t, spark):
     best = t("events").groupBy("user_id", "event_type").agg(F.max("value").alias("v"))
     m = best.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "v"))).alias("m"))
-    return m.select("user_id", F.transform_values("m", lambda k, v: v)["click"].alias("click"), F.size(F.map_keys("m")).cast("long").alias("kinds"))
+    return m.select("user_id", F.transform_values("m", lambda k, v: 2 * v + F.length(k))["click"].alias("click"), F.size(F.map_keys("m")).cast("long").alias("kinds"))
 
 
 @op("o38_json", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INTEGER) AS k, json_extract_string(props, '$.k') AS text FROM events")
@@ -354,6 +401,11 @@ def _(t, spark):
     return t("events").select("event_id", F.from_json("props", "k int")["k"].alias("k"), F.get_json_object(F.to_json(F.from_json("props", "k int")), "$.k").alias("text"))
 
 
+@op("o38_json_tuple", "SELECT event_id, json_extract_string(props, '$.k') AS k, CAST(NULL AS VARCHAR) AS none FROM events")
+def _(t, spark):
+    return t("events").select("event_id", F.json_tuple("props", "k", "none").alias("k", "none"))
+
+
 @op("o39_casts", "SELECT p_partkey, try_cast(split_part(p_brand, '#', 2) AS INTEGER) AS brand, try_cast(p_name AS DOUBLE) AS none, CAST(CAST(p_retailprice AS DECIMAL(18, 4)) AS DOUBLE) AS price FROM part")
 def _(t, spark):
     return t("part").select("p_partkey", F.expr("try_cast(split_part(p_brand, '#', 2) AS INT)").alias("brand"), F.expr("try_cast(p_name AS DOUBLE)").alias("none"), F.col("p_retailprice").cast("decimal(18,4)").cast("double").alias("price"))
@@ -408,6 +460,43 @@ def _(t, spark):
     return spark.sql("SELECT CAST(n_nationkey AS INT) AS n, CAST(b.bin AS BIGINT) AS bin FROM udtf_nation, LATERAL bins_of_interval(CAST(n_nationkey AS DOUBLE), CAST(n_nationkey AS DOUBLE) + 2.5D, 0.0D, 1.0D) b")
 
 
+@op("o45_cells_and_parts", """SELECT n_nationkey AS n, 'cells' AS kind, count(*) AS k, CAST(sum(cx + cy + cz) AS DOUBLE) AS total FROM (SELECT n_nationkey, unnest(range(n_nationkey // 4, (n_nationkey + 5) // 4 + 1)) AS cx, cy, cz FROM nation, unnest(range(0, 2)) a(cy), unnest(range(1, 3)) b(cz)) GROUP BY 1
+    UNION ALL SELECT n_nationkey, 'parts', count(*), sum(n_nationkey + 2 * i / 4.0) FROM nation, unnest(range(0, 4)) u(i) GROUP BY 1""")
+def _(t, spark):
+    sqlapi.register_functions(spark)
+    t("nation").createOrReplaceTempView("udtf_nation")
+    return spark.sql("""SELECT n_nationkey AS n, 'cells' AS kind, count(*) AS k, CAST(sum(c.cx + c.cy + c.cz) AS DOUBLE) AS total FROM udtf_nation, LATERAL cells_of_box(CAST(n_nationkey AS DOUBLE), CAST(n_nationkey AS DOUBLE) + 5D, 1D, 6D, 5D, 9.5D, 4D) c GROUP BY 1
+        UNION ALL SELECT n_nationkey, 'parts', count(*), sum(p.t0) FROM udtf_nation, LATERAL splice_interval(CAST(n_nationkey AS DOUBLE), CAST(n_nationkey AS DOUBLE) + 2D, 4) p GROUP BY 1""")
+
+
+@op("o46_cogrouped_map", "SELECT c.k AS c_custkey, coalesce(c.n, 0) AS rows, coalesce(o.n, 0) AS orders FROM (SELECT c_custkey AS k, count(*) AS n FROM customer GROUP BY 1) c LEFT JOIN (SELECT o_custkey AS k, count(*) AS n FROM orders GROUP BY 1) o USING (k)")
+def _(t, spark):
+    import pyarrow as pa
+
+    def meet(key, left: pa.Table, right: pa.Table) -> pa.Table:
+        none = left.num_rows == 0
+        return pa.table({"c_custkey": pa.array([] if none else [key[0].as_py()], pa.int64()), "rows": pa.array([] if none else [left.num_rows], pa.int64()), "orders": pa.array([] if none else [right.num_rows], pa.int64())})
+
+    left, right = t("customer").select("c_custkey").groupBy("c_custkey"), t("orders").select(F.col("o_custkey").alias("c_custkey"), "o_orderkey").groupBy("c_custkey")
+    return left.cogroup(right).applyInArrow(meet, "c_custkey long, rows long, orders long")
+
+
+@op("o46_arrow_maps", "SELECT user_id, sum(twice) AS twice, count(*) AS n FROM (SELECT user_id, 2 * event_id AS twice FROM events) GROUP BY 1")
+def _(t, spark):
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    def double(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pc.multiply(b.column(1), 2)], ["user_id", "twice"])
+
+    def total(rows: pa.Table) -> pa.Table:
+        return pa.table({"user_id": rows["user_id"][:1], "twice": [pc.sum(rows["twice"]).as_py()], "n": [rows.num_rows]})
+
+    doubled = t("events").select("user_id", "event_id").mapInArrow(double, "user_id long, twice long")
+    return doubled.groupBy("user_id").applyInArrow(total, "user_id long, twice long, n long")
+
+
 @op("o46_grouped_map", "SELECT user_id, count(*) AS n, max(value) - min(value) AS spread FROM events GROUP BY user_id")
 def _(t, spark):
     def spread(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -438,6 +527,27 @@ for _fmt in ("csv", "json", "orc", "parquet"):
     op_dir(f"s3_{_fmt}", "SELECT s_suppkey, s_name, s_acctbal FROM supplier")(_round_trip(_fmt))
 
 
+@op_dir("s3_text", "SELECT s_suppkey, s_name FROM supplier")
+def _(spark, sf_dir):
+    from ..session import shared_folder
+
+    path = shared_folder(spark, "text")
+    table(spark, sf_dir, "supplier").select(F.concat_ws("\t", "s_suppkey", "s_name").alias("value")).write.text(path)
+    parts = F.split("value", "\t")
+    return spark.read.text(path).select(parts[0].cast("long").alias("s_suppkey"), parts[1].alias("s_name"))
+
+
+@op_dir("s7_python_source", f"WITH {sql.ctes('dense')}, {_EXT}, a AS ({cells_of(10, 'd')}) SELECT h, traj_id, seg_id FROM a WHERE h BETWEEN 0 AND 99 OR h BETWEEN 500 AND 749")
+def _(spark, sf_dir):
+    from ..operators import cells
+    from ..session import shared_folder
+    from ..sources.cell_source import read_cells, save_lookup
+
+    path = shared_folder(spark, "cells")
+    save_lookup(cells.build(segments(spark, sf_dir, "dense"), 10).lookup, path)
+    return read_cells(spark, path, [(0, 99), (500, 749)])
+
+
 @op_dir("s2_bucketed_index", f"WITH {sql.ctes('dense')} SELECT q_traj, q_seg, traj_id, seg_id, {sql.rounded('lo')} AS lo, {sql.rounded('hi')} AS hi FROM ({sql.match(3.1)})")
 def _(spark, sf_dir):
     from ..sources.tables import load_index, save_index
@@ -447,8 +557,9 @@ def _(spark, sf_dir):
     built = timebins.build(d, 48)
     name = f"bins_{uuid.uuid4().hex[:12]}"
     save_index(built.entries, name, "bin", 8, {"m": built.bins.m, "t_min": built.bins.t_min, "width": built.bins.width}, ("t0",))
+    save_index(built.directory, f"{name}_directory", "bin", 1, {})
     entries, meta = load_index(spark, name)
-    index = timebins.TimeBinIndex(entries, built.directory, timebins.Bins(**meta))
+    index = timebins.TimeBinIndex(entries, load_index(spark, f"{name}_directory")[0], timebins.Bins(**meta))
     found = timebins.search(q, index, 3.1)
     return found.withColumn("lo", geometry.rounded(F.col("lo"))).withColumn("hi", geometry.rounded(F.col("hi")))
 

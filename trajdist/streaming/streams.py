@@ -5,9 +5,7 @@ The queries here run on what a source holds now (``availableNow``) and return th
 
 from __future__ import annotations
 
-import json
 import time
-import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -23,6 +21,10 @@ from ..session import shared_folder
 from ..sources.tables import table
 
 
+#: About how many events a file of the stand-in source holds.
+FILE_ROWS = 2_000_000
+
+
 def _files(spark: SparkSession, sf_dir: str, parts: int = 4) -> tuple[str, str]:
     """The events as several files, written one after the other in time order, and their schema: what a stream would find."""
     path = shared_folder(spark, "events")
@@ -31,6 +33,7 @@ def _files(spark: SparkSession, sf_dir: str, parts: int = 4) -> tuple[str, str]:
     if lo is None:
         events.write.parquet(path)
         return path, events.schema
+    parts = max(parts, events.count() // FILE_ROWS + 1)
     step = (hi - lo) // parts + 1
     for i in range(parts):
         events.where(F.unix_micros("ts").between(lo + i * step, lo + (i + 1) * step - 1)).coalesce(1).write.mode("append").parquet(path)
@@ -46,17 +49,22 @@ def source(spark: SparkSession, sf_dir: str, per_trigger: int | None = None) ->
     return reader.parquet(path)
 
 
-def drain(stream: DataFrame, mode: str = "append", sink: str = "parquet") -> DataFrame:
-    """Runs a stream over what there is and returns its result."""
+def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
+    """Runs a stream over what there is and returns its result from shared storage.
+
+    In complete mode each batch writes the whole result anew; the last one counts."""
     spark = stream.sparkSession
-    if sink == "memory":
-        name = f"sink_{uuid.uuid4().hex}"
-        q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", shared_folder(spark, "stream")).start()
-        q.awaitTermination()
-        return spark.table(name)
-    out = shared_folder(spark, "sink")
-    q = stream.writeStream.format("parquet").outputMode(mode).trigger(availableNow=True).option("checkpointLocation", shared_folder(spark, "stream")).start(out)
-    q.awaitTermination()
+    out, mark = shared_folder(spark, "sink"), shared_folder(spark, "stream")
+    if mode == "complete":
+        last = []
+
+        def keep(batch: DataFrame, number: int) -> None:
+            batch.write.mode("overwrite").parquet(f"{out}/{number}")
+            last[:] = [number]
+
+        stream.writeStream.foreachBatch(keep).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", mark).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{out}/{last[0]}") if last else spark.createDataFrame([], stream.schema)
+    stream.writeStream.format("parquet").outputMode(mode).trigger(availableNow=True).option("checkpointLocation", mark).start(out).awaitTermination()
     return spark.read.schema(stream.schema).parquet(out)
 
 
@@ -72,22 +80,23 @@ _SEG = "traj_id long, seg_id long, t0 double, x0 double, y0 double, z0 double, t
 
 def _link(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
     """Joins each user's new points, in time order, to the last one that was seen."""
-    held = json.loads(state.get[0]) if state.exists else {"step": 0, "last": None}
+    step, *last = state.get if state.exists else (0, None, None, None, None)
     points = pd.concat(list(batches)).sort_values(["t", "event_id"])
-    rows, last, step = [], held["last"], held["step"]
+    rows = []
     for p in points[["t", "x", "y", "z"]].itertuples(index=False, name=None):
-        if last is not None:
+        if last[0] is not None:
             if p[0] > last[0]:
                 rows.append((int(key[0]), step, *last, *p))
             step += 1
-        last = list(p)
-    state.update((json.dumps({"step": step, "last": last}),))
-    yield pd.DataFrame(rows, columns=[c.split()[0] for c in _SEG.split(", ")])
+        last = p
+    state.update((step, *map(float, last)))
+    if rows:
+        yield pd.DataFrame(rows, columns=[c.split()[0] for c in _SEG.split(", ")])
 
 
 def stream_segments(points: DataFrame) -> DataFrame:
     """Segments as points arrive: the state is one point for each trajectory."""
-    return points.groupBy("traj_id").applyInPandasWithState(_link, _SEG, "held string", "append", GroupStateTimeout.NoTimeout)
+    return points.groupBy("traj_id").applyInPandasWithState(_link, _SEG, "step long, t double, x double, y double, z double", "append", GroupStateTimeout.NoTimeout)
 
 
 # ---- registered ----------------------------------------------------------------------------------------------
@@ -97,20 +106,19 @@ def st1_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drain(source(spark, sf_dir).select("event_id", "user_id", "event_type"))
 
 
-def st2_closed_days(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Daily counts of all closed days: the watermark holds back what could still change."""
-    e = source(spark, sf_dir, 1).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
-    return drain(e).select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n")
-
-
 def st2_watermark(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Closed days before a fixed one."""
-    return st2_closed_days(spark, sf_dir).where(F.col("day") < F.lit("2024-01-20").cast("timestamp_ntz"))
+    """Daily counts of all closed days.  The watermark holds back what could still change, and drops rows of days that
+    are closed: the first week's events, which come a second time in a last file, change nothing."""
+    path, schema = _files(spark, sf_dir)
+    events = spark.read.schema(schema).parquet(path)
+    events.where(F.col("ts") < events.agg(F.min("ts")).first()[0] + F.expr("INTERVAL 7 DAYS")).coalesce(1).write.mode("append").parquet(path)
+    e = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", "1 day")
+    return drain(e.groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))).select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n")
 
 
 def _windows(build: Callable[[DataFrame], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return drain(build(source(spark, sf_dir, 2)), "complete", "memory")
+        return drain(build(source(spark, sf_dir, 2)), "complete")
 
     return run
 
@@ -121,7 +129,7 @@ st3_sliding = _windows(lambda e: e.groupBy(F.window("ts", "12 hours", "6 hours")
 
 def st3_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = source(spark, sf_dir).groupBy("user_id", F.session_window("ts", "4 hours")).agg(F.count(F.lit(1)).alias("n"))
-    return drain(e, "complete", "memory").groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("n"))
+    return drain(e, "complete").groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("n"))
 
 
 def st4_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -132,11 +140,10 @@ def st5_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Arriving segments meet a stored time-bin index, batch by batch."""
     d = segments(spark, sf_dir, "event")
     index = timebins.build(d, 1000)
-    wanted = queries_of(d, "event").select("traj_id").distinct()
     out = shared_folder(spark, "found")
 
     def meet(batch: DataFrame, _number: int) -> None:
-        timebins.search(batch.join(F.broadcast(wanted), "traj_id", "left_semi"), index, 10.0).write.mode("append").parquet(out)
+        timebins.search(queries_of(batch, "event"), index, 10.0).write.mode("append").parquet(out)
 
     q = stream_segments(points_of(source(spark, sf_dir, 2))).writeStream.foreachBatch(meet).trigger(availableNow=True).option("checkpointLocation", shared_folder(spark, "stream")).start()
     q.awaitTermination()
@@ -153,10 +160,10 @@ def st6_interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def st7_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A replayed source counts once."""
+    """A replayed source counts once: what comes again within the watermark is known, what comes later is late."""
     path, schema = _files(spark, sf_dir)
     spark.read.schema(schema).parquet(path).where("event_id % 3 = 0").write.mode("append").parquet(path)
-    e = spark.readStream.schema(schema).parquet(path).withWatermark("ts", "60 days").dropDuplicatesWithinWatermark(["event_id"])
+    e = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", "2 days").dropDuplicatesWithinWatermark(["event_id"])
     return drain(e.select("event_id"))
 
 
@@ -170,15 +177,28 @@ def st8_restart(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(out)
 
 
+def st1_rate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A generated source of so many rows a batch, stopped when enough batches are in the sink."""
+    rows = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 100).option("startTimestamp", 1_700_000_000_000).load()
+    out, mark = shared_folder(spark, "sink"), shared_folder(spark, "stream")
+    q = rows.where("value < 200").select("value").writeStream.format("parquet").option("checkpointLocation", mark).start(out)
+    try:
+        while len(q.recentProgress) < 3 and q.isActive:
+            time.sleep(0.1)
+    finally:
+        q.stop()
+    return spark.read.schema("value long").parquet(out).where("value < 200")
+
+
 def queries() -> dict:
     return {f"stream_{k}": f for k, f in globals().items() if k.startswith("st") and k[2:3].isdigit() and callable(f)}
 
 
 def oracles() -> dict[str, str]:
     return {
+        "stream_st1_rate": "SELECT value FROM range(0, 200) t(value)",
         "stream_st1_source": "SELECT event_id, user_id, event_type FROM events",
-        "stream_st2_watermark": "SELECT date_trunc('day', ts)::TIMESTAMP AS day, count(*) AS n FROM events WHERE ts < TIMESTAMP '2024-01-20' GROUP BY 1",
-        "stream_st2_closed_days": "SELECT date_trunc('day', ts)::TIMESTAMP AS day, count(*) AS n FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY 1",
+        "stream_st2_watermark": "SELECT date_trunc('day', ts)::TIMESTAMP AS day, count(*) AS n FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY 1",
         "stream_st3_tumbling": "SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') AS start, count(*) AS n FROM events GROUP BY 1",
         "stream_st3_sliding": "SELECT start, count(*) AS n FROM (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - k * INTERVAL 6 HOUR AS start FROM events, unnest(range(0, 2)) AS u(k)) GROUP BY 1",
         "stream_st3_session": """SELECT user_id, CAST(sum(fresh) AS BIGINT) AS sessions, count(*) AS n FROM (SELECT user_id, CASE WHEN epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts)) <= 14400000000 THEN 0 ELSE 1 END AS fresh FROM events) GROUP BY 1""",
