@@ -20,9 +20,9 @@ CPUS = os.environ.get("BENCH_CPUS", "8")
 TRIALS = 3
 
 
-def timed(make, trials: int = TRIALS) -> tuple[float, float]:
+def timed(make, trials: int = TRIALS, warm: bool = True) -> tuple[float, float]:
     took = []
-    if trials > 1:
+    if warm and trials > 1:
         make().write.format("noop").mode("overwrite").save()
     for _ in range(trials):
         began = time.time()
@@ -61,7 +61,7 @@ def searches(spark: SparkSession) -> tuple[dict[str, float], list[dict]]:
         for x in dists:
             head, side = x == dists[1], {}
             for method, make in methods.items():
-                mean, sd = timed(lambda: make(x))
+                mean, sd = timed(lambda: make(x), warm=x == dists[0])
                 side[method] = mean
                 rows.append({"scenario": name, "method": method, "d": x, "queries": n, "entries": entries, "mean": round(mean, 3), "sd": round(sd, 3)})
                 print(json.dumps(rows[-1]), file=sys.stderr, flush=True)
@@ -73,7 +73,7 @@ def searches(spark: SparkSession) -> tuple[dict[str, float], list[dict]]:
                 "slab_one": lambda: slabs.search(q, one, x),
                 **({"rounds": lambda: batching.cell_rounds(cells.demand(q, cell, x), 538 * entries)} if k else {}),
             }
-            side |= {key: timed(make)[0] for key, make in extra.items()}
+            side |= {key: timed(make, warm=x == dists[0])[0] for key, make in extra.items()}
             # Shares of planning, the indirection of slabs over bins, the cells' time with their rounds, ratios to the tree, and gains in percent.
             rows.append({
                 "scenario": name, "d": x, "results": timebins.search(q, tbin, x).count(), "plan_share_tbin": round(side["plan_tbin"] / side["tbin"], 3), "plan_share_slab": round(side["plan_slab"] / side["slab"], 3),

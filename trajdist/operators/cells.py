@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions import geometry
 from ..functions.geometry import AXES
 from .index import Extents, as_queries, entries_of, extents, other_trajectory
+from .timebins import meet
 
 #: Lookup rows for each entry that a grid may make.
 REPLICATION = 500.0
@@ -114,7 +115,7 @@ def query_cells(q: DataFrame, index: CellIndex, dist: float | str) -> DataFrame:
 
 def candidates(q: DataFrame, index: CellIndex, dist: float | str) -> DataFrame:
     """Pairs by shared cell: a pair arises once for each cell that both touch, ``_arises`` times."""
-    pairs = query_cells(q, index, dist).join(index.lookup, "h")
+    pairs = meet(query_cells(q, index, dist), index.lookup, ["h"])
     arises = F.lit(1).cast("long")
     for c in AXES:
         arises = arises * (F.least(f"q_{c}z", f"{c}z") - F.greatest(f"q_{c}a", f"{c}a") + 1)

@@ -71,28 +71,35 @@ def store(tree: Tree) -> Tree:
     return tree._replace(entries=timebins.in_place(tree.entries, ["traj_id", "leaf"]))
 
 
-def _meets(dist: float | str) -> Column:
-    """A node's box against the query's box, which is grown in space only."""
-    keep = (F.col("tlo") < F.col("q_t1")) & (F.col("q_t0") < F.col("thi"))
+def _meets() -> Column:
+    """A node's box against the query's box, grown in space only."""
+    keep = (F.col("tlo") < F.col("_t1")) & (F.col("_t0") < F.col("thi"))
     for c in AXES:
-        keep &= (F.col(f"{c}lo") <= F.greatest(f"q_{c}0", f"q_{c}1") + geometry.amount(dist)) & (F.col(f"{c}hi") >= F.least(f"q_{c}0", f"q_{c}1") - geometry.amount(dist))
+        keep &= (F.col(f"{c}lo") <= F.col(f"_{c}1")) & (F.col(f"{c}hi") >= F.col(f"_{c}0"))
     return keep
 
 
 def frontiers(q: DataFrame, tree: Tree, dist: float | str) -> list[DataFrame]:
-    """The visited nodes of each level: queries with node; for leaves also traj_id, leaf and their number of members n."""
-    now = as_queries(q, dist).withColumn("_at", F.lit(0).cast("long"))
+    """The visited nodes of each level: queries with node; for leaves also traj_id, leaf and their number of members n.
+
+    A query goes down as its box and one struct of its columns: so the levels together stay a method that the
+    virtual machine compiles."""
+    qs = as_queries(q, dist)
+    boxes = {"_t0": F.col("q_t0"), "_t1": F.col("q_t1")}
+    for c in AXES:
+        boxes |= {f"_{c}0": F.least(f"q_{c}0", f"q_{c}1") - geometry.amount(dist), f"_{c}1": F.greatest(f"q_{c}0", f"q_{c}1") + geometry.amount(dist)}
+    now = qs.select(F.struct(*qs.columns).alias("_q"), *(e.alias(c) for c, e in boxes.items()), F.lit(0).cast("long").alias("_at"))
     out = []
     for level, size in zip(tree.levels, tree.sizes):
-        met = now.join(small(level.withColumnRenamed("parent", "_at"), size), "_at").where(_meets(dist)).drop("_at", *BOX)
-        out.append(met)
+        met = now.join(small(level.withColumnRenamed("parent", "_at"), size), "_at").where(_meets()).drop("_at", *BOX)
+        out.append(met.select("_q.*", *(c for c in met.columns if c != "_q" and c not in boxes)))
         now = met.drop("traj_id", "leaf", "n").withColumnRenamed("node", "_at")
     return out
 
 
 def candidates(q: DataFrame, tree: Tree, dist: float | str) -> DataFrame:
     """Pairs of queries and the members of the leaves they reach."""
-    return frontiers(q, tree, dist)[-1].drop("node", "n").join(tree.entries, ["traj_id", "leaf"])
+    return timebins.meet(frontiers(q, tree, dist)[-1].drop("node", "n"), tree.entries, ["traj_id", "leaf"])
 
 
 def search(q: DataFrame, tree: Tree, dist: float | str, exclude_self: bool = True, tasks: int | None = None) -> DataFrame:

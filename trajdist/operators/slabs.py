@@ -94,6 +94,7 @@ class SlabIndex(NamedTuple):
     directory: DataFrame
     slabs: Slabs
     lists: DataFrame | None = None  # the lookup with the bins as axis FALLBACK, laid out for searches
+    by_bin: DataFrame | None = None  # the directory, a row for each bin
 
 
 def build(d: DataFrame, m: int, v: int, check: str = "allow", ids: bool = False, block: int = timebins.BLOCK) -> SlabIndex:
@@ -127,7 +128,7 @@ def _keys(index: SlabIndex) -> list[str]:
 
 def store(index: SlabIndex) -> SlabIndex:
     """The index with its lists laid out for searches, which then move queries only."""
-    return index._replace(lists=timebins.in_place(_lists(index), _keys(index)))
+    return index._replace(lists=timebins.in_place(_lists(index), _keys(index)), by_bin=materialize(_by_bin(index)))
 
 
 def query_slabs(q: DataFrame, slabs: Slabs, dist: float | str) -> DataFrame:
@@ -141,6 +142,8 @@ def query_slabs(q: DataFrame, slabs: Slabs, dist: float | str) -> DataFrame:
 
 def _by_bin(index: SlabIndex) -> DataFrame:
     """The bins' directory with, for each axis, the counts of its slabs: a row for each bin."""
+    if index.by_bin is not None:
+        return index.by_bin
     counts = [F.map_from_entries(F.collect_list(F.when(F.col("axis") == i, F.struct("slab", "n")))).alias(f"s{c}") for i, c in enumerate(AXES)]
     return index.time.directory.join(small(index.directory.groupBy("bin").agg(*counts), 3 * index.time.bins.m * index.slabs.v), "bin", "left")
 
@@ -185,7 +188,7 @@ def candidates(q: DataFrame, index: SlabIndex, dist: float | str) -> DataFrame:
         n = F.when(F.col("selector") == i, F.col(f"_l.n{c}")).otherwise(n)
     rows = rows.withColumn("_n", n).where("_n > 0").withColumn("axis", F.col("selector")).withColumn("slab", F.coalesce("slab", F.lit(0)))
     rows = timebins.every_block(_again(rows), F.col("_n"), index.time.block).drop("_n", "_l")
-    return rows.join(_lists(index), _keys(index)).drop("axis", "slab", "bin", "block")
+    return timebins.meet(rows.drop("selector"), _lists(index), _keys(index)).drop("axis", "slab", "bin", "block")
 
 
 def _shared(index: SlabIndex, dist: float | str) -> list[Column]:
@@ -211,7 +214,7 @@ def every_pair(q: DataFrame, index: SlabIndex, dist: float | str, mode: str) ->
         raise ValueError(mode)
     rows = qs.withColumn("_s", F.explode(spans)).withColumn("axis", F.col("_s.axis")).withColumn("slab", F.explode(F.sequence("_s.a", "_s.z"))).drop("_s")
     met = timebins.overlaps(rows.drop(*(f"{c}{k}" for c in AXES for k in "az")), index.time.directory, index.time.bins, keep=())
-    pairs = met.join(index.lookup, ["axis", "slab", "bin"])
+    pairs = timebins.meet(met, index.lookup, ["axis", "slab", "bin"])
     x, y, z = _shared(index, dist)
     if mode == "multi":
         return pairs.withColumn("_arises", F.when(F.col("axis") == 0, x).when(F.col("axis") == 1, y).otherwise(z)).drop("slab", "bin")

@@ -9,13 +9,13 @@ meet each of its blocks, so no task holds a hot bin alone.
 from __future__ import annotations
 
 import math
+import uuid
 from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geometry
-from ..session import materialize
 from .index import ENTRY_ORDER, Extents, as_queries, dense_ids, entries_of, extents, other_trajectory, small
 
 #: Most bins of an index: its directory passes through the driver.
@@ -123,8 +123,27 @@ def build(d: DataFrame, m: int, ids: bool = False, block: int = BLOCK) -> TimeBi
 
 
 def in_place(rows: DataFrame, keys: list[str]) -> DataFrame:
-    """Stored by the keys of its join and sorted in each part: searches then move queries only."""
-    return materialize(rows.repartition(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys).sortWithinPartitions(*keys))
+    """Stored as a table that is bucketed by the keys of its join, a file for each bucket: searches then move queries only.
+
+    The table is in the session's warehouse, under a name of its own; ``forget`` drops it."""
+    spark = rows.sparkSession
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    name = f"trajdist_{uuid.uuid4().hex}"
+    rows.repartition(buckets, *keys).write.bucketBy(buckets, *keys).sortBy(*keys).saveAsTable(name)
+    return spark.table(name)
+
+
+def forget(rows: DataFrame) -> None:
+    """Drops the table that ``in_place`` made."""
+    for f in {f.rsplit("/", 2)[-2] for f in rows.inputFiles()}:
+        if f.startswith("trajdist_"):
+            rows.sparkSession.sql(f"DROP TABLE IF EXISTS {f}")
+
+
+def meet(queries: DataFrame, entries: DataFrame, keys: list[str]) -> DataFrame:
+    """Queries with the entries of their lists, by a merge of sorted sides: entries are never broadcast, and those that are laid
+    out stay where they are.  What comes after the merge is a stage of its own, small enough to be compiled."""
+    return queries.hint("merge").join(entries, keys)
 
 
 def keys_of(index: TimeBinIndex) -> list[str]:
@@ -155,7 +174,7 @@ def candidates(q: DataFrame, index: TimeBinIndex, mode: str = "bins", how: str =
         rows = rows.withColumn("_k", F.explode(F.sequence(F.expr(f"entry_min div {block}"), F.expr(f"entry_max div {block}"))))
         return rows.join(index.entries.withColumn("_k", F.expr(f"eid div {block}")), "_k").where(F.col("eid").between(F.col("entry_min"), F.col("entry_max"))).drop("_k", "entry_min", "entry_max")
     met = every_block(overlaps(qs, index.directory, index.bins, how, tight, keep=("n",)), F.col("n"), index.block)
-    return met.drop("n").join(index.entries, keys_of(index))
+    return meet(met.drop("n"), index.entries, keys_of(index))
 
 
 def search(q: DataFrame, index: TimeBinIndex, dist: float | str, mode: str = "bins", how: str = "bounded", tight: bool = False, exclude_self: bool = True) -> DataFrame:
