@@ -339,3 +339,32 @@ def test_model_sees_two_words_back(spark):
     rows = [(i, "a b c" if i % 2 else "d b e") for i in range(40)]
     mean = lambda found: sum(r.score for r in found[0].collect())
     assert mean(kneser_ney.held_out_scores(docs(spark, rows), F.lit(True))) > mean(kneser_ney.held_out_scores(docs(spark, rows), F.lit(True), order=2)) + 1
+
+
+def test_blocks_of_grams(monkeypatch):
+    """Packing, merging over other words, and the way for more words than fit a number, against counters."""
+    import numpy as np
+
+    rng = random.Random(4)
+    texts = [prose(rng, 300, 40 + i) for i in range(6)]
+    every = [kneser_ney.sequence(hash_words(pa.array([t]))) for t in texts]
+    want = Counter(tuple(s.tokens[j : j + 3].tolist()) for s in every for j in range(len(s.tokens) - 2))
+    blocks = []
+    for s in every:
+        words, ids = np.unique(s.tokens, return_inverse=True)
+        g = kneser_ney._added(words, [ids[i : len(ids) - 2 + i] for i in range(3)], None)
+        blocks += [kneser_ney.unpack(b) for _, _, b in kneser_ney._blocks(3, g, kneser_ney.gram_key(g.hashes(g.columns)), 5)]
+    whole = kneser_ney._joined(blocks)
+    assert {tuple(map(int, w)): int(n) for *w, n in zip(*whole.hashes(whole.columns), whole.values[0])} == want
+    # Nine columns of these words do not fit 64 bits.
+    wide = kneser_ney._added(whole.words, [np.concatenate([c, c]) for c in whole.columns * 5], [np.concatenate([whole.values[0]] * 2)])
+    assert (wide.values[0] == 2 * whole.values[0]).all() and all((a == b).all() for a, b in zip(wide.columns, whole.columns * 5))
+
+
+def test_large_counts(spark, tmp_path):
+    import numpy as np
+
+    keys = np.array([5, 1, 9, 7], np.uint64)
+    kneser_ney._write(f"file://{tmp_path}", 3, 0, keys, [np.array([254, 255, 2**40, 1], np.uint64), np.array([0, 1, 2, 300], np.uint64)])
+    got = kneser_ney.Arrays(f"file://{tmp_path}", 3, 1).find(np.array([9, 1, 2, 7, 5, 1], np.uint64))
+    assert [g.tolist() for g in got] == [[2.0**40, 255, 0, 1, 254, 255], [2, 1, 0, 300, 0, 1]]

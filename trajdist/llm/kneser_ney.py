@@ -1,13 +1,15 @@
 """Interpolated modified Kneser-Ney n-gram model: counted in Spark, kept as sorted hash arrays that
 workers map into memory.
 
-Counting.  Each task turns its texts into n-grams of word hashes, adds equal ones, and sends one
-packed block to each shard of the hash range.  A shard merges its blocks, writes the sorted array of
+Counting.  Each task turns its texts into n-grams, adds equal ones, and sends one packed block to
+each shard of the hash range.  A block holds its words once, as 64-bit hashes, and n-grams as places
+in that list, in their order.  A shard merges its blocks as they come, writes the sorted array of
 its n-grams with their counts, and sends on two things in the same packed form: what its n-grams
 add to their contexts (total, and how many followers were seen once, twice, more often), and what
 they add to the continuation counts of the (n-1)-grams that end them.  Those are the counts of the
 next lower order.  n-grams are dealt by the hash of all their words, so a frequent word or
-word pair loads no shard.
+word pair loads no shard; the number of shards follows the bytes of text, so that a shard stays
+as large as it is, whatever the corpus.
 
 Scoring.  A worker maps the arrays of all shards and looks up the sorted keys of a batch of texts.
 Pages are shared by the workers of a machine and read as needed.  The folder of the model has to be
@@ -29,7 +31,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import filesystem, shared_folder, stored, write_file
+from .shared import filesystem, lean, shared_folder, write_file
 from .words import Words, hash_words, mix, mix_int, slices
 
 ORDER = 3
@@ -38,13 +40,18 @@ GATHER = 1_500_000
 #: Bytes of text that are scored together.
 BATCH = 4 << 20
 
+#: Bytes of text for each shard of the arrays, and the fewest shards.
+SHARD_BYTES, SHARDS = 32 << 20, 8
+#: Rows that a merge holds beside what it has merged.
+HELD = 1 << 20
+
 BEGIN, END = mix_int(0xBE61), mix_int(0xE4D)
-#: Words of n-grams are the upper 48 bits of their hashes; counts of single words use all 64.
-_DROP = np.uint64(16)
 _P = np.uint64(0x9E3779B97F4A7C15)
 
 # Kinds of blocks: of order k, n-grams are k, contexts are CONTEXT + k; raw counts of tokens are RAW.
 RAW, CONTEXT, STATS = 0, 100, 200
+#: Values from here on stand beside an array's bytes.
+LARGE = 255
 
 
 def gram_key(words: list[np.ndarray]) -> np.ndarray:
@@ -63,52 +70,105 @@ _pack = zstandard.ZstdCompressor(level=1)
 _unpack = zstandard.ZstdDecompressor()
 
 
-def pack(columns: list[np.ndarray]) -> bytes:
-    """Columns of equal length, the first ascending, as compressed byte planes."""
-    out = [len(columns).to_bytes(2, "little"), len(columns[0]).to_bytes(8, "little")]
-    for i, c in enumerate(columns):
-        c = c.astype("<u8")
-        if i == 0:
-            c = np.diff(c, prepend=np.uint64(0))
-        planes = np.ascontiguousarray(c.view(np.uint8).reshape(-1, 8).T).tobytes()
-        z = _pack.compress(planes)
-        out += [len(z).to_bytes(8, "little"), z]
-    return b"".join(out)
-
-
-def unpack(blob: bytes) -> list[np.ndarray]:
-    n, rows, at, columns = int.from_bytes(blob[:2], "little"), int.from_bytes(blob[2:10], "little"), 10, []
-    for i in range(n):
-        size = int.from_bytes(blob[at : at + 8], "little")
-        planes = np.frombuffer(_unpack.decompress(blob[at + 8 : at + 8 + size], max_output_size=8 * rows), np.uint8)
-        c = np.ascontiguousarray(planes.reshape(8, rows).T).view("<u8").reshape(-1)
-        columns.append(np.cumsum(c, dtype=np.uint64) if i == 0 else c)
-        at += 8 + size
-    return columns
+class Grams(NamedTuple):
+    """Different n-grams in the order of their words: the words' hashes, ascending, each column as places among them, and values."""
+
+    words: np.ndarray
+    columns: list[np.ndarray]
+    values: list[np.ndarray]
+
+    def hashes(self, columns: list[np.ndarray]) -> list[np.ndarray]:
+        return [self.words[c] for c in columns]
 
 
-def _added(names: list[np.ndarray], values: list[np.ndarray]) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """Rows with equal names added up, in the order of the names."""
-    order = np.lexsort(names[::-1])
-    names = [c[order] for c in names]
-    fresh = np.zeros(len(order), bool)
-    fresh[:1] = True
-    for c in names:
-        fresh[1:] |= c[1:] != c[:-1]
-    at = np.flatnonzero(fresh)
-    sums = [np.add.reduceat(v[order].astype(np.uint64), at) if len(at) else v[:0].astype(np.uint64) for v in values]
-    return [c[at] for c in names], sums
+def _planes(a: np.ndarray) -> bytes:
+    z = _pack.compress(np.ascontiguousarray(a.view(np.uint8).reshape(-1, a.itemsize).T).tobytes())
+    return len(z).to_bytes(8, "little") + z
 
 
-def _blocks(kind: int, names: list[np.ndarray], values: list[np.ndarray], keys: np.ndarray, shards: int) -> Iterator[tuple[int, int, bytes]]:
-    """Rows split by shard; each block stays in the order of its names."""
+def pack(g: Grams) -> bytes:
+    """Byte planes, compressed; words and the first column by their differences."""
+    sizes = [len(g.columns), len(g.values), len(g.columns[0]), len(g.words)]
+    out = [np.array(sizes, "<u8").tobytes(), _planes(np.diff(g.words.astype("<u8"), prepend=np.uint64(0)))]
+    for i, c in enumerate(g.columns):
+        c = c.astype("<u4")
+        out.append(_planes(np.diff(c, prepend=np.uint32(0)) if i == 0 else c))
+    return b"".join(out + [_planes(v.astype("<u8")) for v in g.values])
+
+
+def unpack(blob: bytes) -> Grams:
+    columns, values, rows, words = np.frombuffer(blob, "<u8", 4).tolist()
+    at = 32
+
+    def take(n: int, kind: str) -> np.ndarray:
+        nonlocal at
+        size, wide = int.from_bytes(blob[at : at + 8], "little"), int(kind[2])
+        planes = np.frombuffer(_unpack.decompress(blob[at + 8 : at + 8 + size], max_output_size=wide * n), np.uint8)
+        at += 8 + size
+        return np.ascontiguousarray(planes.reshape(wide, n).T).view(kind).reshape(-1)
+
+    found = np.cumsum(take(words, "<u8"), dtype=np.uint64)
+    ids = [take(rows, "<u4") for _ in range(columns)]
+    ids[0] = np.cumsum(ids[0], dtype=np.uint32)
+    return Grams(found, ids, [take(rows, "<u8") for _ in range(values)])
+
+
+def _added(words: np.ndarray, columns: list[np.ndarray], values: list[np.ndarray] | None) -> Grams:
+    """Equal rows added up, in the order of their words; without values, how many they are."""
+    n, bits = len(columns[0]), max(1, len(words) - 1).bit_length()
+    if bits * len(columns) <= 64:
+        key = np.zeros(n, np.uint64)
+        for c in columns:
+            key = key << np.uint64(bits) | c.astype(np.uint64)
+        if values is None:
+            key.sort()
+        else:
+            order = np.argsort(key, kind="stable")
+            key = key[order]
+        at = np.flatnonzero(np.concatenate([np.ones(min(n, 1), bool), key[1:] != key[:-1]]))
+        key, mask = key[at], np.uint64((1 << bits) - 1)
+        names = [(key >> np.uint64(bits * (len(columns) - 1 - i)) & mask).astype(np.uint32) for i in range(len(columns))]
+    else:
+        order = np.lexsort(columns[::-1])
+        sorted_ = [c[order] for c in columns]
+        fresh = np.ones(n, bool)
+        fresh[1:] = np.logical_or.reduce([c[1:] != c[:-1] for c in sorted_])
+        at = np.flatnonzero(fresh)
+        names = [c[at].astype(np.uint32) for c in sorted_]
+    if values is None:
+        return Grams(words, names, [np.diff(at, append=n).astype(np.uint64)])
+    return Grams(words, names, [np.add.reduceat(v[order].astype(np.uint64), at) if len(at) else v[:0].astype(np.uint64) for v in values])
+
+
+def _joined(parts: list[Grams]) -> Grams:
+    """Blocks as one, over the words of all."""
+    if len(parts) == 1:
+        return parts[0]
+    words = np.unique(np.concatenate([p.words for p in parts]))
+    places = [np.searchsorted(words, p.words).astype(np.uint32) for p in parts]
+    columns = [np.concatenate([m[p.columns[i]] for m, p in zip(places, parts)]) for i in range(len(parts[0].columns))]
+    return _added(words, columns, [np.concatenate(v) for v in zip(*(p.values for p in parts))])
+
+
+def _blocks(kind: int, g: Grams, keys: np.ndarray, shards: int) -> Iterator[tuple[int, int, bytes]]:
+    """Rows split by shard; each block stays in the order of its words, and has only its own."""
     shard = shard_of(keys, shards)
     order = np.argsort(shard, kind="stable")
     cuts = np.searchsorted(shard[order], np.arange(shards + 1))
     for s in range(shards):
         rows = order[cuts[s] : cuts[s + 1]]
         if len(rows):
-            yield kind, s, pack([c[rows] for c in (*names, *values)])
+            columns = [c[rows] for c in g.columns]
+            if 8 * len(rows) < len(g.words):
+                used, back = np.unique(np.concatenate(columns), return_inverse=True)
+                columns = np.split(back, len(columns))
+            else:
+                there = np.zeros(len(g.words), bool)
+                for c in columns:
+                    there[c] = True
+                used, place = np.flatnonzero(there), np.cumsum(there) - 1
+                columns = [place[c] for c in columns]
+            yield kind, s, pack(Grams(g.words[used], columns, [v[rows] for v in g.values]))
 
 
 class Sequence(NamedTuple):
@@ -133,17 +193,16 @@ def sequence(words: Words) -> Sequence:
 
 def _count(order: int, shards: int):
     def send(parts: list[Sequence]) -> Iterator[tuple[int, int, bytes]]:
-        tokens = np.concatenate([p.tokens for p in parts])
         place = np.concatenate([p.place for p in parts])
-        short = tokens >> _DROP
-        (raw,), counts = _added([tokens[place > 0]], [np.ones(int((place > 0).sum()), np.uint64)])
-        yield from _blocks(RAW, [raw], counts, raw, shards)
+        words, ids = np.unique(np.concatenate([p.tokens for p in parts]), return_inverse=True)
+        raw = _added(words, [ids[place > 0]], None)
+        yield from _blocks(RAW, raw, words[raw.columns[0]], shards)
         for k in range(order, 1, -1):
             # Lower orders get their counts from above, but for those that begin a text.
             last = np.flatnonzero(place >= k - 1 if k == order else place == k - 1)
-            names = [short[last - k + 1 + i] for i in range(k)]
-            names, counts = _added(names, [np.ones(len(last), np.uint64)])
-            yield from _blocks(k, names, counts, gram_key(names), shards)
+            if len(last):
+                g = _added(words, [ids[last - k + 1 + i] for i in range(k)], None)
+                yield from _blocks(k, g, gram_key(g.hashes(g.columns)), shards)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
@@ -170,54 +229,71 @@ def _rows(blocks: Iterable[tuple[int, int, bytes]]) -> pa.RecordBatch:
 
 
 def _write(folder: str, kind: int, shard: int, keys: np.ndarray, values: list[np.ndarray]) -> None:
-    """Sorted keys, then the value columns; the name tells kind and shard."""
+    """Sorted keys, then each value column: a byte a row, and the places and values of those of 255 and more."""
     order = np.argsort(keys, kind="stable")
 
     def fill(out) -> None:
-        size = 4 if all(int(v.max(initial=0)) < 1 << 32 for v in values) else 8
-        out.write(np.array([len(keys), len(values), size], "<u8").tobytes())
+        out.write(np.array([len(keys), len(values)], "<u8").tobytes())
         out.write(keys[order].astype("<u8").tobytes())
         for v in values:
-            out.write(v[order].astype(f"<u{size}").tobytes())
+            v = v[order]
+            large = np.flatnonzero(v >= LARGE)
+            out.write(np.array([len(large)], "<u8").tobytes())
+            out.write(large.astype("<u8").tobytes())
+            out.write(v[large].astype("<u8").tobytes())
+            out.write(np.minimum(v, LARGE).astype(np.uint8).tobytes())
+            out.write(bytes(-len(v) % 8))
 
     write_file(folder, f"{kind}-{shard}.arrays", fill)
 
 
-def _merge(folder: str, shards: int):
-    """Merges the blocks of each kind and shard, writes their arrays, and sends on what lower orders need."""
+def _merge(folder: str, shards: int, k: int):
+    """Merges the blocks of each shard that are due when n-grams of k words are, writes their arrays, and sends on
+    what lower orders need.  What is not due yet, and what is finished, passes."""
 
-    def finish(kind: int, shard: int, blobs: list[bytes]) -> Iterator[tuple[int, int, bytes]]:
-        parts = [unpack(b) for b in blobs]
-        columns = [np.concatenate(c) for c in zip(*parts)]
-        n_names = 1 if kind == RAW or kind > CONTEXT else kind
-        names, values = _added(columns[:n_names], columns[n_names:])
-        if kind > CONTEXT or kind == RAW:
+    def finish(kind: int, shard: int, g: Grams) -> Iterator[tuple[int, int, bytes]]:
+        names, values, no_words = g.hashes(g.columns), g.values, np.zeros(0, np.uint64)
+
+        def stats(*numbers: int) -> tuple[int, int, bytes]:
+            return STATS, kind, pack(Grams(no_words, [np.arange(len(numbers))], [np.array(numbers, np.uint64)]))
+
+        if kind == RAW:
             _write(folder, kind, shard, names[0], values)
-            yield STATS, kind, pack([np.array([len(names[0])], np.uint64), np.array([values[0].sum()], np.uint64)])
+            yield stats(len(names[0]), int(values[0].sum()))
             return
-        count = values[0]
         keys = gram_key(names)
-        _write(folder, kind, shard, keys, [count])
-        of = [int((count == i).sum()) for i in range(1, 5)]
-        yield STATS, kind, pack([np.array([x], np.uint64) for x in (len(count), int(count.sum()), *of)])
+        _write(folder, kind, shard, keys, values)
+        if kind > CONTEXT:
+            return
+        count = values[0]
+        yield stats(len(count), int(count.sum()), *(int((count == i).sum()) for i in range(1, 5)))
         if kind > 1:
-            context = gram_key(names[:-1])
-            (context,), sums = _added([context], [count, count == 1, count == 2, count > 2])
-            yield from _blocks(CONTEXT + kind, [context], sums, context, shards)
-            ending, sums = _added(names[1:], [np.ones(len(count), np.uint64)])
-            yield from _blocks(kind - 1, ending, sums, gram_key(ending), shards)
+            # Rows stand in the order of their words, so those of a context stand together.
+            fresh = np.ones(len(count), bool)
+            fresh[1:] = np.logical_or.reduce([c[1:] != c[:-1] for c in g.columns[:-1]])
+            at = np.flatnonzero(fresh)
+            sums = [np.add.reduceat(v.astype(np.uint64), at) for v in (count, count == 1, count == 2, count > 2)]
+            context = Grams(g.words, [c[at] for c in g.columns[:-1]], sums)
+            yield from _blocks(CONTEXT + kind, context, gram_key(context.hashes(context.columns)), shards)
+            ending = _added(g.words, g.columns[1:], None)
+            yield from _blocks(kind - 1, ending, gram_key(ending.hashes(ending.columns)), shards)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, blobs = None, []
+        now, held = None, []
         for b in batches:
             for kind, shard, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2)):
+                if kind == STATS or RAW < kind < k:
+                    yield _rows([(kind, shard, blob.as_py())])
+                    continue
                 if (kind, shard) != now:
-                    if blobs:
-                        yield _rows(finish(*now, blobs))
-                    now, blobs = (kind, shard), []
-                blobs.append(blob.as_py())
-        if blobs:
-            yield _rows(finish(*now, blobs))
+                    if held:
+                        yield _rows(finish(*now, _joined(held)))
+                    now, held = (kind, shard), []
+                held.append(unpack(blob.as_py()))
+                if len(held) > 2 and sum(len(g.columns[0]) for g in held[1:]) > max(HELD, len(held[0].columns[0]) // 2):
+                    held = [_joined(held)]
+        if held:
+            yield _rows(finish(*now, _joined(held)))
 
     return run
 
@@ -237,33 +313,24 @@ def discounts(counts: list[int]) -> tuple[float, float, float]:
 def train(docs: DataFrame, folder: str, text_col: str = "text", order: int = ORDER, shards: int | None = None) -> dict:
     """Writes the model of the texts below ``folder``; returns its description, which scoring needs.
 
-    ``shards`` is the number of parts of each array, by default as many as shuffle partitions."""
-    spark = docs.sparkSession
+    ``shards`` is the number of parts of each array, by default one for SHARD_BYTES of text.  Orders follow each other in
+    one job: each merge sends straight to the next, and nothing but the arrays is written.  Arrays are written whole and
+    moved into place, so a task that runs again leaves the same."""
     if order < 2:
         raise ValueError("order is at least 2")
-    shards = shards or max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    texts = docs.select(F.col(text_col).alias("text"))
+    if shards is None:
+        size = texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+        shards = max(SHARDS, -(-size // SHARD_BYTES))
+    rows = texts.mapInArrow(lean(_count(order, shards)), _SCHEMA)
+    for k in range(order, 0, -1):
+        dealt = rows.repartitionById(shards, F.pmod("shard", F.lit(shards))).sortWithinPartitions("kind", "shard")
+        rows = dealt.mapInArrow(lean(_merge(f"{folder}/arrays", shards, k)), _SCHEMA)
+    # A few numbers for each array.
     stats: dict[int, list[int]] = {}
-
-    def dealt(rows: DataFrame) -> DataFrame:
-        return rows.repartition("kind", "shard").sortWithinPartitions("kind", "shard")
-
-    waiting = docs.select(F.col(text_col).alias("text")).mapInArrow(_count(order, shards), _SCHEMA)
-    for k in range(order, -1, -1):
-        # Blocks of lower orders that begin a text wait for their turn.
-        ripe = waiting if k == order == 2 else waiting.where((F.col("kind") >= k) | (F.col("kind") == RAW))
-        early = waiting.where((F.col("kind") < k) & (F.col("kind") != RAW))
-        if k < order or order > 2:
-            ripe, early = stored(ripe, f"{folder}/wait-{k}r"), stored(early, f"{folder}/wait-{k}e")
-            if ripe.isEmpty():
-                break
-        done = stored(dealt(ripe).mapInArrow(_merge(f"{folder}/arrays", shards), _SCHEMA), f"{folder}/merged-{k}")
-        # One small row for each array.
-        for r in done.where(F.col("kind") == STATS).collect():
-            got = [int(c[0]) for c in unpack(bytes(r.block))]
-            stats[r.shard] = [a + b for a, b in zip(stats.get(r.shard, [0] * len(got)), got)]
-        waiting = done.where(F.col("kind") != STATS)
-        if order > 2 and k > 1:
-            waiting = waiting.union(early)
+    for r in rows.where(F.col("kind") == STATS).collect():
+        got = [int(x) for x in unpack(bytes(r.block)).values[0]]
+        stats[r.shard] = [a + b for a, b in zip(stats.get(r.shard, [0] * len(got)), got)]
     raw = stats.get(RAW, [0, 0])
     model = {"folder": f"{folder}/arrays", "order": order, "shards": shards, "types": raw[0], "tokens": raw[1]}
     model["grams"] = {str(k): {"total": s[1], "types": s[0], "counts": s[2:]} for k, s in stats.items() if 0 < k < CONTEXT}
@@ -284,10 +351,15 @@ class Arrays:
             except FileNotFoundError:
                 self.parts.append(None)
                 continue
-            n, width, size = raw[:24].view("<u8").tolist()
-            at = 24 + 8 * n
-            self.parts.append((raw[24:at].view("<u8"), [raw[at + size * n * i : at + size * n * (i + 1)].view(f"<u{size}") for i in range(width)]))
-            self.width = width
+            n, self.width = raw[:16].view("<u8").tolist()
+            at, columns = 16 + 8 * n, []
+            for _ in range(self.width):
+                m = int(raw[at : at + 8].view("<u8")[0])
+                places, values = raw[at + 8 : at + 8 + 8 * m].view("<u8"), raw[at + 8 + 8 * m : at + 8 + 16 * m].view("<u8")
+                at += 8 + 16 * m
+                columns.append((raw[at : at + n], places, values))
+                at += n + -n % 8
+            self.parts.append((raw[16 : 16 + 8 * n].view("<u8"), columns))
 
     def find(self, keys: np.ndarray) -> list[np.ndarray]:
         """The value columns at the keys; 0 where there is none."""
@@ -298,12 +370,16 @@ class Arrays:
             a, z = cuts[s], cuts[s + 1]
             if part is None or a == z:
                 continue
-            have, values = part
+            have, columns = part
             at = np.searchsorted(have, asked[a:z])
             at[at == len(have)] = 0
             good = np.flatnonzero(have[at] == asked[a:z])
-            for o, v in zip(out, values):
-                o[a + good] = v[at[good]]
+            at = at[good]
+            for o, (small, places, values) in zip(out, columns):
+                found = small[at].astype(np.float64)
+                large = np.flatnonzero(found == LARGE)
+                found[large] = values[np.searchsorted(places, at[large])]
+                o[a + good] = found
         return [o[back] for o in out]
 
 
@@ -325,19 +401,19 @@ class Scorer:
     def probabilities(self, s: Sequence) -> np.ndarray:
         """Of each token but the begin marks, in order."""
         at = np.flatnonzero(s.place > 0)
-        short = s.tokens >> _DROP
+        tokens = s.tokens
         p = np.full(len(at), 1 / (self.model["types"] + 1))
         one = self.stats[1]
         if one["total"]:
             ones, twos = one["counts"][:2]
             more = one["types"] - ones - twos
             d = self.discounts[1]
-            (count,) = self.grams[1].find(gram_key([short[at]]))
+            (count,) = self.grams[1].find(gram_key([tokens[at]]))
             p = self._shares(1, count) / one["total"] + (d[1] * ones + d[2] * twos + d[3] * more) / one["total"] * p
         for k in range(2, self.model["order"] + 1):
             full = np.flatnonzero(s.place[at] >= k - 1)
             where = at[full]
-            words = [short[where - k + 1 + i] for i in range(k)]
+            words = [tokens[where - k + 1 + i] for i in range(k)]
             found = self.contexts[k].find(gram_key(words[:-1]))
             if len(found) < 4:
                 continue
