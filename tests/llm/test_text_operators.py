@@ -341,30 +341,37 @@ def test_model_sees_two_words_back(spark):
     assert mean(kneser_ney.held_out_scores(docs(spark, rows), F.lit(True))) > mean(kneser_ney.held_out_scores(docs(spark, rows), F.lit(True), order=2)) + 1
 
 
-def test_blocks_of_grams(monkeypatch):
-    """Packing, merging over other words, and the way for more words than fit a number, against counters."""
+def test_blocks_of_grams():
+    """Packing, merging, and the way for columns that do not fit one number, against counters."""
     import numpy as np
 
     rng = random.Random(4)
-    texts = [prose(rng, 300, 40 + i) for i in range(6)]
-    every = [kneser_ney.sequence(hash_words(pa.array([t]))) for t in texts]
-    want = Counter(tuple(s.tokens[j : j + 3].tolist()) for s in every for j in range(len(s.tokens) - 2))
-    blocks = []
-    for s in every:
-        words, ids = np.unique(s.tokens, return_inverse=True)
-        g = kneser_ney._added(words, [ids[i : len(ids) - 2 + i] for i in range(3)], None)
-        blocks += [kneser_ney.unpack(b) for _, _, b in kneser_ney._blocks(3, g, kneser_ney.gram_key(g.hashes(g.columns)), 5)]
-    whole = kneser_ney._joined(blocks)
-    assert {tuple(map(int, w)): int(n) for *w, n in zip(*whole.hashes(whole.columns), whole.values[0])} == want
-    # Nine columns of these words do not fit 64 bits.
-    wide = kneser_ney._added(whole.words, [np.concatenate([c, c]) for c in whole.columns * 5], [np.concatenate([whole.values[0]] * 2)])
-    assert (wide.values[0] == 2 * whole.values[0]).all() and all((a == b).all() for a, b in zip(wide.columns, whole.columns * 5))
-
-
-def test_large_counts(spark, tmp_path):
+    parts, want = [], Counter()
+    for i in range(6):
+        ids = np.array([rng.randrange(1 << (10 + 4 * i)) % 97 * (1 << i) for _ in range(400)], np.uint64)
+        want.update(zip(ids[:-2].tolist(), ids[1:-1].tolist(), ids[2:].tolist()))
+        g = kneser_ney._added([ids[:-2], ids[1:-1], ids[2:]], None)
+        parts += [kneser_ney.unpack(b) for _, _, b in kneser_ney._blocks(3, g, kneser_ney.gram_key(g.columns), 5)]
+    whole = kneser_ney._joined(parts)
+    rows = list(zip(*(c.tolist() for c in whole.columns)))
+    assert rows == sorted(want) and dict(zip(rows, whole.values[0].tolist())) == want
+    high = [c << np.uint64(40) for c in whole.columns]
+    wide = kneser_ney._added([np.concatenate([c, c]) for c in high], [np.concatenate([whole.values[0]] * 2)])
+    assert (wide.values[0] == 2 * whole.values[0]).all() and all((a == b).all() for a, b in zip(wide.columns, high))
+
+
+def test_gram_arrays(tmp_path):
+    """Large counts, rare and common sets of numbers, and keys that are not there."""
     import numpy as np
 
-    keys = np.array([5, 1, 9, 7], np.uint64)
-    kneser_ney._write(f"file://{tmp_path}", 3, 0, keys, [np.array([254, 255, 2**40, 1], np.uint64), np.array([0, 1, 2, 300], np.uint64)])
-    got = kneser_ney.Arrays(f"file://{tmp_path}", 3, 1).find(np.array([9, 1, 2, 7, 5, 1], np.uint64))
-    assert [g.tolist() for g in got] == [[2.0**40, 255, 0, 1, 254, 255], [2, 1, 0, 300, 0, 1]]
+    rng = random.Random(5)
+    folder, n, shards = f"file://{tmp_path}", 3000, 3
+    keys = np.array([rng.getrandbits(64) for _ in range(2 * n)], np.uint64)
+    values = [np.array([rng.choice([0, 1, 2, 254, 255, 2**40]) for _ in range(n)], np.uint64)] + [np.array([rng.choice([0, 1, rng.randrange(900), 2**20]) for _ in range(n)], np.uint64) for _ in range(4)]
+    shard = kneser_ney._place(keys[:n], shards)[0]
+    for s in range(shards):
+        mine = np.flatnonzero(shard == s)
+        kneser_ney._write_grams(folder, 2, s, shards, keys[mine], [v[mine] for v in values])
+    got = kneser_ney.GramArrays(folder, 2, shards).find(keys)
+    for g, v in zip(got, values, strict=True):
+        assert (g[:n] == v).all() and (g[n:] == 0).all()
