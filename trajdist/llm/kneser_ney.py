@@ -42,13 +42,13 @@ from .words import Words, hash_words, mix, mix_int, slices
 
 ORDER = 3
 #: Tokens that a task gathers before it sends their n-grams on.
-GATHER = 3_000_000
+GATHER = 2_000_000
 #: Bytes of text that are scored together.
 BATCH = 4 << 20
 #: Bytes of text for each shard of the arrays, and the fewest shards.
-SHARD_BYTES, SHARDS = 32 << 20, 8
+SHARD_BYTES, SHARDS = 16 << 20, 8
 #: Rows that a merge holds beside what it has merged.
-HELD = 1 << 20
+HELD = 1 << 19
 #: n-grams of a bucket, on average.
 BUCKET = 8
 #: Counts from here on stand beside an array's bytes.
@@ -100,6 +100,10 @@ def pack(g: Grams) -> bytes:
     return b"".join(out)
 
 
+def _narrow(c: np.ndarray) -> np.ndarray:
+    return c.astype(np.uint32) if int(c.max(initial=0)) < 1 << 32 else c
+
+
 def unpack(blob: bytes) -> Grams:
     names, values, rows = np.frombuffer(blob, "<u8", 3).tolist()
     at, out = 24, []
@@ -109,7 +113,7 @@ def unpack(blob: bytes) -> Grams:
         c = np.zeros((rows, 8), np.uint8)
         c[:, :width] = planes.reshape(width, rows).T
         c = c.view("<u8").reshape(-1)
-        out.append(np.cumsum(c, dtype=np.uint64) if i == 0 else c)
+        out.append(_narrow(np.cumsum(c, dtype=np.uint64) if i == 0 else c))
         at += 16 + size
     return Grams(out[:names], out[names:])
 
@@ -123,7 +127,9 @@ def _added(columns: list[np.ndarray], values: list[np.ndarray] | None) -> Grams:
             keys.append(np.zeros(n, np.uint64))
             widths.append([])
             room = 64
-        keys[-1] = keys[-1] << np.uint64(bits) | c.astype(np.uint64) if widths[-1] else c.astype(np.uint64)
+        if widths[-1]:
+            keys[-1] <<= np.uint64(bits)
+        keys[-1] |= c.astype(np.uint64)
         widths[-1].append(bits)
         room -= bits
     if values is None and len(keys) == 1:
@@ -131,19 +137,20 @@ def _added(columns: list[np.ndarray], values: list[np.ndarray] | None) -> Grams:
         keys[0].sort()
     else:
         order = np.argsort(keys[0], kind="stable") if len(keys) == 1 else np.lexsort(keys[::-1])
-        keys = [k[order] for k in keys]
+        for i, key in enumerate(keys):
+            keys[i] = key[order]
     fresh = np.ones(n, bool)
     fresh[1:] = np.logical_or.reduce([k[1:] != k[:-1] for k in keys])
     at, names = np.flatnonzero(fresh), []
     for key, bits in zip(keys, widths):
         key, part = key[at], []
         for b in reversed(bits):
-            part.append(key & np.uint64((1 << b) - 1))
+            part.append(_narrow(key & np.uint64((1 << b) - 1)))
             key = key >> np.uint64(b) if b < 64 else key
         names += part[::-1]
     if values is None:
         return Grams(names, [np.diff(at, append=n).astype(np.uint64)])
-    return Grams(names, [np.add.reduceat(v[order].astype(np.uint64), at) if n else v[:0].astype(np.uint64) for v in values])
+    return Grams(names, [_narrow(np.add.reduceat(v[order], at, dtype=np.uint64)) if n else v[:0] for v in values])
 
 
 def _joined(parts: list[Grams]) -> Grams:
@@ -297,7 +304,7 @@ def _write_grams(folder: str, kind: int, shard: int, shards: int, keys: np.ndarr
     begins = np.searchsorted(bucket, np.arange(buckets + 1, dtype=np.uint64))
     out = [np.array([len(keys), buckets, len(values)], "<u8").tobytes(), _padded(begins.astype("<u4")), _padded((keys & np.uint64(0xFFFFFFFF)).astype("<u4")), _byte_column(values[0])]
     if len(values) > 1:
-        rows = np.stack(values[1:], 1)
+        rows = np.stack([v.astype(np.uint64) for v in values[1:]], 1)
         fits = (rows < 1 << 16).all(1)
         short = rows[:, 0] << np.uint64(48) | rows[:, 1] << np.uint64(32) | rows[:, 2] << np.uint64(16) | rows[:, 3]
         found, counts = np.unique(short[fits], return_counts=True)
@@ -349,7 +356,7 @@ def _merge(folder: str, shards: int, k: int, order: int):
                         yield _rows(finish(now, _joined(held)))
                     now, held = shard, []
                 held.append(unpack(blob.as_py()))
-                if len(held) > 2 and sum(len(g.columns[0]) for g in held[1:]) > max(HELD, len(held[0].columns[0]) // 2):
+                if len(held) > 1 and sum(len(g.columns[0]) for g in held[1:]) > max(HELD, len(held[0].columns[0]) // 2):
                     held = [_joined(held)]
         if held:
             yield _rows(finish(now, _joined(held)))
