@@ -42,9 +42,9 @@ from .words import Words, hash_words, mix, mix_int, slices
 
 ORDER = 3
 #: Tokens that a task gathers before it sends their n-grams on.
-GATHER = 2_000_000
+GATHER = 1_500_000
 #: Bytes of text that are scored together.
-BATCH = 4 << 20
+BATCH = 2 << 20
 #: Bytes of text for each shard of the arrays, and the fewest shards.
 SHARD_BYTES, SHARDS = 16 << 20, 8
 #: Rows that a merge holds beside what it has merged.
