@@ -57,3 +57,22 @@ def test_longer_licences(spark):
         want |= {4 * i: name, 4 * i + 1: name, 4 * i + 2: name, 4 * i + 3: None}
     got = {r.doc_id: r.license for r in license_scan.scan(rows_of(spark, rows), license_scan.known_licenses(spark)).collect()}
     assert got == want
+
+
+@pytest.mark.skipif(not os.path.isdir(COMMON), reason="licence texts are not installed")
+def test_sql_on_planted_texts(spark):
+    """Whole copies, short and long, and notices in long lines: the operator and its SQL give the same rows, with names."""
+    import duckdb
+    import pandas as pd
+
+    rows = [(1, license_scan.KNOWN["MIT"]), (2, "ISC License\n\nCopyright (c) 2020 A B\n\n" + license_scan.KNOWN["ISC"].upper()), (3, "x" * 500 + "\n" + "-" * 400 + " Licensed under CC BY 4.0. " + "*" * 300), (4, None), (5, "no terms")]
+    for i, file in enumerate(("GPL-3", "Apache-2.0", "LGPL-2.1", "MPL-2.0")):
+        with open(f"{COMMON}/{file}", encoding="utf-8") as f:
+            rows.append((10 + i, f.read()))
+    con = duckdb.connect()
+    documents = pd.DataFrame(rows, columns=["doc_id", "text"])  # noqa: F841
+    con.execute("CREATE TABLE documents AS SELECT * FROM documents")
+    want = {r[0]: r[1:] for r in con.execute(f"SELECT doc_id, digest, n_canonical_words, license, notices FROM ({license_scan.scan_sql()})").fetchall()}
+    found = license_scan.scan(rows_of(spark, rows), license_scan.known_licenses(spark)).collect()
+    assert {r.doc_id: (r.digest, r.n_canonical_words, r.license, ",".join(r.notices)) for r in found} == want
+    assert {i: w[2] for i, w in want.items() if w[2]} == {1: "MIT", 2: "ISC", 10: "GPL-3.0", 11: "Apache-2.0", 12: "LGPL-2.1", 13: "MPL-2.0"} and want[3][3] == "CC-BY-4.0"

@@ -126,6 +126,19 @@ def test_near_duplicates_of_a_large_region(spark, monkeypatch):
     assert set(want.values()) == {0} and got == want
 
 
+def test_links_in_a_dense_region(spark):
+    """With the settings as they are: 2,200 texts of one form, each with one link just above the threshold among thousands just below."""
+    common, rows = " ".join(f"c{i}" for i in range(164)), []
+    for i in range(1100):
+        pair = " ".join(f"p{i}_{j}" for j in range(3))
+        rows += [(2 * i + k, f"{common} {pair} " + " ".join(f"o{i}_{k}_{j}" for j in range(26))) for k in (0, 1)]
+    a, b, c = ({tuple(w[j : j + 5]) for j in range(len(w) - 4)} for w in (rows[0][1].split(), rows[1][1].split(), rows[2][1].split()))
+    assert len(a & b) / len(a | b) >= 0.75 > len(a & c) / len(a | c) > 0.73 and len(rows) > near_dup.REGION
+    got = {r.doc_id: r.component_id for r in near_dup.near_duplicates(docs(spark, rows)).collect()}
+    assert all(got[2 * i] == 2 * i and got[2 * i + 1] in (2 * i, 2 * i + 1) for i in range(1100))
+    assert sum(got[2 * i + 1] == 2 * i for i in range(1100)) >= 1098
+
+
 def test_near_duplicate_edges(spark):
     rows = [(None, "a b c d e f"), (4, "a b c d e f"), (4, "a b c d e f"), (2, "A b c d E f"), (7, "other words")]
     got = sorted((str(r.doc_id), str(r.component_id)) for r in near_dup.near_duplicates(docs(spark, rows)).collect())

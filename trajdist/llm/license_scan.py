@@ -133,13 +133,11 @@ NOTICES = {
     "This work is licensed under the GNU General Public License, version 3.": "GPL-3.0", "Licensed under the GNU General Public License, version 2.": "GPL-2.0",
     "Licensed under CC BY-NC 4.0.": "CC-BY-NC-4.0", "Licensed under CC BY 4.0.": "CC-BY-4.0", "Licensed under CC BY-SA 4.0.": "CC-BY-SA-4.0",
 }
-#: Characters of the longest line that can be a notice.
-NOTICE_CHARS = 200
 
 
 def notices(text: Column, known: dict[str, str]) -> Column:
     """Names of the notices (canonical digest to name) that stand in a text as whole lines, sorted."""
-    lines = F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda l: (F.length(l) <= NOTICE_CHARS) & F.lower(l).contains("licen"))
+    lines = F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda l: F.lower(l).contains("licen"))
     names = F.create_map(*(F.lit(x) for kv in known.items() for x in kv))
     met = F.array_intersect(F.transform(lines, digest), F.array(*map(F.lit, known)))
     return F.array_sort(F.array_distinct(F.transform(met, lambda x: F.element_at(names, x))))
@@ -196,9 +194,10 @@ def scan_sql() -> str:
     quoted = lambda s: "'" + s.replace("'", "''") + "'"
     rows = ", ".join(f"({quoted(k)}, {quoted(t)})" for k, text in KNOWN.items() for t in (text, *(f"{title}\n{text}" for title in TITLES[k])))
     lines = ", ".join(f"({quoted(k)}, {quoted(v)})" for k, v in NOTICES.items())
-    return f"""WITH k AS (SELECT sha256({canonical_sql('text')}) AS digest, min(license) AS license FROM (VALUES {rows}) AS t(license, text) GROUP BY 1),
+    longer = ", ".join(f"('{d}', '{k}')" for k, ds in DIGESTS.items() for d in ds)
+    return f"""WITH k AS (SELECT digest, min(license) AS license FROM (SELECT sha256({canonical_sql('text')}) AS digest, license FROM (VALUES {rows}) AS t(license, text) UNION ALL SELECT * FROM (VALUES {longer}) AS t(digest, license)) GROUP BY 1),
     n AS (SELECT DISTINCT sha256({canonical_sql('text')}) AS digest, name FROM (VALUES {lines}) AS t(text, name)),
-    l AS (SELECT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) <= {NOTICE_CHARS} AND contains(lower(line), 'licen')),
+    l AS (SELECT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE contains(lower(line), 'licen')),
     m AS (SELECT doc_id, string_agg(DISTINCT name, ',' ORDER BY name) AS notices FROM l JOIN n ON n.digest = sha256({canonical_sql('line')}) GROUP BY doc_id),
     d AS (SELECT doc_id, {canonical_sql('text')} AS c FROM documents)
     SELECT d.doc_id, sha256(c) AS digest, CAST(CASE WHEN c = '' THEN 0 ELSE length(c) - length(replace(c, ' ', '')) + 1 END AS BIGINT) AS n_canonical_words, license, coalesce(notices, '') AS notices
