@@ -46,9 +46,9 @@ GATHER = 1_500_000
 #: Bytes of text that are scored together.
 BATCH = 2 << 20
 #: Bytes of text for each shard of the arrays, and the fewest shards.
-SHARD_BYTES, SHARDS = 16 << 20, 8
+SHARD_BYTES, SHARDS = 8 << 20, 8
 #: Rows that a merge holds beside what it has merged.
-HELD = 1 << 19
+HELD = 1 << 18
 #: n-grams of a bucket, on average.
 BUCKET = 8
 #: Counts from here on stand beside an array's bytes.
@@ -219,7 +219,7 @@ def _send_words(shards: int):
 
 def _with_context(g: Grams) -> Grams:
     """Counts as rows of an order below the model's: nothing about contexts yet."""
-    return Grams(g.columns, [*g.values, *(np.zeros(len(g.columns[0]), np.uint64) for _ in range(4))])
+    return Grams(g.columns, [*g.values, *(np.zeros(len(g.columns[0]), np.uint8) for _ in range(4))])
 
 
 def _send_grams(order: int, folder: str, shards: int):
@@ -339,9 +339,12 @@ def _merge(folder: str, shards: int, k: int, order: int):
             fresh = np.ones(len(count), bool)
             fresh[1:] = np.logical_or.reduce([c[1:] != c[:-1] for c in columns[:-1]])
             at = np.flatnonzero(fresh)
-            facts = [np.add.reduceat(v.astype(np.uint64), at) if len(at) else count for v in (count, count == 1, count == 2, count > 2)]
-            context = Grams([c[at] for c in columns[:-1]], [np.zeros(len(at), np.uint64), *facts])
-            both = _joined([context, _with_context(_added(columns[1:], None))])
+            facts = [_narrow(np.add.reduceat(v, at, dtype=np.uint64)) if len(at) else count for v in (count, count == 1, count == 2, count > 2)]
+            context = Grams([c[at] for c in columns[:-1]], [np.zeros(len(at), np.uint8), *facts])
+            ending = _with_context(_added(columns[1:], None))
+            del g, columns, fresh, at, seen, facts
+            both = _joined([context, ending])
+            del context, ending
             yield from _blocks(k - 1, both, gram_key(both.columns), shards)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
