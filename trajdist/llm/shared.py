@@ -21,9 +21,11 @@ def _forget() -> None:
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
-    """A new folder's URI below spark.checkpoint.dir; where that is unset, below one of our own."""
+    """A new folder's URI below spark.checkpoint.dir; where that is unset, on this machine alone, below one of our own."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
         if not _own:
             _own.append(tempfile.mkdtemp(prefix="shared-"))
             atexit.register(_forget)
