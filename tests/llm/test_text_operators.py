@@ -388,3 +388,35 @@ def test_gram_arrays(tmp_path):
     got = kneser_ney.GramArrays(folder, 2, shards).find(keys)
     for g, v in zip(got, values, strict=True):
         assert (g[:n] == v).all() and (g[n:] == 0).all()
+
+
+def test_language_by_plain_compression(spark, sf_dir):
+    """Every row against compression under each dictionary, one text and one language at a time; ties go to the first name."""
+    import zstandard
+
+    d = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    model = language_id.fit(d, remainder(F.col("doc_id"), 4) != 2)
+    texts = [r.text for r in d.orderBy("doc_id").limit(60).collect()]
+    rows = list(enumerate([*texts, texts[0], texts[0], None, "", "123 !?", " ".join(texts[:20]) * 3, "é", "word"]))
+
+    def plain(text):
+        if text is None or not any(c.isalpha() for c in text):
+            return "und", 0.0, True
+        raw = re.sub(r"[\W\d_]+", " ", text).strip().lower().encode()
+        parts = [raw[i : i + language_id.CHUNK] for i in range(0, len(raw), language_id.CHUNK)]
+        if len(raw) < language_id.SHORT:
+            parts += [raw[i + 1 :] for i in range(len(raw)) if raw[i : i + 1] == b" "]
+        sizes = []
+        for name in sorted(model):
+            words = zstandard.ZstdCompressionDict(model[name], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            words.precompute_compress(level=language_id.LEVEL)
+            sizes.append((sum(len(zstandard.ZstdCompressor(level=language_id.LEVEL, dict_data=words, write_checksum=False, write_content_size=False, write_dict_id=False).compress(p)) for p in parts), name))
+        (best, name), (second, _) = sorted(sizes)[:2]
+        return name, min(1.0, 4 * (1 - best / second)), 1 - best / second < language_id.MARGIN
+
+    got = {r.doc_id: (r.lang_pred, r.score, r.rejected) for r in language_id.predict(docs(spark, rows), model).collect()}
+    assert got == {i: plain(t) for i, t in rows}
+    tied = language_id.Classifier({"b": b"one two three", "a": b"one two three"})
+    assert tied("one two") == ("a", 0.0, True)
+    again = language_id.predict(docs(spark, rows * 2), model)
+    assert again.count() == 2 * len(rows) and again.distinct().count() == len(rows)

@@ -122,7 +122,8 @@ _cached: dict = {}
 def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", margin: float = MARGIN) -> DataFrame:
     """One row per input row: its id, lang_pred, score, rejected.  Only the text is looked at.
 
-    A null, empty or letterless text is `und`, score 0, rejected; without any training text all are.
+    A null, empty or letterless text is `und`, score 0, rejected; without any training text all are.  Of languages with equal
+    sizes the first name is taken, with score 0, and rejected.  Repeated rows get the same answer each.
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
