@@ -269,10 +269,12 @@ def _paired(large: DataFrame, groups: DataFrame, nodes: DataFrame, folder: str)
     """
     placed = stored(large.join(groups.select("id", "component"), "id", "left").select("key", "id", F.coalesce("component", "id").alias("group")), f"{folder}/placed")
     sizes = placed.groupBy("key", "group").agg(F.count(F.lit(1)).alias("size"))
-    # At most a row for REGION texts of an order.
+    # At most a row for REGION texts of an order, which grows with the texts.
     mixed = sizes.groupBy("key").agg(F.max_by("group", F.struct("size", "group")).alias("main"), F.sum("size").alias("size"), F.max("size").alias("most")).where("most < size")
+    mixed = stored(mixed, f"{folder}/sizes")
+    mixed = F.broadcast(mixed) if mixed.count() <= BROADCAST_IDS // 4 else mixed
     half = REGION // 2
-    rows = placed.join(F.broadcast(mixed), "key").join(nodes.select("id", "n", "sig"), "id")
+    rows = placed.join(mixed, "key").join(nodes.select("id", "n", "sig"), "id")
     rows = rows.withColumn("blocks", F.ceil(F.col("size") / half).cast("int")).withColumn("outside", F.ceil((F.col("size") - F.col("most")) / half).cast("int"))
     rows = stored(rows, f"{folder}/mixed")
 
