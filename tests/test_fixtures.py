@@ -116,3 +116,12 @@ def test_batches(spark):
     need = spark.createDataFrame([(i, 0, 4) for i in range(6)], "q_traj long, q_seg long, demand long")
     got = batching.by_capacity(need, 10, ["q_traj"]).orderBy("q_traj").collect()
     assert [r.batch_id for r in got] == [0, 0, 0, 1, 1, 2]
+
+
+def test_running_sum_over_parts(spark):
+    demands = [(i, 0, (i * 37) % 11) for i in range(20)]
+    got = batching.running_sum(spark.createDataFrame(demands, "q_traj long, q_seg long, demand long"), ["demand", "q_traj"], part=3).orderBy("_i").collect()
+    before = 0
+    for i, (q, _, n) in enumerate(sorted(demands, key=lambda r: (r[2], r[0]))):
+        assert (got[i]["_i"], got[i].q_traj, got[i]["_before"]) == (i, q, before)
+        before += n

@@ -35,9 +35,12 @@ def cell_rounds(demand: DataFrame, size: int) -> DataFrame:
     return rows.select("q_traj", "q_seg", "demand", "round", "capacity", F.greatest(F.lit(1).cast("long"), F.ceil(F.col("demand") / size)).alias("chunks"))
 
 
-def running_sum(demand: DataFrame, order: list[str]) -> DataFrame:
-    """Adds ``_i``, the place in the order, and ``_before``, the demand of all rows before: over parts of the order, then inside them."""
-    rows = dense_ids(demand, order, "_i").withColumn("_part", F.expr("_i div 4096"))
+def running_sum(demand: DataFrame, order: list[str], part: int = 4096) -> DataFrame:
+    """Adds ``_i``, the place in the order, and ``_before``, the demand of all rows before: over parts of the order, then inside them.
+
+    However many rows there are, about 65,536 sums of parts at most come to the driver."""
+    rows = dense_ids(demand, order, "_i")
+    rows = rows.withColumn("_part", F.expr(f"_i div {max(part, rows.count() >> 16)}"))
     sums, begin, table = sorted(rows.groupBy("_part").agg(F.sum("demand").alias("n")).collect()), 0, []
     for r in sums:
         table.append((r["_part"], begin))

@@ -100,11 +100,19 @@ def _(spark, sf_dir):
 
 
 def _asof(t, orders: DataFrame) -> DataFrame:
-    """Each order with its customer's last event before it."""
+    """Each order with its customer's last event before it.
+
+    Rows meet inside a customer's day, so a customer of very many rows is spread over tasks; what the days before leave
+    is carried over one row for each day.  An order without customer or date has no event."""
     o = orders.select((F.col("o_custkey") % 15).alias("k"), F.col("o_orderdate").alias("ts"), "o_orderkey", F.lit(None).cast("long").alias("event_id"), F.lit(1).alias("side"))
-    e = t("events").groupBy(F.col("user_id").alias("k"), "ts").agg(F.max("event_id").alias("event_id")).select("k", "ts", F.lit(None).cast("long").alias("o_orderkey"), "event_id", F.lit(0).alias("side"))
-    w = Window.partitionBy("k").orderBy("ts", "side").rowsBetween(Window.unboundedPreceding, 0)
-    return o.unionByName(e).withColumn("event_id", F.last("event_id", ignorenulls=True).over(w)).where("side = 1").select("o_orderkey", "event_id")
+    known = t("events").where("user_id is not null and ts is not null").groupBy(F.col("user_id").alias("k"), "ts").agg(F.max("event_id").alias("event_id"))
+    rows = o.unionByName(known.select("k", "ts", F.lit(None).cast("long").alias("o_orderkey"), "event_id", F.lit(0).alias("side"))).withColumn("day", F.to_date("ts"))
+    last = F.max(F.when(F.col("side") == 0, F.struct("ts", "event_id")))["event_id"]
+    before = Window.partitionBy("k").orderBy("day").rowsBetween(Window.unboundedPreceding, -1)
+    carried = rows.groupBy("k", "day").agg(last.alias("last")).select("k", "day", F.last("last", ignorenulls=True).over(before).alias("carried"))
+    inside = Window.partitionBy("k", "day").orderBy("ts", "side").rowsBetween(Window.unboundedPreceding, 0)
+    met = rows.withColumn("event_id", F.last("event_id", ignorenulls=True).over(inside)).where("side = 1")
+    return met.join(carried, ["k", "day"], "left").select("o_orderkey", F.coalesce("event_id", "carried").alias("event_id"))
 
 
 @op("o9_asof_join", "SELECT o.o_orderkey, e.event_id FROM orders o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.o_custkey % 15 = e.user_id AND o.o_orderdate >= e.ts")
