@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import random
+import re
 
 import pytest
 from pyspark.sql import Window
@@ -12,7 +13,7 @@ from trajdist.operators import batching, brute, cells, packed_tree, planner, sea
 from trajdist.operators.index import at_distances, by_trajectory, dense_ids
 from trajdist.plans.scenarios import queries_of, segments
 from trajdist.session import materialize
-from trajdist.sources.tables import SEGMENT, segments_from
+from trajdist.sources.tables import SEGMENT, load_by_time, save_by_time, segments_from
 
 
 def key(df):
@@ -220,3 +221,18 @@ def test_recommend(dense):
     assert planner.recommend(q, indexes, 3.1) == planner.cheapest(counts)
     assert planner.cheapest({"tbin": 9, "tree": 4, "slab": 9}) == "slab" and planner.cheapest({"tbin": 90, "tree": 4}) == "tree"
     assert planner.describe(d)["slab_cap"] >= 1
+
+
+def test_partitioned_search_reads_what_queries_reach(spark, tmp_path):
+    entries = spark.createDataFrame([(i, 0, float(i), 0.0, 0.0, 0.0, i + 1.5, 1.0, 0.0, 0.0) for i in range(20)], SEGMENT)
+    path = f"{tmp_path}/by_time"
+    save_by_time(entries, path, 2.0)
+    assert tuple(load_by_time(spark, path)[1]) == (1.5, 0, 9)
+    queries = spark.createDataFrame([(100, 0, 7.0, 0.0, 0.0, 0.0, 8.0, 1.0, 0.0, 0.0), (101, 0, 90.0, 0.0, 0.0, 0.0, 91.0, 1.0, 0.0, 0.0)], SEGMENT)
+    got = search.partitioned(queries, path, 2.0, 5.0)
+    assert sorted(got.collect()) == sorted(search.run(queries, entries, 5.0, "brute").select(got.columns).collect())
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert re.search(r"PartitionFilters: \[[^\]]*coarse#\d+L? IN \([\d,]+\)", plan), plan
+    assert search.partitioned(queries.where("traj_id = 101"), path, 2.0, 5.0).isEmpty()
+    save_by_time(entries.limit(0), path, 2.0)
+    assert search.partitioned(queries, path, 2.0, 5.0).isEmpty()

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Row, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import geometry
 from ..session import materialize
+from ..sources.tables import load_by_time
 from . import brute, cells, packed_tree, slabs, timebins
 from .index import as_queries, other_trajectory
 
@@ -105,10 +106,14 @@ def snapshot(d: DataFrame, t: float, cell: float) -> DataFrame:
 def partitioned(q: DataFrame, path: str, width: float, dist: float, exclude_self: bool = True) -> DataFrame:
     """A search over entries that ``save_by_time`` wrote: queries meet the folders that their time reaches, and no other is read.
 
-    Folders are of start times, so a query also looks back by the longest entry's duration."""
-    d = q.sparkSession.read.parquet(path)
-    longest = d.agg(F.max(F.col("t1") - F.col("t0"))).first()[0] or 0.0
-    reach = F.sequence(F.floor((F.col("q_t0") - F.lit(longest)) / width), F.floor(F.col("q_t1") / width))
-    rows = as_queries(q).withColumn("coarse", F.explode(reach))
-    pairs = d.withColumn("coarse", F.col("coarse").cast("long")).join(rows, "coarse")
+    Folders are of start times, so a query also looks back by the longest entry's duration.  The folders' numbers, as
+    many at most as there are between the first and the last, pass through the driver."""
+    d, known = load_by_time(q.sparkSession, path)
+    if known is None or known.longest is None:
+        known = Row(longest=0.0, first=0, last=-1)
+    since = F.greatest(F.floor((F.col("q_t0") - F.lit(known.longest)) / width), F.lit(known.first))
+    until = F.least(F.floor(F.col("q_t1") / width), F.lit(known.last))
+    rows = as_queries(q).withColumn("coarse", F.explode(F.when(since <= until, F.sequence(since, until, F.lit(1).cast("long")))))
+    reached = [r.coarse for r in rows.select("coarse").distinct().collect()]
+    pairs = d.where(F.col("coarse").isin(reached)).join(rows, "coarse")
     return geometry.matches(pairs.where(other_trajectory(exclude_self) & geometry.hints(dist)), dist)
