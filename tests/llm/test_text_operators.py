@@ -114,9 +114,11 @@ def test_dense_regions_split(spark, monkeypatch):
     assert got == groups_of(rows)
 
 
-def test_near_duplicates_of_a_large_region(spark, monkeypatch):
+@pytest.mark.parametrize("broadcast", [near_dup.BROADCAST_IDS, 0])
+def test_near_duplicates_of_a_large_region(spark, monkeypatch, broadcast):
     """A text whose one link is to a text of a region that is far too large: splitting the region must not lose it."""
     monkeypatch.setattr(near_dup, "REGION", 32)
+    monkeypatch.setattr(near_dup, "BROADCAST_IDS", broadcast)
     base = [f"w{i}" for i in range(400)]
     copies = [(i, " ".join(w if at != i else f"c{i}" for at, w in enumerate(base))) for i in range(1, 251)]
     far = [(1000 + k, " ".join(f"f{k}n{at}" if at % 36 == k else w for at, w in enumerate(base))) for k in range(30)]
