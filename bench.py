@@ -11,6 +11,7 @@ import os
 import statistics
 import sys
 import time
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -59,7 +60,7 @@ def searches(spark: SparkSession) -> tuple[dict[str, float], list[dict]]:
         methods = {"tbin": lambda x: timebins.search(q, tbin, x), "slab": lambda x: slabs.search(q, slab, x), "tree": lambda x: packed_tree.search(q, tree, x)}
         if k:
             cell = cells.build(d, k)
-            cell = cell._replace(lookup=timebins.in_place(cell.lookup, ["h"]), directory=materialize(cell.directory))
+            cell = replace(cell, lookup=timebins.in_place(cell.lookup, ["h"]), entries=materialize(cell.entries))
             methods["cell"] = lambda x: cells.search(q, cell, x)
         n, entries = q.count(), d.count()
         for x in dists:

@@ -43,3 +43,18 @@ def test_overlapping_by_key_with_ties(spark):
         pairs = q.crossJoin(d).where("q_t0 < t1 AND t0 < q_t1").where("q_traj_id = traj_id" if keys else "true")
         want = pairs.groupBy("q_traj_id", "q_seg_id").count().collect()
         assert {(r.q_traj_id, r.q_seg_id): r.n for r in got.groupBy("q_traj_id", "q_seg_id").agg(F.sum("n").alias("n")).collect()} == {(r.q_traj_id, r.q_seg_id): r["count"] for r in want}
+
+
+@pytest.mark.parametrize("dedup", ["owner", "early", "late"])
+def test_cells_meet_in_parts_of_time_and_shuffle_no_pairs(spark, monkeypatch, dedup):
+    """Segments at one place, each in a time of its own: a pair of other times is not made, and repeats need no shuffle."""
+    from trajdist.functions import geometry
+    from trajdist.operators import cells
+
+    rows = [(i, 0, float(i % 200), 0.0, 0.0, float(i % 7), float(i % 200 + 1), 1.0, 1.0, float(i % 7)) for i in range(400)] + [(1000, 0, 0.0, 50.0, 50.0, 50.0, 1.0, 50.0, 50.0, 50.0)]
+    d = spark.createDataFrame(rows, SEGMENT)
+    monkeypatch.setattr(geometry, "repeated", refuse)
+    index = cells.build(d, 10)
+    got = cells.search(d, index, 9.0, dedup)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, brute.search(d, d, 9.0).collect()))
+    assert cells.meeting(d, index, 9.0).count() < 401 * 20
