@@ -69,7 +69,7 @@ def _compare(name: str, dists: tuple[float, ...], rs: tuple[int, ...], m: int, v
         if k:
             cell = materialize(c.cell_rounds(q, d, k, dists))
             methods |= {"cell": cell, "cell optimistic": cell.select("d", "candidates", once)}
-        hits, pairs, n = materialize(c.found(q, d, m, dists)), c.overlapping(q, d, m).first()[0], c.total_entries(d)
+        hits, pairs, n = materialize(c.found(q, d, m, dists)), c.overlapping(q, d).first()[0], c.total_entries(d)
         out = c.rows([c.row(f, method=name_) for name_, f in methods.items()]).join(F.broadcast(hits), "d")
         marks = F.create_map(*(F.lit(x) for kv in (domain or {"": -1.0}).items() for x in (kv[1], kv[0])))
         return out.select("method", "d", "candidates", "rounds", "results", (F.col("entries") / n).alias("entry_fraction"), (F.col("results") / pairs).alias("pair_fraction"), F.coalesce(F.try_element_at(marks, F.col("d")), F.lit("")).alias("domain"))
