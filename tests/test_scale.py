@@ -58,3 +58,29 @@ def test_cells_meet_in_parts_of_time_and_shuffle_no_pairs(spark, monkeypatch, de
     got = cells.search(d, index, 9.0, dedup)
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, brute.search(d, d, 9.0).collect()))
     assert cells.meeting(d, index, 9.0).count() < 401 * 20
+
+
+@pytest.mark.parametrize(("name", "table"), [("ops_o32_recursive_cte", "lineitem"), ("ops_s4_generated", "customer"), ("stream_st1_rate", "events")])
+def test_a_given_table_is_read(spark, duck, sf_dir, monkeypatch, name, table):
+    from trajdist.plans import relational
+    from trajdist.streaming import streams
+
+    read = []
+    for module in (relational, streams):
+        monkeypatch.setattr(module, "table", lambda s, d, n, f=module.table: read.append(n) or f(s, d, n))
+    same_as_sql(spark, duck, sf_dir, name)
+    assert table in read
+
+
+def test_bins_meet_in_cells(spark):
+    """Entries of one time, spread in space: a query meets those around it, each once."""
+    rows = [(i, 0, 0.0, float(i), float(i % 90), 0.0, 1.0, float(i) + 1, float(i % 90), 1.0) for i in range(600)]
+    d = spark.createDataFrame(rows, SEGMENT)
+    index = timebins.build(d, 4)
+    assert timebins.near(d, index, 5.0).count() < 600 * 60
+    assert sorted(map(tuple, timebins.search(d, index, 5.0).collect())) == sorted(map(tuple, brute.search(d, d, 5.0).collect()))
+
+
+def test_hit_ratio_counts_overlaps_without_pairs(spark, duck, sf_dir, monkeypatch):
+    monkeypatch.setattr(timebins, "candidates", lambda *a, f=timebins.candidates, **k: f(*a, **k) if "dist" in k else refuse())
+    same_as_sql(spark, duck, sf_dir, "measure_hit_ratio_dense")
