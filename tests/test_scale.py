@@ -84,3 +84,56 @@ def test_bins_meet_in_cells(spark):
 def test_hit_ratio_counts_overlaps_without_pairs(spark, duck, sf_dir, monkeypatch):
     monkeypatch.setattr(timebins, "candidates", lambda *a, f=timebins.candidates, **k: f(*a, **k) if "dist" in k else refuse())
     same_as_sql(spark, duck, sf_dir, "measure_hit_ratio_dense")
+
+
+def without_pairs(monkeypatch):
+    """Takes away every way that makes a row for each pair, or for each query and bin."""
+    from trajdist.operators import cells, packed_tree, slabs
+
+    for module, name in ((timebins, "candidates"), (timebins, "near"), (timebins, "overlaps"), (cells, "candidates"), (cells, "meeting"), (slabs, "candidates"), (slabs, "every_pair"), (packed_tree, "frontiers"), (brute, "candidates")):
+        monkeypatch.setattr(module, name, refuse)
+
+
+COUNTED = [
+    "measure_duplicates_dense",
+]
+
+
+@pytest.mark.parametrize("name", COUNTED)
+def test_measures_count_without_pairs(spark, duck, sf_dir, monkeypatch, name):
+    without_pairs(monkeypatch)
+    same_as_sql(spark, duck, sf_dir, name)
+
+
+def test_sets_of_bits_count_like_pairs(spark, monkeypatch):
+    """More entries than a block, and than a task holds; repeated rows and keys, touching ends, several parts; also none at all."""
+    from trajdist.operators import tally
+
+    monkeypatch.setattr(tally, "ENTRIES", 3000)
+    monkeypatch.setattr(tally, "QUERIES", 200)
+    rows = [(i % 90, i // 90, float(i % 40), float(i % 31), float(i % 7), float(i % 5), float(i % 40 + 1 + i % 3), float(i % 31 + 2), float(i % 7 + 1), float(i % 5)) for i in range(9000)]
+    d = spark.createDataFrame(rows + rows[:20], SEGMENT)
+    q = d.where("traj_id % 30 = 0").limit(250)
+    for x in (1.0, 4.0):
+        assert tally.results(q, d, x).first().results == brute.search(q, d, x).count()
+    got = tally.reached(q, d, (1.0, 4.0)).collect()
+    for r in got:
+        want = brute.search(q, d, r.dist).agg(F.countDistinct("traj_id", "seg_id"), F.countDistinct("q_traj", "q_seg"), F.count(F.lit(1))).first()
+        assert (r.entry_hits, r.query_hits, r.results) == tuple(want)
+    assert len(got) == 2
+    assert tally.results(q, d.where("false"), 4.0).first().results == 0 and tally.reached(q.where("false"), d, (1.0,)).count() == 0
+
+
+def test_shared_cells_and_slabs_are_counted_from_sums(spark):
+    """Boxes of many cells and slabs: with repeats and once, as from the pairs."""
+    from trajdist.operators import cells, slabs
+
+    rows = [(i, 0, float(i % 9), float(i * 7 % 50), float(i * 3 % 20), 0.0, float(i % 9 + 3), float(i * 5 % 50), float(i * 11 % 20), 0.0) for i in range(120)]
+    d = spark.createDataFrame(rows, SEGMENT)
+    index = cells.build(d, 6)
+    pairs = cells.candidates(d, index, 2.0)
+    assert cells.shared(d, index, 2.0) == (pairs.count(), cells.owned(pairs, index.grid).count())
+    s = slabs.build(d, 5, 4)
+    every = slabs.every_pair(d, s, 2.0, "multi")
+    assert tuple(slabs.multi_counts(d, s, 2.0).agg(F.sum("repeats"), F.sum("once")).first()) == (every.count(), every.select("q_traj_id", "traj_id").distinct().count())
+    assert sorted(map(tuple, slabs.schedule(d, s, 2.0).collect()), key=str) == sorted(map(tuple, slabs._again(slabs._planned(d, s, 2.0).drop("lists")).collect()), key=str)
