@@ -96,6 +96,7 @@ def without_pairs(monkeypatch):
 
 COUNTED = [
     "measure_duplicates_dense",
+    "measure_duplicates_event",
 ]
 
 
