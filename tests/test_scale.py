@@ -97,6 +97,7 @@ def without_pairs(monkeypatch):
 COUNTED = [
     "measure_duplicates_dense",
     "measure_duplicates_event",
+    "measure_duplicates_walk",
 ]
 
 
