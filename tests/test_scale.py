@@ -98,6 +98,7 @@ COUNTED = [
     "measure_duplicates_dense",
     "measure_duplicates_event",
     "measure_duplicates_walk",
+    "measure_wasted_event",
 ]
 
 
