@@ -99,6 +99,7 @@ COUNTED = [
     "measure_duplicates_event",
     "measure_duplicates_walk",
     "measure_wasted_event",
+    "measure_within_dense",
 ]
 
 
