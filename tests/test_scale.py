@@ -100,6 +100,7 @@ COUNTED = [
     "measure_duplicates_walk",
     "measure_wasted_event",
     "measure_within_dense",
+    "measure_balance_walk",
 ]
 
 
