@@ -422,3 +422,21 @@ def test_language_by_plain_compression(spark, sf_dir):
     assert tied("one two") == ("a", 0.0, True)
     again = language_id.predict(docs(spark, rows * 2), model)
     assert again.count() == 2 * len(rows) and again.distinct().count() == len(rows)
+
+
+def test_arrays_are_in_order_inside_buckets(tmp_path):
+    """What is there is found with its count; a search for what is not ends at the first larger number, in buckets of about four."""
+    import numpy as np
+
+    rng, shards = np.random.default_rng(5), 2
+    keys = np.unique(rng.integers(0, 1 << 64, 40_000, np.uint64))
+    count = np.arange(len(keys), dtype=np.uint64) % np.uint64(400)
+    shard = kneser_ney._place(keys, shards)[0]
+    for s in range(shards):
+        kneser_ney._write_grams(f"file://{tmp_path}", 3, s, shards, keys[shard == s], [count[shard == s]])
+    arrays = kneser_ney.GramArrays(f"file://{tmp_path}", 3, shards)
+    assert (arrays.find(keys)[0] == count).all()
+    assert (arrays.find(rng.integers(0, 1 << 64, 1000, np.uint64))[0] > 0).sum() == 0
+    for begins, low, buckets, _ in arrays.parts:
+        bucket = np.repeat(np.arange(buckets), np.diff(begins.astype(np.int64)))
+        assert len(low) < 5 * buckets and (np.diff(low.astype(np.int64))[np.diff(bucket) == 0] > 0).all()

@@ -13,9 +13,9 @@ next lower order, and stand in one row there.  n-grams are dealt by the hash of
 frequent word or word pair loads no shard; the number of shards follows the bytes of text, so that a shard
 stays as large as it is, whatever the corpus.
 
-Arrays.  n-grams of a shard are sorted by a 64-bit hash.  A directory by the upper bits tells where each
-bucket of about eight begins, and the lower 32 bits tell them apart: an n-gram that is not there is taken for
-another with a chance of 2e-9.  Words are compared by all 64 bits.
+Arrays.  n-grams of a shard are dealt by a 64-bit hash.  A directory by the upper bits tells where each
+bucket of about four begins, and the lower 32 bits, in order inside a bucket, tell them apart: an n-gram that is
+not there is taken for another with a chance of 1e-9, and a search for it ends at the first larger one.  Words are compared by all 64 bits.
 
 Scoring.  A worker maps the arrays of all shards and looks up the sorted keys of a batch of texts.
 Pages are shared by the workers of a machine and read as needed.  The folder of the model has to be
@@ -44,13 +44,13 @@ ORDER = 3
 #: Tokens that a task gathers before it sends their n-grams on.
 GATHER = 1_500_000
 #: Bytes of text that are scored together.
-BATCH = 2 << 20
+BATCH = 4 << 20
 #: Bytes of text for each shard of the arrays, and the fewest shards.
 SHARD_BYTES, SHARDS = 8 << 20, 8
 #: Rows that a merge holds beside what it has merged.
 HELD = 1 << 18
 #: n-grams of a bucket, on average.
-BUCKET = 8
+BUCKET = 4
 #: Counts from here on stand beside an array's bytes.
 LARGE = 255
 
@@ -297,10 +297,10 @@ def _write_grams(folder: str, kind: int, shard: int, shards: int, keys: np.ndarr
     """Where buckets begin, the keys' lower 32 bits, counts, and what is known of them as contexts.
 
     Most contexts have one of few sets of numbers: a byte tells which, and those of other sets stand beside."""
-    order = np.argsort(keys)
-    keys, values = keys[order], [v[order] for v in values]
     buckets = max(1, len(keys) // BUCKET)
     bucket = _place(keys, shards)[1] * np.uint64(buckets) >> np.uint64(32)
+    order = np.argsort(bucket << np.uint64(32) | keys & np.uint64(0xFFFFFFFF))
+    keys, bucket, values = keys[order], bucket[order], [v[order] for v in values]
     begins = np.searchsorted(bucket, np.arange(buckets + 1, dtype=np.uint64))
     out = [np.array([len(keys), buckets, len(values)], "<u8").tobytes(), _padded(begins.astype("<u4")), _padded((keys & np.uint64(0xFFFFFFFF)).astype("<u4")), _byte_column(values[0])]
     if len(values) > 1:
@@ -509,13 +509,14 @@ class GramArrays(Arrays):
         at, end = begins[bucket].astype(np.int64), begins[bucket + np.uint64(1)].astype(np.int64)
         want = (asked & np.uint64(0xFFFFFFFF)).astype(np.uint32)
         rows, found_rows, found_at = np.flatnonzero(at < end), [], []
+        at, end, want = at[rows], end[rows], want[rows]
         while len(rows):  # as often as the fullest bucket has rows
-            hit = low[at[rows]] == want[rows]
+            here = low[at]
+            hit = here == want
             found_rows.append(rows[hit])
-            found_at.append(at[rows[hit]])
-            rows = rows[~hit]
-            at[rows] += 1
-            rows = rows[at[rows] < end[rows]]
+            found_at.append(at[hit])
+            on = np.flatnonzero((here < want) & (at + 1 < end))
+            rows, at, end, want = rows[on], at[on] + 1, end[on], want[on]
         none = np.zeros(0, np.int64)
         return np.concatenate([none, *found_rows]), np.concatenate([none, *found_at])
 
