@@ -101,6 +101,12 @@ COUNTED = [
     "measure_wasted_event",
     "measure_within_dense",
     "measure_balance_walk",
+    "measure_balance_event",
+    "measure_hit_ratio_dense",
+    "measure_hit_ratio_event",
+    "measure_interactions_event",
+    "measure_interactions_walk",
+    "measure_within_walk",
 ]
 
 
