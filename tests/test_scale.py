@@ -148,3 +148,21 @@ def test_shared_cells_and_slabs_are_counted_from_sums(spark):
     every = slabs.every_pair(d, s, 2.0, "multi")
     assert tuple(slabs.multi_counts(d, s, 2.0).agg(F.sum("repeats"), F.sum("once")).first()) == (every.count(), every.select("q_traj_id", "traj_id").distinct().count())
     assert sorted(map(tuple, slabs.schedule(d, s, 2.0).collect()), key=str) == sorted(map(tuple, slabs._again(slabs._planned(d, s, 2.0).drop("lists")).collect()), key=str)
+
+
+def test_sql_text_meets_in_cells(spark, sf_dir, monkeypatch):
+    """At distances below and above the one that the cells are made for; the join makes few of the pairs of the bins."""
+    from trajdist.plans import sqlapi
+    from trajdist.plans.scenarios import bounded_walk, queries_of
+    from trajdist.plans.searches import shown
+    from trajdist.session import kept
+
+    d = kept(bounded_walk(spark, 1500, 4, 5, 0.02))
+    monkeypatch.setattr(sqlapi, "segments", lambda *_: d)
+    sqlapi.register(spark, sf_dir, reach={"dense": 3.0})
+    for dist in (1.0, 3.0, 8.0):
+        want = shown(brute.search(queries_of(d, "dense"), d, dist))
+        got = spark.sql(sqlapi.search_text("dense", dist, 48))
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    pairs = lambda q, keys: spark.sql(f"SELECT count(*) FROM {q} JOIN binned_dense USING ({keys})").first()[0]
+    assert 0 < 3 * pairs(sqlapi._asked("dense", "3.0D"), "bin, h") < pairs("query_dense", "bin")
