@@ -150,6 +150,34 @@ def test_shared_cells_and_slabs_are_counted_from_sums(spark):
     assert sorted(map(tuple, slabs.schedule(d, s, 2.0).collect()), key=str) == sorted(map(tuple, slabs._again(slabs._planned(d, s, 2.0).drop("lists")).collect()), key=str)
 
 
+def test_lengths_of_unions():
+    """Overlapping, touching and equal intervals of several keys, against one key and one interval at a time."""
+    import numpy as np
+
+    from trajdist.plans.relational import union_lengths
+
+    r = np.random.default_rng(3)
+    keys, lo = r.integers(-3, 40, 700), r.integers(0, 50, 700) / 4
+    hi = lo + r.integers(0, 9, 700) / 4
+    want = {}
+    for k in set(keys.tolist()):
+        total, end = 0.0, float("-inf")
+        for a, z in sorted((a, z) for i, a, z in zip(keys, lo, hi) if i == k):
+            total += max(0.0, z - max(a, end))
+            end = max(end, z)
+        want[k] = total
+    got = union_lengths(keys, lo, hi)
+    assert dict(zip(*(a.tolist() for a in got))) == want and sorted(want) == got[0].tolist()
+
+
+def test_aggregate_function_is_called_for_each_query_trajectory(spark, sf_dir):
+    import re
+
+    df = QUERIES["ops_o44_aggregate_udf"](spark, sf_dir)
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    assert re.findall(r"Aggregate \[([^\]]*)\]", plan)[0].count("#") == 1
+
+
 def test_sql_text_meets_in_cells(spark, sf_dir, monkeypatch):
     """At distances below and above the one that the cells are made for; the join makes few of the pairs of the bins."""
     from trajdist.plans import sqlapi
