@@ -194,3 +194,35 @@ def test_sql_text_meets_in_cells(spark, sf_dir, monkeypatch):
         assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
     pairs = lambda q, keys: spark.sql(f"SELECT count(*) FROM {q} JOIN binned_dense USING ({keys})").first()[0]
     assert 0 < 3 * pairs(sqlapi._asked("dense", "3.0D"), "bin, h") < pairs("query_dense", "bin")
+
+
+def test_most_pairs_are_decided_without_roots(monkeypatch):
+    """The closed form as it stands, on pairs that rest, touch, part and come nearer, at distances in any order."""
+    import numpy as np
+
+    from trajdist.operators import tally
+
+    r, n = np.random.default_rng(5), 20_000
+
+    def moves():
+        t0 = r.integers(0, 3, 300) / 2
+        return tally._Moves(np.arange(300), t0, t0 + 1 + r.integers(0, 2, 300), [r.integers(-8, 8, 300).astype(float) for _ in "xyz"], [r.integers(-2, 2, 300) / 2 for _ in "xyz"])
+
+    q, e, i, j = moves(), moves(), r.integers(0, 300, n), r.integers(0, 300, n)
+    b0, b1 = np.maximum(q.t0[i], e.t0[j]), np.minimum(q.t1[i], e.t1[j])
+    i, j = i[b0 < b1], j[b0 < b1]
+    b0, b1 = np.maximum(q.t0[i], e.t0[j]), np.minimum(q.t1[i], e.t1[j])
+    w = [v[i] - u[j] for v, u in zip(q.speed, e.speed)]
+    d = [(p[i] + v[i] * (b0 - q.t0[i])) - (o[j] + u[j] * (b0 - e.t0[j])) for p, v, o, u in zip(q.start, q.speed, e.start, e.speed)]
+    qa, qb, far = (x[0] * y[0] + x[1] * y[1] + x[2] * y[2] for x, y in ((w, w), (d, w), (d, d)))
+    dists, want = (5.0, 1.0, 12.0), []
+    with np.errstate(all="ignore"):
+        for x in dists:
+            qc = far - x * x
+            root = np.sqrt(qb * qb - qa * qc)
+            want.append(np.where(qa == 0, qc <= 0, np.maximum(0, (-qb - root) / qa) <= np.minimum(b1 - b0, (-qb + root) / qa)))
+    sqrt, rooted = np.sqrt, []
+    monkeypatch.setattr(np, "sqrt", lambda a: rooted.append(len(a)) or sqrt(a))
+    got = tally._within(q, e, i, j, dists)
+    assert [g.tolist() for g in got] == [np.flatnonzero(x).tolist() for x in want] and all(len(g) for g in got)
+    assert (qa == 0).any() and 2 * sum(rooted) < len(i)
