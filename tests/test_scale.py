@@ -226,3 +226,42 @@ def test_most_pairs_are_decided_without_roots(monkeypatch):
     got = tally._within(q, e, i, j, dists)
     assert [g.tolist() for g in got] == [np.flatnonzero(x).tolist() for x in want] and all(len(g) for g in got)
     assert (qa == 0).any() and 2 * sum(rooted) < len(i)
+
+
+def test_pairs_of_long_moves_are_counted_once_in_slices_of_time(monkeypatch):
+    """Few slices or many, small groups, some very fast, rest and ties on the edges of slices: the pairs of the closed form, each once; and
+    far fewer places of matrices than pairs whose boxes meet."""
+    import numpy as np
+    import pandas as pd
+
+    from trajdist.operators import tally
+
+    r = np.random.default_rng(7)
+
+    def side(n, prefix):
+        t0 = r.integers(0, 160, n) / 4.0
+        lasts = np.where(r.random(n) < 0.02, 1 / 1024, r.integers(1, 80, n) / 4.0)
+        f = {"traj_id": r.integers(0, 50, n), "seg_id": np.arange(n), "t0": t0, "t1": t0 + lasts}
+        for c in "xyz":
+            a, still = r.integers(0, 100, n).astype(float), r.random(n) < 0.1
+            f |= {f"{c}0": a, f"{c}1": np.where(still, a, r.integers(0, 100, n).astype(float))}
+        return pd.DataFrame({f"{prefix}{k}": v for k, v in f.items()})
+
+    left, right, dists = side(500, "q_"), side(2500, ""), (4.0, 10.0, 1.0)
+    q, e = tally._Moves.of(left, "q_"), tally._Moves.of(right, "")
+    shared = (q.t0[:, None] < e.t1) & (e.t0 < q.t1[:, None]) & (q.traj[:, None] != e.traj)
+    i, j = np.nonzero(shared)
+    want = [set(zip(i[k].tolist(), j[k].tolist())) for k in tally._within(q, e, i, j, dists)]
+    gap = [np.maximum(np.minimum(left[f"q_{c}0"], left[f"q_{c}1"]).to_numpy()[i] - np.maximum(right[f"{c}0"], right[f"{c}1"]).to_numpy()[j], np.minimum(right[f"{c}0"], right[f"{c}1"]).to_numpy()[j] - np.maximum(left[f"q_{c}0"], left[f"q_{c}1"]).to_numpy()[i]) for c in "xyz"]
+    boxes = int((np.max(gap, 0) <= 10.0).sum())
+    for parts, mine, its, run in ((1, 128, 256, 512), (16, 4, 16, 64), (16, 1, 8, 8)):
+        for name, value in (("MOST_PARTS", parts), ("MINE", mine), ("ITS", its), ("RUN", run)):
+            monkeypatch.setattr(tally, name, value)
+        got, places = [[] for _ in dists], 0
+        for a, b, found in tally._found(left, right, dists):
+            places += found[0].size
+            for k, f in enumerate(found):
+                x, y = np.nonzero(f)
+                got[k] += zip(a[x].tolist(), b[y].tolist())
+        assert [len(g) for g in got] == [len(set(g)) for g in got] and [set(g) for g in got] == want and all(want)
+    assert places < boxes
