@@ -265,3 +265,64 @@ def test_pairs_of_long_moves_are_counted_once_in_slices_of_time(monkeypatch):
                 got[k] += zip(a[x].tolist(), b[y].tolist())
         assert [len(g) for g in got] == [len(set(g)) for g in got] and [set(g) for g in got] == want and all(want)
     assert places < boxes
+
+
+def test_cells_of_events_make_no_pairs(spark, duck, sf_dir, monkeypatch):
+    without_pairs(monkeypatch)
+    same_as_sql(spark, duck, sf_dir, "search_cell_event")
+
+
+def test_moves_through_cells_are_found_once(spark, monkeypatch):
+    """Long and short moves, rest, repeated rows, meetings at the edges of slices and of segments; tasks with a share of the rows, one or many windows."""
+    import numpy as np
+
+    from trajdist.operators import cells, moving
+
+    r, n = np.random.default_rng(11), 900
+    t0 = r.integers(0, 160, n) / 4.0
+    lasts = np.where(r.random(n) < 0.05, 1 / 1024, r.integers(1, 80, n) / 4.0)
+    a = r.integers(0, 100, (n, 3)).astype(float)
+    z = np.where(r.random((n, 1)) < 0.1, a, r.integers(0, 100, (n, 3)))
+    rows = [(int(k), i, t, *p, t + m, *o) for i, (k, t, m, p, o) in enumerate(zip(r.integers(0, 50, n).tolist(), t0.tolist(), lasts.tolist(), a.tolist(), z.tolist()))]
+    d = spark.createDataFrame(rows + rows[:25] + [(1001, *row[1:]) for row in rows[:99]], SEGMENT)
+    q = d.where("traj_id % 5 = 0")
+    index = cells.build(d, 10)
+    monkeypatch.setattr(cells, "meeting", refuse)
+    for window, entries, queries, dist in ((10_000, 10_000, 10_000, 10.0), (20, 60, 9, 10.0), (1, 10_000, 10_000, 0.0), (50, 500, 500, 60.0)):
+        for name, value in (("WINDOW", window), ("ENTRIES", entries), ("QUERIES", queries)):
+            monkeypatch.setattr(moving, name, value)
+        want = brute.search(q, d, dist).collect()
+        assert sorted(map(tuple, cells.search(q, index, dist).collect())) == sorted(map(tuple, want)) and want
+    assert cells.search(q.where("false"), index, 10.0).count() == 0 and moving.crossing(index.grid, index.ext)
+
+
+def test_few_pairs_of_moves_go_through_the_closed_form(monkeypatch):
+    """Groups and matrices of any size find the same pairs; what is looked at closely is little more than what is found, and far less than the boxes that meet."""
+    import numpy as np
+
+    from trajdist.operators import moving, tally
+    from trajdist.operators.meeting import Grid
+
+    r = np.random.default_rng(13)
+
+    def side(n):
+        t0, p, o = r.uniform(0, 40, n), r.uniform(0, 100, (n, 3)), r.uniform(0, 100, (n, 3))
+        lasts = r.exponential(10.0, n) + 1e-3
+        return tally._Moves(r.integers(0, 60, n), t0, t0 + lasts, list(p.T.copy()), list(((o - p) / lasts[:, None]).T.copy())), np.arange(n), np.minimum(p, o), np.maximum(p, o)
+
+    (q, qs, ql, qh), (e, es, el, eh) = side(600), side(3000)
+    shared = (q.t0[:, None] < e.t1) & (e.t0 < q.t1[:, None]) & (q.traj[:, None] != e.traj)
+    i, j = np.nonzero(shared)
+    want = set(zip(*(x[tally._within(q, e, i, j, (10.0,))[0]].tolist() for x in (i, j))))
+    boxes = int(((ql[i] - 10 <= eh[j]) & (el[j] <= qh[i] + 10)).all(1).sum())
+    edges = 2.0 * np.arange(0, 120)
+    closed, looked = moving._closed, []
+    monkeypatch.setattr(moving, "_closed", lambda *x: looked.append(len(x[2])) or closed(*x))
+    for sizes in ((64, 1024, 128, 1 << 14), (3, 8, 5, 40)):
+        for name, value in zip(("MINE", "RUN", "ITS", "PAIRS"), sizes):
+            monkeypatch.setattr(moving, name, value)
+        looked.clear()
+        found = [np.concatenate(c) for c in zip(*moving.matches(q, e, qs, es, edges, Grid((10, 10, 10), (0.0,) * 3, (10.0,) * 3), 10.0))]
+        got = list(zip(found[1].tolist(), found[3].tolist()))
+        assert len(got) == len(want) and set(got) == want
+        assert sum(looked) < 1.5 * len(want) and 4 * sum(looked) < boxes
